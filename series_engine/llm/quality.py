@@ -25,7 +25,7 @@ from .common import SPACE, materialize, text_of
 
 WINDOW = 8
 MEASURES = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")
-RULES = ("symbols", "dup_lines", "repeats", "word_length", "upper_case", "shouting", "variety", "size")
+RULES = ("symbols", "dup_lines", "repeats", "word_length", "upper_case", "shouting", "variety")
 _P = "_quality_"
 
 
@@ -39,6 +39,9 @@ class QualityParams:
     iterations: int = 60
     prior_good: float = 0.85
     smoothing: float = 2.0
+    max_blamed: float = 0.0005
+    min_caught: float = 0.1
+    max_caught: float = 0.3
 
 
 def _covered(positions: Column) -> Column:
@@ -102,77 +105,87 @@ def votes() -> dict[str, Column]:
         "word_length": _vote((chars < 2.5 * n) | (chars > 12 * n), (chars >= 3.5 * n) & (chars <= 9 * n)),
         "upper_case": _vote(_m("n_upper") > 0.4 * chars, _m("n_upper") < 0.1 * chars),
         "shouting": _vote(_m("n_shout") > 0.3 * n, _m("n_shout") <= 0.02 * n),
-        "variety": _vote((_m("n_distinct") < 0.2 * n) & (n >= 20) & (n < 2000), (_m("n_distinct") > 0.35 * n) & (n >= 20)),
-        "size": _vote(n < 20, n >= 60),
+        "variety": _vote((_m("n_distinct") < 0.15 * n) & (n >= 20) & (n < 2000), (_m("n_distinct") > 0.35 * n) & (n >= 20)),
     }
 
 
 @dataclass(frozen=True)
 class VoteModel:
-    """prior: of good.  tables[rule][vote] = (probability if bad, probability if good)."""
+    """prior: of good.  caught[rule]: share of bad votes among its votes on bad documents;
+    blamed[rule]: the same on good ones.  An abstention says nothing."""
 
     prior: float
-    tables: dict[str, dict[int, tuple[float, float]]]
+    caught: dict[str, float]
+    blamed: dict[str, float]
 
     def accuracy(self, rule: str) -> float:
         """Share of right votes among the votes that the rule gives."""
-        t, p = self.tables[rule], self.prior
-        right, wrong = p * t[1][1] + (1 - p) * t[-1][0], p * t[-1][1] + (1 - p) * t[1][0]
-        return right / (right + wrong)
+        return self.prior * (1 - self.blamed[rule]) + (1 - self.prior) * self.caught[rule]
+
+    def weight(self, rule: str, vote: int) -> float:
+        """Log odds of good that a vote adds."""
+        if vote == 0:
+            return 0.0
+        bad, good = self.caught[rule], self.blamed[rule]
+        return math.log(good / bad) if vote < 0 else math.log((1 - good) / (1 - bad))
 
     def log_odds(self, columns: dict[str, Column]) -> Column:
         total = F.lit(math.log(self.prior / (1 - self.prior)))
         for rule, vote in columns.items():
-            t = {v: math.log(good / bad) for v, (bad, good) in self.tables[rule].items()}
-            total = total + F.when(vote == 1, t[1]).when(vote == -1, t[-1]).otherwise(t[0])
+            total = total + F.when(vote == 1, self.weight(rule, 1)).when(vote == -1, self.weight(rule, -1)).otherwise(0.0)
         return total
 
 
 def fit(patterns: list[tuple[tuple[int, ...], float]], rules: tuple[str, ...] = RULES, params: QualityParams = QualityParams()) -> VoteModel:
     """Expectation-maximisation over (votes, count) rows.
 
-    The start says that a vote is right four times in five.  Votes that contradict this
-    may move freely, but good keeps its meaning: a bad vote never becomes evidence for good.
+    Classes keep their meaning by bounds on what may be estimated: a rule blames at most
+    ``max_blamed`` of the good documents that it votes on, and catches between
+    ``min_caught`` and ``max_caught`` of the bad ones: each rule knows one kind of fault, so
+    its good vote must not outweigh another rule's bad one.
     """
-    prior = params.prior_good
-    tables = {r: {-1: (0.3, 0.03), 0: (0.3, 0.3), 1: (0.4, 0.67)} for r in rules}
+    model = VoteModel(params.prior_good, dict.fromkeys(rules, params.max_caught), dict.fromkeys(rules, params.max_blamed))
+    smooth = params.smoothing
     for _ in range(params.iterations if patterns else 0):
-        sums = {r: {v: [params.smoothing * p for p in tables0] for v, tables0 in ((-1, (0.3, 0.03)), (0, (0.3, 0.3)), (1, (0.4, 0.67)))} for r in rules}
-        good = total = 0.0
+        bad = {r: [params.max_caught * smooth, smooth] for r in rules}  # bad votes, votes
+        good = {r: [params.max_blamed * smooth, smooth] for r in rules}
+        of_good = total = 0.0
         for pattern, count in patterns:
-            s = math.log(prior / (1 - prior)) + sum(math.log(tables[r][v][1] / tables[r][v][0]) for r, v in zip(rules, pattern))
-            p = 1 / (1 + math.exp(-max(-60.0, min(60.0, s))))
-            good, total = good + count * p, total + count
+            odds = math.log(model.prior / (1 - model.prior)) + sum(model.weight(r, v) for r, v in zip(rules, pattern))
+            p = 1 / (1 + math.exp(-max(-60.0, min(60.0, odds))))
+            of_good, total = of_good + count * p, total + count
             for r, v in zip(rules, pattern):
-                sums[r][v][0] += count * (1 - p)
-                sums[r][v][1] += count * p
-        prior = min(0.99, max(0.01, (good + params.smoothing * params.prior_good) / (total + params.smoothing)))
-        for r in rules:
-            of_bad, of_good = (max(1e-9, sum(x[k] for x in sums[r].values())) for k in (0, 1))
-            tables[r] = {v: (max(1e-4, x[0] / of_bad), max(1e-4, x[1] / of_good)) for v, x in sums[r].items()}
-            bad, fine = tables[r][-1]
-            tables[r][-1] = (max(bad, fine), fine)
-    return VoteModel(prior, tables)
+                if v:
+                    bad[r][0] += count * (1 - p) * (v < 0)
+                    bad[r][1] += count * (1 - p)
+                    good[r][0] += count * p * (v < 0)
+                    good[r][1] += count * p
+        model = VoteModel(
+            min(0.95, max(0.5, (of_good + smooth * params.prior_good) / (total + smooth))),
+            {r: min(params.max_caught, max(params.min_caught, x / n)) for r, (x, n) in bad.items()},
+            {r: min(params.max_blamed, max(1e-5, x / n)) for r, (x, n) in good.items()},
+        )
+    return model
 
 
 def vote_patterns(measured: DataFrame) -> list[tuple[tuple[int, ...], float]]:
-    """Counts of vote patterns of all documents; at most 3 ** len(RULES) = 6,561 rows reach the driver."""
+    """Counts of vote patterns of all documents; at most 3 ** len(RULES) = 2,187 rows reach the driver."""
     rows = measured.select(*[v.alias(r) for r, v in votes().items()]).groupBy(*RULES).count().collect()
     return sorted((tuple(int(r[x]) for x in RULES), float(r["count"])) for r in rows)
 
 
 def judge(measured: DataFrame, model: VoteModel, params: QualityParams = QualityParams()) -> DataFrame:
-    """Adds the measures under their own names, ``base_failed``, ``quality`` and ``kept``."""
+    """Adds the measures under their own names, ``base_failed``, ``quality_score`` and ``kept``."""
     failed = (_m("n_words") < params.min_words) | (_m("n_repeat_words") * 100 > _m("n_words") * params.max_repeat_percent)
     quality = 1 / (1 + F.exp(-model.log_odds(votes())))
     out = measured.withColumns({f"{_P}failed": failed, f"{_P}good": quality})
-    added = {m: _m(m) for m in MEASURES} | {"base_failed": _m("failed"), "quality": _m("good"), "kept": ~_m("failed") & (_m("good") >= params.threshold)}
+    added = {m: _m(m) for m in MEASURES} | {"base_failed": _m("failed"), "quality_score": _m("good"), "kept": ~_m("failed") & (_m("good") >= params.threshold)}
     own = [c for c in out.columns if not c.startswith(_P) and c not in added]
     return out.select(*[F.col(f"`{c}`") for c in own], *[v.alias(k) for k, v in added.items()])
 
 
 def quality_verdicts(docs: DataFrame, key: str = "doc_id", params: QualityParams = QualityParams()) -> DataFrame:
-    """key, measures, base_failed, quality, kept for every row of ``docs``.
+    """key, measures, base_failed, quality_score, kept for every row of ``docs``.
 
     Texts are read once; measures (some tens of bytes a row) are written to the shared
     folder, counted into vote patterns and judged from there.
