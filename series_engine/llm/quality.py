@@ -100,8 +100,8 @@ def votes() -> dict[str, Column]:
     chars = F.greatest(_m("word_chars"), F.lit(1))
     return {
         "symbols": _vote(_m("n_symbols") > 0.25 * n, _m("n_symbols") <= 0.02 * n),
-        "dup_lines": _vote(_m("n_dup_lines") > 0.3 * _m("n_lines"), (_m("n_dup_lines") == 0) & (_m("n_lines") >= 3)),
-        "repeats": _vote(_m("n_repeat_words") > 0.2 * n, (_m("n_repeat_words") == 0) & (n >= 50)),
+        "dup_lines": _vote(_m("n_dup_lines") > 0.4 * _m("n_lines"), (_m("n_dup_lines") == 0) & (_m("n_lines") >= 3)),
+        "repeats": _vote(_m("n_repeat_words") > 0.25 * n, (_m("n_repeat_words") == 0) & (n >= 50)),
         "word_length": _vote((chars < 2.5 * n) | (chars > 12 * n), (chars >= 3.5 * n) & (chars <= 9 * n)),
         "upper_case": _vote(_m("n_upper") > 0.4 * chars, _m("n_upper") < 0.1 * chars),
         "shouting": _vote(_m("n_shout") > 0.3 * n, _m("n_shout") <= 0.02 * n),
