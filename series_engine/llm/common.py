@@ -15,6 +15,9 @@ SPACE = r"[\x20\x09-\x0D]+"
 #: ``bytes.split()`` and ``bytes.translate`` with these bytes follow the same rule.
 SPACE_BYTES = b" \t\n\x0b\x0c\r"
 
+#: Settings of a session (not of its start) that let an execution remove its shuffle files.
+_CLEAN = ("spark.sql.classic.shuffleDependency.fileCleanup.enabled", "spark.sql.shuffleDependency.fileCleanup.enabled")
+
 _own_dir: str | None = None
 
 
@@ -38,11 +41,19 @@ def materialize(df: DataFrame, name: str) -> DataFrame:
     """Write ``df`` once into the shared folder and read it back.
 
     Cuts lineage and survives lost executors: the files are not kept on any executor.
-    ``Dataset.checkpoint`` would compute a stage without a shuffle twice.
+    ``Dataset.checkpoint`` would compute a stage without a shuffle twice.  Where this Spark
+    can, shuffle files of the write go when it ends: what they held is in the table.
     """
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
-    df.write.option("compression", "zstd").parquet(path)
+    before = {k: v for k in _CLEAN if (v := spark.conf.get(k, None)) is not None}
+    try:
+        for k in before:
+            spark.conf.set(k, "true")
+        df.write.option("compression", "zstd").parquet(path)
+    finally:
+        for k, v in before.items():
+            spark.conf.set(k, v)
     return spark.read.schema(df.schema).parquet(path)
 
 
