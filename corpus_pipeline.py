@@ -7,8 +7,9 @@ DataFrame that is written as Parquet and read again as the next one's docs.
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from series_engine.llm import exact_dedup, quality, simhash
+from series_engine.llm import exact_dedup, packing, pii, quality, simhash
 from series_engine.llm.common import materialize, table
 
 
@@ -23,11 +24,28 @@ def exact_dedup_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 
 
 def near_dedup_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each near-duplicate group."""
+    """One document of each near-duplicate group (fingerprints of 3-word shingles, links at two bits or fewer)."""
     return simhash.drop_near_duplicates(docs)
 
 
-STAGES = [("quality", quality_stage), ("exact_dedup", exact_dedup_stage), ("near_dedup", near_dedup_stage)]
+def personal_data_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """All documents, with personal data in their texts replaced by its kind; n_chars follows the text."""
+    clean = pii.redact(docs)
+    return clean.withColumn("n_chars", F.coalesce(F.length("text"), F.lit(0)).cast(docs.schema["n_chars"].dataType)) if "n_chars" in docs.columns else clean
+
+
+def packing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Pieces of sequences of at most 2048 tokens, each source by its share of all tokens."""
+    return packing.packed(docs).withColumnRenamed("key", "doc_id")
+
+
+STAGES = [
+    ("quality", quality_stage),
+    ("exact_dedup", exact_dedup_stage),
+    ("near_dedup", near_dedup_stage),
+    ("personal_data", personal_data_stage),
+    ("packing", packing_stage),
+]
 
 #: Fingerprints, learned verdicts and token ids are beyond SQL; tests hold run() against a brute-force version.
 ORACLE_SQL = None

@@ -58,4 +58,10 @@ def op10_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.packed(table(spark, sf_dir, "documents")).withColumnRenamed("key", "doc_id")
 
 
-QUERIES = {f.__name__: f for f in (op1_token_counts, op2_quality_rules, op3_exact_dedup, op4_simhash_dedup, op5_url_filter, op6_personal_data, op7_sentence_pieces, op8_language_id, op9_substring_dedup, op10_packing)}
+def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
+
+
+QUERIES = {f.__name__: f for f in (op1_token_counts, op2_quality_rules, op3_exact_dedup, op4_simhash_dedup, op5_url_filter, op6_personal_data, op7_sentence_pieces, op8_language_id, op9_substring_dedup, op10_packing, pipeline)}
