@@ -83,7 +83,11 @@ def measure(docs: DataFrame, text: str = "text") -> DataFrame:
     same = lambda e, i: F.coalesce(e["h"] == F.get(s, i)["h"], F.lit(False))
     twice = F.transform(s, lambda e, i: F.when(same(e, i - 1) | same(e, i + 1), e["p"]))
     repeats = F.when(s.isNull(), F.lit(0).cast("long")).otherwise(_covered(F.sort_array(F.filter(twice, lambda p: p.isNotNull()))))
-    return out.withColumn(f"{_P}n_repeat_words", repeats).drop(f"{_P}s")
+    # A generator of one row ends the projection: a filter on what stands above would
+    # otherwise be pushed below it and take the array expressions along, once for each use.
+    facts = [c for c in out.columns if c.startswith(_P) and c != f"{_P}s"]
+    own = [F.col(f"`{c}`") for c in out.columns if not c.startswith(_P)]
+    return out.select(*own, F.inline(F.array(F.struct(*facts, repeats.alias(f"{_P}n_repeat_words")))))
 
 
 def _m(name: str) -> Column:
