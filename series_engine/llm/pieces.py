@@ -26,6 +26,7 @@ import re
 import zlib
 from collections.abc import Iterator
 from functools import lru_cache
+from struct import pack
 
 import numpy as np
 import pyarrow as pa
@@ -34,7 +35,7 @@ from pyspark.sql import functions as F
 
 MARK = "▁"
 #: Most units remembered by a process, and the most characters of one.
-MEMO, MEMO_CHARS = 300_000, 64
+MEMO, MEMO_CHARS = 200_000, 64
 _UNITS = re.compile(f"{MARK}+[^{MARK}]*|[^{MARK}]+")
 
 
@@ -66,6 +67,10 @@ class Pieces:
                 self.text.append(piece.replace(MARK, " ").encode())
                 if not lib.is_unknown(i) and not lib.is_unused(i):
                     self.scores[piece] = (lib.get_score(i), i)
+        #: Scores and ids again, with what only begins a piece as an empty entry: a walk from a
+        #: start ends at the first text that is not in here.
+        self.walk: dict[str, tuple] = {p[:i]: () for p in self.scores for i in range(1, len(p))}
+        self.walk.update(self.scores)
         self.longest = max(map(len, self.scores), default=1)
         self.penalty = min((s for s, _ in self.scores.values()), default=0.0) - 10.0
         self.cut_at_marks = all(MARK not in p[1:] or not p.strip(MARK) for p in self.scores)
@@ -141,20 +146,53 @@ class StreamingViterbi:
         return out
 
 
+def short_cut(unit: str, v: Pieces) -> list[int]:
+    """The same segmentation for a unit that lies in one window: nothing can be committed
+    before its end.  Walks from each start over the texts that begin a piece."""
+    n, walk, low = len(unit), v.walk, -float("inf")
+    best, back = [0.0] + [low] * n, [(0, -1)] * (n + 1)
+    for start in range(n):
+        score = best[start]
+        for end in range(start + 1, n + 1):
+            found = walk.get(unit[start:end])
+            if found is None:
+                break
+            if found and score + found[0] > best[end]:
+                best[end], back[end] = score + found[0], (start, found[1])
+        if best[start + 1] < score + v.penalty and unit[start] not in v.scores:
+            best[start + 1], back[start + 1] = score + v.penalty, (start, -1)
+    out: list[int] = []
+    while n:
+        start, piece = back[n]
+        if piece >= 0:
+            out.append(piece)
+        else:
+            out += reversed(v.fallback(unit[start:n]))
+        n = start
+    out.reverse()
+    return out
+
+
 class _Memo(dict):
-    """Unit -> its ids as little-endian 32-bit bytes."""
+    """Unit -> its ids as little-endian 32-bit bytes.  A full table becomes the old generation,
+    from which units that are asked for again come back."""
 
     def __init__(self, vocabulary: Pieces):
         super().__init__()
-        self.v = vocabulary
+        self.v, self.old = vocabulary, {}
 
     def __missing__(self, unit: str) -> bytes:
-        stream = StreamingViterbi(self.v)
-        found = np.array(stream.push(unit) + stream.finish(), "<u4").tobytes()
-        if len(unit) <= MEMO_CHARS:
-            if len(self) >= MEMO:
-                self.clear()
-            self[unit] = found
+        found = self.old.get(unit)
+        if found is None and len(unit) <= MEMO_CHARS:
+            ids = short_cut(unit, self.v)
+            found = pack(f"<{len(ids)}I", *ids)
+        elif found is None:
+            stream = StreamingViterbi(self.v)
+            return np.array(stream.push(unit) + stream.finish(), "<u4").tobytes()
+        if len(self) >= MEMO:
+            self.old = dict(self)
+            self.clear()
+        self[unit] = found
         return found
 
 

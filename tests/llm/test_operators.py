@@ -256,6 +256,9 @@ def test_pieces_equal_the_library_as_a_unigram_model(docs):
     words = sorted({w for (t,) in rows_of(docs.limit(30), "text") for w in t.split()})[:2000]
     for w in words:
         assert pieces.encode(w, pieces.default_file()).tolist() == lib.encode(w), w
+        v, _ = pieces.vocabulary(pieces.default_file())
+        stream = pieces.StreamingViterbi(v)
+        assert pieces.short_cut(w, v) == stream.push(w) + stream.finish()
 
 
 def test_piece_tables_round_trip(docs, edge):
