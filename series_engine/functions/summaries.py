@@ -33,14 +33,25 @@ def _literals(values) -> Column:
 # ---- column expressions -------------------------------------------------------------
 
 
+def let(value: Column, body) -> Column:
+    """``body`` of a value that is computed once: a lambda would compute a column's
+    expression again for every element that it is used on."""
+    return F.get(F.transform(F.array(value), body), F.lit(0))
+
+
+def _add(col: Column) -> Column:
+    return F.aggregate(col, F.lit(0.0), lambda a, v: a + v)
+
+
 def znormalize(col: Column) -> Column:
     """Mean 0 and population deviation 1; a series without deviation becomes all zeros."""
-    x = F.transform(col, lambda v: v.cast("double"))
-    n = F.size(col).cast("double")
-    add = lambda c: F.aggregate(c, F.lit(0.0), lambda a, v: a + v)
-    mean = add(x) / n
-    var = add(F.transform(x, lambda v: (v - mean) * (v - mean))) / n
-    return F.when(var > 1e-18, F.transform(x, lambda v: (v - mean) / F.sqrt(var))).otherwise(F.transform(x, lambda v: F.lit(0.0)))
+    def spread(x):
+        return let(F.struct(x.alias("x"), (_add(x) / F.size(x)).alias("mean")), lambda s: let(
+            F.struct(F.transform(s["x"], lambda v: v - s["mean"]).alias("d")), lambda t: let(
+                F.struct(t["d"].alias("d"), (F.aggregate(t["d"], F.lit(0.0), lambda a, v: a + v * v) / F.size(t["d"])).alias("var")),
+                lambda u: F.transform(u["d"], lambda v: F.when(u["var"] > 1e-18, v / F.sqrt(u["var"])).otherwise(0.0)))))
+
+    return let(F.transform(col, lambda v: v.cast("double")), spread)
 
 
 def paa(col: Column, w: int, n: int, allow_ragged: bool = False) -> Column:
@@ -53,9 +64,9 @@ def paa(col: Column, w: int, n: int, allow_ragged: bool = False) -> Column:
         raise ValueError(f"{w} segments do not divide a length of {n}")
     if n % w == 0:
         m = n // w
-        return F.transform(F.sequence(F.lit(0), F.lit(w - 1)), lambda i: F.aggregate(F.slice(col, i * m + 1, m), F.lit(0.0), lambda a, v: a + v.cast("double")) / m)
+        return let(col, lambda x: F.transform(F.sequence(F.lit(0), F.lit(w - 1)), lambda i: F.aggregate(F.slice(x, i * m + 1, m), F.lit(0.0), lambda a, v: a + v.cast("double")) / m))
     weights = _ragged_weights(w, n)
-    return F.array(*[F.aggregate(F.zip_with(col, _literals(row), lambda v, p: v.cast("double") * p), F.lit(0.0), lambda a, v: a + v) for row in weights])
+    return let(col, lambda x: F.array(*[_add(F.zip_with(x, _literals(row), lambda v, p: v.cast("double") * p)) for row in weights]))
 
 
 def _ragged_weights(w: int, n: int) -> np.ndarray:
@@ -98,21 +109,22 @@ def hex_word(word: Column) -> Column:
 
 def eapca(col: Column, cuts) -> Column:
     """(lo, hi, mean, population deviation) of the segments that begin at ``cuts`` (the last one is the length)."""
-    def part(lo, hi):
-        x = F.slice(col, lo + 1, hi - lo)
-        add = lambda c: F.aggregate(c, F.lit(0.0), lambda a, v: a + v.cast("double"))
-        mean = add(x) / (hi - lo)
-        sq = add(F.transform(x, lambda v: v.cast("double") * v.cast("double"))) / (hi - lo)
-        return F.struct(F.lit(lo).alias("lo"), F.lit(hi).alias("hi"), mean.alias("mean"), F.sqrt(F.greatest(sq - mean * mean, F.lit(0.0))).alias("std"))
+    def part(x, lo, hi):
+        y = F.transform(F.slice(x, lo + 1, hi - lo), lambda v: v.cast("double"))
+        sums = F.aggregate(y, F.struct(F.lit(0.0).alias("s"), F.lit(0.0).alias("q")), lambda a, v: F.struct((a["s"] + v).alias("s"), (a["q"] + v * v).alias("q")))
+        return let(sums, lambda a: F.struct(F.lit(lo).alias("lo"), F.lit(hi).alias("hi"), (a["s"] / (hi - lo)).alias("mean"), F.sqrt(F.greatest(a["q"] / (hi - lo) - F.pow(a["s"] / (hi - lo), 2.0), F.lit(0.0))).alias("std")))
 
-    return F.array(*[part(a, b) for a, b in zip(cuts[:-1], cuts[1:])])
+    return let(col, lambda x: F.array(*[part(x, a, b) for a, b in zip(cuts[:-1], cuts[1:])]))
 
 
 def envelope(col: Column, radius: int) -> Column:
     """Struct of the running maximum and minimum over ``radius`` points to both sides."""
-    at = F.sequence(F.lit(1), F.size(col))
-    part = lambda i: F.slice(col, F.greatest(i - radius, F.lit(1)), F.least(i + radius, F.size(col)) - F.greatest(i - radius, F.lit(1)) + 1)
-    return F.struct(F.transform(at, lambda i: F.array_max(part(i))).alias("upper"), F.transform(at, lambda i: F.array_min(part(i))).alias("lower"))
+    def both(x):
+        at = F.sequence(F.lit(1), F.size(x))
+        part = lambda i: F.slice(x, F.greatest(i - radius, F.lit(1)), F.least(i + radius, F.size(x)) - F.greatest(i - radius, F.lit(1)) + 1)
+        return F.struct(F.transform(at, lambda i: F.array_max(part(i))).alias("upper"), F.transform(at, lambda i: F.array_min(part(i))).alias("lower"))
+
+    return let(col, both)
 
 
 # ---- array twins --------------------------------------------------------------------

@@ -10,11 +10,12 @@ from pyspark.sql import functions as F
 
 from .functions.distances import upper_bounds_rows
 from .plans.index import SeriesIndex
+from .plans.storage import written
 
 TIE = 1e-9
 
 
-def _hits(answers: DataFrame, truth: DataFrame, k: int) -> DataFrame:
+def hits(answers: DataFrame, truth: DataFrame, k: int) -> DataFrame:
     """Answers up to rank k with ``hit``: a true neighbour, or as near as the k-th true one."""
     true = truth.where(F.col("rank") <= k)
     last = true.groupBy("query_id").agg(F.max("distance").alias("last"))
@@ -26,7 +27,7 @@ def _hits(answers: DataFrame, truth: DataFrame, k: int) -> DataFrame:
 def average_precision(answers: DataFrame, truth: DataFrame, k: int) -> DataFrame:
     """(query_id, ap): sum over hits of the precision at their ranks, over k.  Queries without answers have 0."""
     so_far = Window.partitionBy("query_id").orderBy("rank")
-    rows = _hits(answers, truth, k).withColumn("p", F.col("hit") * F.sum("hit").over(so_far) / F.col("rank"))
+    rows = hits(answers, truth, k).withColumn("p", F.col("hit") * F.sum("hit").over(so_far) / F.col("rank"))
     sums = rows.groupBy("query_id").agg((F.sum("p") / k).alias("ap"))
     return truth.select("query_id").distinct().join(sums, "query_id", "left").na.fill(0.0, ["ap"])
 
@@ -36,7 +37,7 @@ def mean_average_precision(answers: DataFrame, truth: DataFrame, k: int) -> floa
 
 
 def recall_at_k(answers: DataFrame, truth: DataFrame, k: int) -> float:
-    sums = _hits(answers, truth, k).groupBy("query_id").agg((F.sum("hit") / k).alias("r"))
+    sums = hits(answers, truth, k).groupBy("query_id").agg((F.sum("hit") / k).alias("r"))
     all_queries = truth.select("query_id").distinct().join(sums, "query_id", "left").na.fill(0.0, ["r"])
     return float(all_queries.agg(F.avg("r")).first()[0] or 0.0)
 
@@ -113,22 +114,22 @@ def leaf_proximity(ix: SeriesIndex) -> float:
 def random_writes(ix: SeriesIndex, buffer: int) -> int:
     """Leaf flushes when series arrive in the order of their ids and ``buffer`` of them are held at a time."""
     rows = ix.data(None, ("leaf_id", "series_id", "is_copy")).where("not is_copy")
-    ranked = rows.select("leaf_id", "series_id").sort("series_id")
-    numbered = _positions(ranked)
+    numbered = positions(rows.select("leaf_id", "series_id"), ["series_id"])
     return numbered.select(F.floor(F.col("pos") / buffer).alias("b"), "leaf_id").distinct().count()
 
 
-def _positions(ranked: DataFrame) -> DataFrame:
-    """Global positions of sorted rows without one task for all: counts of the range
-    partitions, then numbers inside each."""
-    parts = ranked.withColumn("part", F.spark_partition_id())
-    inside = parts.withColumn("i", F.row_number().over(Window.partitionBy("part").orderBy("series_id")) - 1)
-    counts = {r["part"]: r["count"] for r in parts.groupBy("part").count().collect()}
-    start, total = {}, 0
+def positions(rows: DataFrame, order: list[str]) -> DataFrame:
+    """``rows`` with ``pos``, their place in the order, without one task for all: numbers
+    inside range partitions, after the counts of the partitions before."""
+    ranked = written(rows.repartitionByRange(*order).withColumn("part", F.spark_partition_id()), "ranked")
+    inside = ranked.withColumn("i", F.row_number().over(Window.partitionBy("part").orderBy(*order)) - 1)
+    counts = {r["part"]: r["count"] for r in ranked.groupBy("part").count().collect()}
+    start, total = [], 0
     for k in sorted(counts):
-        start[k], total = total, total + counts[k]
-    offsets = F.create_map(*[F.lit(int(x)) for kv in start.items() for x in kv]) if start else F.create_map(F.lit(0), F.lit(0))
-    return inside.withColumn("pos", F.col("i") + offsets[F.col("part")])
+        start.append((k, total))
+        total += counts[k]
+    offsets = rows.sparkSession.createDataFrame(start, "part int, first long")
+    return inside.join(F.broadcast(offsets), "part").withColumn("pos", F.col("i") + F.col("first")).drop("part", "i", "first")
 
 
 def pruned_shares(ix: SeriesIndex, leaves_read: int, series_read: int, queries: int) -> tuple[float, float]:
