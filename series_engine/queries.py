@@ -457,7 +457,7 @@ def packing_sorted(spark, sf_dir):
 
 
 _GAP = f"abs({O._list(S.midpoints(8))}[s[i] + 1])"
-_WIDTH = S.edges(1, S.CAP)[2] - S.edges(1, S.CAP)[1]
+_WIDTH = float(S.edges(1, S.CAP)[2] - S.edges(1, S.CAP)[1])
 
 
 @query(f"WITH {O.words('walks', 8)} SELECT series_id, CAST(i AS BIGINT) - 1 AS seg FROM words, (SELECT unnest(range(1, 9)) AS i) WHERE series_id % 25 <> 7 AND {_GAP} <= 0.1 * {_WIDTH!r}")

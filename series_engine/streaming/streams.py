@@ -11,7 +11,7 @@ from collections.abc import Callable, Iterator
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.stateful_processor import StatefulProcessor, StatefulProcessorHandle
 
@@ -63,16 +63,15 @@ def run_to_table(stream: DataFrame, mode: str = "append") -> DataFrame:
     return spark.table(name)
 
 
-def late_rows(events: DataFrame, delay_seconds: int = 3600) -> DataFrame:
+def late_rows(events: DataFrame, delay_seconds: int = 3600, block: int = 1_000_000) -> DataFrame:
     """Side list: rows older than the newest row before them (by id) less the delay.
 
-    A running maximum over all rows would be one task; days are summarised first and each
-    row looks at the days before it and at its own day alone.
+    A running maximum over all rows would be one task; blocks of ids are summarised first
+    (one row for each million rows) and a row looks at the blocks before its own and at its
+    own block alone.
     """
-    from pyspark.sql import Window
-
     us = F.expr("timestampdiff(MICROSECOND, timestamp_ntz'1970-01-01', ts)")
-    rows = events.select("event_id", us.alias("t")).withColumn("block", F.floor(F.col("event_id") / 1000))
+    rows = events.select("event_id", us.alias("t")).withColumn("block", F.floor(F.col("event_id") / block))
     blocks = rows.groupBy("block").agg(F.max("t").alias("top"))
     before = blocks.withColumn("before", F.max("top").over(Window.orderBy("block").rowsBetween(Window.unboundedPreceding, -1))).select("block", "before")
     inside = F.max("t").over(Window.partitionBy("block").orderBy("event_id").rowsBetween(Window.unboundedPreceding, 0))
@@ -162,13 +161,13 @@ def _q_assembled(spark: SparkSession, sf_dir: str) -> DataFrame:
     finally:
         back()
     v = F.col("values")
-    return out.select("series_id", F.size(v).cast("long").alias("n"), (F.round(F.get(v, F.lit(0)), 4) + 0.0).alias("head"), (F.round(F.array_max(v), 4) + 0.0).alias("top"))
+    return out.select("series_id", F.size(v).cast("long").alias("n"), (F.round(F.get(v, F.lit(0)), 8) + 0.0).alias("head"), (F.round(F.array_max(v), 8) + 0.0).alias("top"))
 
 
 def _assembled_sql() -> str:
     from ..oracle_sql import SERIES
 
-    return f"WITH {SERIES['pulses']} SELECT series_id, CAST(len(vals) AS BIGINT) AS n, round(vals[1], 4) + 0.0 AS head, round(list_max(vals), 4) + 0.0 AS top FROM series"
+    return f"WITH {SERIES['pulses']} SELECT series_id, CAST(len(vals) AS BIGINT) AS n, round(vals[1], 8) + 0.0 AS head, round(list_max(vals), 8) + 0.0 AS top FROM series"
 
 
 _GAP = 6 * 3_600_000_000
