@@ -157,9 +157,12 @@ def train(docs: DataFrame, text: str = "text", lang: str = "lang", params: LangP
     idf = np.full(DIM, np.log(1 + total) + 1, np.float32)
     for b, n in df.items():
         idf[b] = np.log((1 + total) / (1 + n)) + 1
-    lettered = known.where(F.col("text").rlike(r"\p{L}")).withColumn("h", F.xxhash64("text"))
-    last = lettered.select("h").distinct().orderBy("h").limit(params.sample).agg(F.max("h")).first()[0]
-    sample = lettered.where(F.col("h") <= F.lit(last)).groupBy("h").agg(F.min(F.struct("lang", "text")).alias("r")).select("r.*")
+    lettered = known.where(F.col("text").rlike(r"\p{L}")).withColumn("h", F.xxhash64("text").bitwiseAND(F.lit((1 << 63) - 1)))
+    # hashes over a threshold stay in their task: little more than the sample is ordered
+    texts = lettered.agg(F.approx_count_distinct("h", 0.05)).first()[0] or 1
+    near = lettered.where(F.col("h") <= F.lit(int(min(1.0, 1.5 * params.sample / texts) * ((1 << 63) - 1024))))
+    last = near.select("h").distinct().orderBy("h").limit(params.sample).agg(F.max("h")).first()[0]
+    sample = near.where(F.col("h") <= F.lit(last)).groupBy("h").agg(F.min(F.struct("lang", "text")).alias("r")).select("r.*")
     rows = sorted(((r["lang"], np.array(r["ids"], np.int32), np.array(r["n"], np.float32)) for r in sample.mapInArrow(_rows, "lang string, ids array<int>, n array<int>").collect()), key=lambda r: (r[0], len(r[1]), r[1].tobytes()))
     langs = sorted({r[0] for r in rows})
     model = LangModel(langs, idf)

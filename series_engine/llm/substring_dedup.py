@@ -161,13 +161,13 @@ def repeated_pieces(docs: DataFrame, key: str = "doc_id") -> DataFrame:
     several = cut.groupBy("mini").agg(F.min("key").alias("low"), F.max("key").alias("high")).where("low < high").select("mini", "low")
     shared = materialize(cut.join(several, "mini"), "paths")
     first = shared.groupBy("mini", "content").agg(F.min("key").alias("source"), F.max("key").alias("last")).where("source < last")
-    judged = shared.join(first.select("mini", "content", "source"), ["mini", "content"], "left")
+    judged = materialize(shared.join(first.select("mini", "content", "source"), ["mini", "content"], "left"), "judged")
     whole = judged.where("source < key").select("key", "start", "edges", "source")
     # open what may share single edges with a smaller document: its own paths, and those of
     # others that could hold them; a path equal to a smaller document's needs no opening
     doubtful = judged.where("low < key and not coalesce(source < key, false)").select("mini").distinct()
     holders = judged.where("not coalesce(source < key, false)").join(doubtful, "mini", "left_semi").select("key", "start", "edges")
-    to_open = holders.groupBy("key").agg(F.collect_list(F.struct("start", "edges")).alias("p"))
+    to_open = materialize(holders.groupBy("key").agg(F.collect_list(F.struct("start", "edges")).alias("p")), "open")
     asked = texts.join(to_open, "key").select("key", "text", F.col("p.start").alias("starts"), F.col("p.edges").alias("edges"))
     edges = materialize(asked.mapInArrow(_open, "e1 bigint, e2 bigint, key bigint, start int"), "edges")
     least = edges.groupBy("e1", "e2").agg(F.min("key").alias("source"), F.max("key").alias("last")).where("source < last").select("e1", "e2", "source")
