@@ -11,7 +11,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialize
+from .common import discard, materialize
 
 
 def _star(links: DataFrame, large: bool) -> DataFrame:
@@ -37,7 +37,8 @@ def components(links: DataFrame, left: str, right: str, max_rounds: int = 60) ->
     mark = lambda d: d.agg(F.count(F.lit(1)), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
     before = mark(now)
     for _ in range(max_rounds if before[0] else 0):
-        now = materialize(_star(_star(now, True), False), "links")
+        last, now = now, materialize(_star(_star(now, True), False), "links")
+        discard(last)
         after = mark(now)
         if after == before:
             break

@@ -32,7 +32,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from xxhash import xxh64_intdigest
 
-from .common import materialize
+from .common import discard, materialize
 
 K = 13
 M = 5
@@ -162,6 +162,7 @@ def repeated_pieces(docs: DataFrame, key: str = "doc_id") -> DataFrame:
     shared = materialize(cut.join(several, "mini"), "paths")
     first = shared.groupBy("mini", "content").agg(F.min("key").alias("source"), F.max("key").alias("last")).where("source < last")
     judged = materialize(shared.join(first.select("mini", "content", "source"), ["mini", "content"], "left"), "judged")
+    discard(shared)
     whole = judged.where("source < key").select("key", "start", "edges", "source")
     # open what may share single edges with a smaller document: its own paths, and those of
     # others that could hold them; a path equal to a smaller document's needs no opening
