@@ -13,6 +13,9 @@ places) are opened into edges, and each edge is joined with the least document t
 it.  Removed pieces of a document that touch are merged into long spans, each with the
 coordinates of its source.
 
+Joins with texts never broadcast the other side: spans grow with the corpus, and their
+compressed size in a file says little about their size in memory.
+
 Words are named by 64-bit hashes and edges by two independent 64-bit sums over them.
 
 Edge cases: null and empty texts have no words; texts under ``k`` words keep all of them;
@@ -169,7 +172,7 @@ def repeated_pieces(docs: DataFrame, key: str = "doc_id") -> DataFrame:
     doubtful = judged.where("low < key and not coalesce(source < key, false)").select("mini").distinct()
     holders = judged.where("not coalesce(source < key, false)").join(doubtful, "mini", "left_semi").select("key", "start", "edges")
     to_open = materialize(holders.groupBy("key").agg(F.collect_list(F.struct("start", "edges")).alias("p")), "open")
-    asked = texts.join(to_open, "key").select("key", "text", F.col("p.start").alias("starts"), F.col("p.edges").alias("edges"))
+    asked = texts.join(to_open.hint("merge"), "key").select("key", "text", F.col("p.start").alias("starts"), F.col("p.edges").alias("edges"))
     edges = materialize(asked.mapInArrow(_open, "e1 bigint, e2 bigint, key bigint, start int"), "edges")
     least = edges.groupBy("e1", "e2").agg(F.min("key").alias("source"), F.max("key").alias("last")).where("source < last").select("e1", "e2", "source")
     single = edges.join(least, ["e1", "e2"]).where("source < key").select("key", "start", F.lit(1).alias("edges"), "source")
@@ -209,7 +212,7 @@ def removal_digests(docs: DataFrame, key: str = "doc_id") -> DataFrame:
     """key, n_words, n_removed, kept_sha256 (of the kept words joined by one space) for every row."""
     spans = materialize(repeated_spans(docs, key).groupBy("key").agg(F.collect_list(F.struct("start", "words")).alias("spans")), "spans")
     texts = docs.select(F.col(key).cast("long").alias("key"), F.col("text").cast("string").alias("text"))
-    return texts.join(spans, "key", "left").select("key", "text", "spans").mapInArrow(_removed, "key bigint, n_words bigint, n_removed bigint, kept_sha256 string")
+    return texts.join(spans.hint("merge"), "key", "left").select("key", "text", "spans").mapInArrow(_removed, "key bigint, n_words bigint, n_removed bigint, kept_sha256 string")
 
 
 def drop_repeats(docs: DataFrame, key: str = "doc_id") -> DataFrame:
@@ -232,5 +235,5 @@ def drop_repeats(docs: DataFrame, key: str = "doc_id") -> DataFrame:
 
         return pd.Series([one(t if isinstance(t, str) else None, s) for t, s in zip(texts, spans)], dtype=object)
 
-    out = docs.join(spans, F.col(key).cast("long") == F.col("_key"), "left").withColumn("text", cleaned(F.col("text"), F.col("_spans")))
+    out = docs.join(spans.hint("merge"), F.col(key).cast("long") == F.col("_key"), "left").withColumn("text", cleaned(F.col("text"), F.col("_spans")))
     return out.select(*[F.col(f"`{c}`") for c in docs.columns])
