@@ -74,9 +74,9 @@ def op_project_math(t):
     return t.events.select("event_id", F.round(F.log(1 + v), 6).alias("log_value"), F.floor(v).alias("whole"), F.round(F.pow(v, F.lit(0.5)), 6).alias("root"), (F.col("event_id") % 7).alias("rest"), F.signum(v - 50).cast("int").alias("side"))
 
 
-@operator("SELECT doc_id, upper(substring(text, 1, 32)) AS head, CAST(length(text) AS BIGINT) AS chars, CAST(instr(text, 'th') AS BIGINT) AS first_th, lpad(CAST(doc_id AS VARCHAR), 8, '0') AS padded FROM documents")
+@operator("SELECT doc_id, upper(replace(substring(text, 1, 32), 'ß', '_')) AS head, CAST(length(text) AS BIGINT) AS chars, CAST(instr(text, 'th') AS BIGINT) AS first_th, lpad(CAST(doc_id AS VARCHAR), 8, '0') AS padded FROM documents")
 def op_string_windows(t):
-    return t.documents.select("doc_id", F.upper(F.substring("text", 1, 32)).alias("head"), F.length("text").cast("long").alias("chars"), F.instr("text", "th").cast("long").alias("first_th"), F.lpad(F.col("doc_id").cast("string"), 8, "0").alias("padded"))
+    return t.documents.select("doc_id", F.upper(F.replace(F.substring("text", 1, 32), F.lit("ß"), F.lit("_"))).alias("head"), F.length("text").cast("long").alias("chars"), F.instr("text", "th").cast("long").alias("first_th"), F.lpad(F.col("doc_id").cast("string"), 8, "0").alias("padded"))
 
 
 @operator("SELECT date_trunc('month', o_orderdate)::TIMESTAMP AS month, CAST((year(o_orderdate) - 1995) * 12 + month(o_orderdate) - 1 AS BIGINT) AS month_index, count(*) AS n FROM orders GROUP BY ALL")
