@@ -1,7 +1,8 @@
 """Quality rules by weak supervision.
 
 Rules vote good (1), bad (-1) or abstain (0) on a document.  Votes are summarised as
-counts of vote patterns (at most 3 ** number of rules rows, whatever the corpus), and
+counts of vote patterns (at most 3 ** number of rules rows, whatever the corpus) of the
+documents that pass the base rules (the others are decided without votes), and
 expectation-maximisation over the patterns estimates how often each rule gives each
 vote in good and in bad documents.  The posterior probability of "good" replaces a
 filter that asks for all rules to pass.
@@ -31,7 +32,10 @@ _P = "_quality_"
 
 @dataclass(frozen=True)
 class QualityParams:
-    """min_words, max_repeat_percent: base rules.  threshold: least posterior that is kept."""
+    """min_words, max_repeat_percent: base rules.  threshold: least posterior that is kept.
+    prior_good, blamed, caught: start values, which also anchor what is estimated: they count
+    as ``smoothing`` further rows and as the share ``anchor`` of the votes that a rule gives in
+    a class, ``anchor_prior`` of the documents."""
 
     min_words: int = 20
     max_repeat_percent: int = 30
@@ -39,9 +43,10 @@ class QualityParams:
     iterations: int = 60
     prior_good: float = 0.85
     smoothing: float = 2.0
-    max_blamed: float = 0.0005
-    min_caught: float = 0.1
-    max_caught: float = 0.3
+    anchor: float = 0.2
+    anchor_prior: float = 1.0
+    blamed: float = 0.005
+    caught: float = 0.2
 
 
 def _covered(positions: Column) -> Column:
@@ -109,7 +114,8 @@ def votes() -> dict[str, Column]:
         "word_length": _vote((chars < 2.5 * n) | (chars > 12 * n), (chars >= 3.5 * n) & (chars <= 9 * n)),
         "upper_case": _vote(_m("n_upper") > 0.4 * chars, _m("n_upper") < 0.1 * chars),
         "shouting": _vote(_m("n_shout") > 0.3 * n, _m("n_shout") <= 0.02 * n),
-        "variety": _vote((_m("n_distinct") < 0.15 * n) & (n >= 20) & (n < 2000), (_m("n_distinct") > 0.35 * n) & (n >= 20)),
+        # distinct words grow as a power of the length, so the power is what is compared
+        "variety": _vote((_m("n_distinct") < F.pow(n, F.lit(0.7))) & (n >= 20), (_m("n_distinct") > F.pow(n, F.lit(0.8))) & (n >= 20)),
     }
 
 
@@ -143,16 +149,19 @@ class VoteModel:
 def fit(patterns: list[tuple[tuple[int, ...], float]], rules: tuple[str, ...] = RULES, params: QualityParams = QualityParams()) -> VoteModel:
     """Expectation-maximisation over (votes, count) rows.
 
-    Classes keep their meaning by bounds on what may be estimated: a rule blames at most
-    ``max_blamed`` of the good documents that it votes on, and catches between
-    ``min_caught`` and ``max_caught`` of the bad ones: each rule knows one kind of fault, so
-    its good vote must not outweigh another rule's bad one.
+    Classes keep their meaning by where the estimation starts and by anchors, not by bounds:
+    what a rule shows in the corpus decides how much its bad vote says and whether good
+    votes of others outweigh it.  A rule whose bad votes would speak for a document says nothing.
     """
-    model = VoteModel(params.prior_good, dict.fromkeys(rules, params.max_caught), dict.fromkeys(rules, params.max_blamed))
-    smooth = params.smoothing
+    model = VoteModel(params.prior_good, dict.fromkeys(rules, params.caught), dict.fromkeys(rules, params.blamed))
+
+    def rate(hits: float, n: float, start: float, anchor: float = params.anchor) -> float:
+        weight = params.smoothing + anchor * n
+        return (hits + weight * start) / (n + weight)
+
     for _ in range(params.iterations if patterns else 0):
-        bad = {r: [params.max_caught * smooth, smooth] for r in rules}  # bad votes, votes
-        good = {r: [params.max_blamed * smooth, smooth] for r in rules}
+        bad = {r: [0.0, 0.0] for r in rules}  # bad votes, votes
+        good = {r: [0.0, 0.0] for r in rules}
         of_good = total = 0.0
         for pattern, count in patterns:
             odds = math.log(model.prior / (1 - model.prior)) + sum(model.weight(r, v) for r, v in zip(rules, pattern))
@@ -164,23 +173,29 @@ def fit(patterns: list[tuple[tuple[int, ...], float]], rules: tuple[str, ...] =
                     bad[r][1] += count * (1 - p)
                     good[r][0] += count * p * (v < 0)
                     good[r][1] += count * p
-        model = VoteModel(
-            min(0.95, max(0.5, (of_good + smooth * params.prior_good) / (total + smooth))),
-            {r: min(params.max_caught, max(params.min_caught, x / n)) for r, (x, n) in bad.items()},
-            {r: min(params.max_blamed, max(1e-5, x / n)) for r, (x, n) in good.items()},
-        )
+        caught = {r: rate(*bad[r], params.caught) for r in rules}
+        blamed = {r: rate(*good[r], params.blamed) for r in rules}
+        for r in rules:
+            if caught[r] < blamed[r]:
+                caught[r] = blamed[r] = rate(bad[r][0] + good[r][0], bad[r][1] + good[r][1], params.blamed)
+        model = VoteModel(rate(of_good, total, params.prior_good, params.anchor_prior), caught, blamed)
     return model
 
 
-def vote_patterns(measured: DataFrame) -> list[tuple[tuple[int, ...], float]]:
-    """Counts of vote patterns of all documents; at most 3 ** len(RULES) = 2,187 rows reach the driver."""
-    rows = measured.select(*[v.alias(r) for r, v in votes().items()]).groupBy(*RULES).count().collect()
+def _failed(params: QualityParams) -> Column:
+    return (_m("n_words") < params.min_words) | (_m("n_repeat_words") * 100 > _m("n_words") * params.max_repeat_percent)
+
+
+def vote_patterns(measured: DataFrame, params: QualityParams = QualityParams()) -> list[tuple[tuple[int, ...], float]]:
+    """Counts of vote patterns of all documents that votes decide, i.e. that pass the base
+    rules; at most 3 ** len(RULES) = 2,187 rows reach the driver."""
+    rows = measured.where(~_failed(params)).select(*[v.alias(r) for r, v in votes().items()]).groupBy(*RULES).count().collect()
     return sorted((tuple(int(r[x]) for x in RULES), float(r["count"])) for r in rows)
 
 
 def judge(measured: DataFrame, model: VoteModel, params: QualityParams = QualityParams()) -> DataFrame:
     """Adds the measures under their own names, ``base_failed``, ``quality_score`` and ``kept``."""
-    failed = (_m("n_words") < params.min_words) | (_m("n_repeat_words") * 100 > _m("n_words") * params.max_repeat_percent)
+    failed = _failed(params)
     quality = 1 / (1 + F.exp(-model.log_odds(votes())))
     out = measured.withColumns({f"{_P}failed": failed, f"{_P}good": quality})
     added = {m: _m(m) for m in MEASURES} | {"base_failed": _m("failed"), "quality_score": _m("good"), "kept": ~_m("failed") & (_m("good") >= params.threshold)}
@@ -195,7 +210,7 @@ def quality_verdicts(docs: DataFrame, key: str = "doc_id", params: QualityParams
     folder, counted into vote patterns and judged from there.
     """
     measured = materialize(measure(docs.select(key, "text")).drop("text"), "quality")
-    return judge(measured, fit(vote_patterns(measured), params=params), params)
+    return judge(measured, fit(vote_patterns(measured, params), params=params), params)
 
 
 def keep_good(docs: DataFrame, params: QualityParams = QualityParams()) -> DataFrame:
@@ -205,7 +220,7 @@ def keep_good(docs: DataFrame, params: QualityParams = QualityParams()) -> DataF
     than joining texts with verdicts.
     """
     columns = docs.columns
-    model = fit(vote_patterns(measure(docs.select("text"))), params=params)
+    model = fit(vote_patterns(measure(docs.select("text")), params), params=params)
     tagged = docs.select(F.struct(*[F.col(f"`{c}`") for c in columns]).alias("row"), F.col("text"))
     kept = judge(measure(tagged).drop("text"), model, params).where("kept")
     return kept.select(*[F.col("row").getField(c).alias(c) for c in columns])

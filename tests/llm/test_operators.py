@@ -66,6 +66,36 @@ def test_estimation_prefers_rules_that_agree():
     assert model.accuracy("a") > 0.8 and model.weight("a", -1) < 0 < model.weight("a", 1) and model.weight("a", 0) == 0
 
 
+def odds(model, rules, votes):
+    return np.log(model.prior / (1 - model.prior)) + sum(model.weight(r, v) for r, v in zip(rules, votes))
+
+
+def test_one_bad_vote_is_overruled_where_the_corpus_shows_that_it_errs():
+    rules = ("a", "b", "c", "d")
+    errs = quality.fit([((-1, 1, 1, 1), 300.0), ((1, -1, -1, -1), 100.0), ((1, 1, 1, 1), 600.0)], rules)
+    assert odds(errs, rules, (-1, 1, 1, 1)) > 0 > odds(errs, rules, (1, -1, -1, -1))
+    rare = quality.fit([((-1, 1, 1, 1), 10.0), ((1, 1, 1, 1), 900.0)], rules)
+    assert odds(rare, rules, (-1, 1, 1, 1)) < 0 < odds(rare, rules, (1, 1, 1, 1))
+
+
+def test_the_corpus_changes_a_verdict(spark):
+    prose = lambda i: " ".join(f"word{chr(97 + (i + j) % 26)}{chr(97 + j % 23)}" for j in range(40))
+    listing = lambda i: prose(i) + " | <a> # $x & %y *" * 2 + " <b> | & # *"
+    kept = {}
+    for n in (4, 60):  # many documents of technical text, or a few
+        rows = [(i, listing(i) if i < n else prose(i)) for i in range(120)] + [(1000 + i, "! " * 30 + "# A B C D E | <> " * 3) for i in range(12)]
+        kept[n] = dict(rows_of(quality.quality_verdicts(spark.createDataFrame(rows, "doc_id long, text string")), "doc_id", "kept"))
+        assert kept[n][119] and not kept[n][1000]
+    assert not kept[4][0] and kept[60][0]
+
+
+def test_variety_is_judged_at_every_length(spark):
+    rng = np.random.default_rng(2)
+    texts = [(1, " ".join(f"w{i}" for i in rng.integers(0, 60, 6000))), (2, " ".join(f"w{int(i)}" for i in np.minimum(rng.zipf(1.3, 6000), 1e9))), (3, " ".join(f"w{i}" for i in rng.integers(0, 6, 100)))]
+    m = quality.measure(spark.createDataFrame(texts, "doc_id long, text string"))
+    assert dict(rows_of(m.select("doc_id", quality.votes()["variety"].alias("v")), "doc_id", "v")) == {1: -1, 2: 1, 3: -1}
+
+
 @pytest.mark.parametrize("table", ["edge", "docs"])
 def test_exact_dedup(table, request):
     df = request.getfixturevalue(table)
