@@ -150,6 +150,21 @@ _LO, _HI = _ends("c.s[i]")
 _PAIRS = "q JOIN c ON c.series_id % 16 = q.series_id % 16"
 
 
+#: Queries a block; blocks are hash parts, so some are larger.
+_BLOCK = 1_500
+
+
+def _by_block(queries: DataFrame, answer: Callable[[DataFrame], DataFrame]) -> DataFrame:
+    return search.in_blocks(queries, answer, max(1, -(-queries.count() // _BLOCK)))
+
+
+def _all_pairs(words: DataFrame, pairs: Callable[[DataFrame], DataFrame]) -> DataFrame:
+    """``pairs`` of all rows with every row whose id is divisible by 50."""
+    x = written(words, "pairs")
+    q = x.where("series_id % 50 = 0").select(F.col("series_id").alias("query_id"), F.col("z").alias("qz"), F.col("m").alias("qm"))
+    return _by_block(q, lambda part: pairs(x.crossJoin(F.broadcast(part))))
+
+
 def _pairs(words: DataFrame) -> DataFrame:
     """Queries against the part of the collection that shares their id's remainder by 16."""
     x = written(words, "pairs")
@@ -186,15 +201,35 @@ def leaf_upper_bounds(spark, sf_dir):
 @query(f"WITH {O.words('walks', 8)}, {O.held(20)} SELECT q.series_id AS query_id, count(*) AS pairs, count(*) FILTER (WHERE list_distance(q.z, c.z) < 0) AS above FROM {_PAIRS} GROUP BY 1")
 def bound_violations(spark, sf_dir):
     """Pairs whose lower bound exceeds their distance: none, for words, means and envelopes."""
-    p = _pairs(_words(spark, sf_dir, "walks", 8)).withColumn("e", S.envelope(F.col("qz"), 6))
+    return _violations(_pairs(_words(spark, sf_dir, "walks", 8)))
+
+
+@query()
+def bound_violations_all_rows(spark, sf_dir):
+    """The same for every row with an id divisible by 50 against all rows."""
+    return _all_pairs(_words(spark, sf_dir, "walks", 8), _violations)
+
+
+def _violations(p: DataFrame) -> DataFrame:
+    p = p.withColumn("e", S.envelope(F.col("qz"), 6))
     d = D.ed(F.col("qz"), F.col("z")) + D.SLACK
     bad = (D.mindist_word(F.col("qm"), F.col("s"), 8, 64, 8) > d) | (D.mindist_paa(F.col("qm"), F.col("m"), 64, 8) > d) | (D.lb_envelope(F.col("e.upper"), F.col("e.lower"), F.col("z")) > d)
     return p.groupBy("query_id").agg(F.count(F.lit(1)).alias("pairs"), F.count_if(bad).alias("above"))
 
 
+def _distances(p: DataFrame) -> DataFrame:
+    return p.select("query_id", "series_id", F.round(D.ed(F.col("qz"), F.col("z")), 6).alias("distance"))
+
+
 @query(f"WITH {O.words('walks', 8)}, {O.held(20)} SELECT q.series_id AS query_id, c.series_id, round(list_distance(q.z, c.z), 6) AS distance FROM {_PAIRS}")
 def ed_pairs(spark, sf_dir):
-    return _pairs(_words(spark, sf_dir, "walks", 8)).select("query_id", "series_id", F.round(D.ed(F.col("qz"), F.col("z")), 6).alias("distance"))
+    return _distances(_pairs(_words(spark, sf_dir, "walks", 8)))
+
+
+@query()
+def ed_pairs_all_rows(spark, sf_dir):
+    """Every row with an id divisible by 50 against all rows."""
+    return _all_pairs(_words(spark, sf_dir, "walks", 8), _distances)
 
 
 _DTW_PAIRS = f"""WITH RECURSIVE {O.normal('monthly')},
@@ -237,6 +272,12 @@ def _collection(spark, sf_dir, name: str, limit: int = 20) -> tuple[DataFrame, D
     return builders.held_out(s, limit=limit)
 
 
+def _all_rows(spark, sf_dir, name: str) -> tuple[DataFrame, DataFrame]:
+    """All rows, and as queries every row whose id is divisible by 50."""
+    s = written(builders.BUILDERS[name](spark, sf_dir).select("series_id", "values"), name)
+    return s, s.where("series_id % 50 = 0").select(F.col("series_id").alias("query_id"), "values")
+
+
 def _word_table(spark, sf_dir, name: str, p: BuildParams) -> DataFrame:
     coll, _ = _collection(spark, sf_dir, name)
     return written(words_of(coll, p, O.LENGTH[name]), "words")
@@ -508,6 +549,28 @@ for _policy in ("adaptive", "binary", "binary_rr", "fullary", "dynseg"):
 query(O.knn("walks", 10, 20), "exact_fuzzy")(_exact("fuzzy"))
 
 
+def _indexed_all_rows(answer, policy: str = "adaptive"):
+    """``answer(index, queries)`` for every row with an id divisible by 50 against all rows, by block."""
+
+    def f(spark, sf_dir):
+        rows, q = _all_rows(spark, sf_dir, "walks")
+        ix = build_index(rows, POLICY[policy])
+        return _answers(_by_block(q, lambda part: answer(ix, part)))
+
+    return f
+
+
+for _policy in ("adaptive", "binary", "binary_rr", "fullary", "dynseg"):
+    query(None, f"exact_ed_{_policy}_all_rows")(_indexed_all_rows(lambda ix, q: search.search_exact(ix, q, 10), _policy))
+query(None, "exact_fuzzy_all_rows")(_indexed_all_rows(lambda ix, q: search.search_exact(ix, q, 10), "fuzzy"))
+
+
+@query()
+def knn_scan_ed_all_rows(spark, sf_dir):
+    rows, q = _all_rows(spark, sf_dir, "vectors")
+    return _answers(_by_block(q, lambda part: search.knn_scan(rows, part, 5)))
+
+
 @query(f"SELECT query_id, CAST(row_number() OVER (ORDER BY distance, series_id) AS INTEGER) AS rank, series_id, distance FROM ({_DTW_PAIRS}) ORDER BY distance, series_id LIMIT 5")
 def exact_dtw(spark, sf_dir):
     coll, q = _collection(spark, sf_dir, "monthly")
@@ -541,14 +604,11 @@ def _extended(nbr: int):
 
 
 for _nbr in (1, 5, 25):
-    query(None, f"extended_{_nbr}")(_extended(_nbr))
+    query(None, f"extended_{_nbr}")(_indexed_all_rows(lambda ix, q, nbr=_nbr: search.search_extended(ix, q, 5, nbr)))
 query(O.knn("walks", 5, 20), "extended_all")(_extended(1_000_000))
 
 
-@query()
-def budget_search(spark, sf_dir):
-    coll, q = _collection(spark, sf_dir, "walks")
-    return _answers(search.search_budget(build_index(coll, POLICY["adaptive"]), q, 5, 8))
+query(None, "budget_search")(_indexed_all_rows(lambda ix, q: search.search_budget(ix, q, 5, 8)))
 
 
 @query(O.knn("walks", 5, 20))
@@ -557,16 +617,10 @@ def epsilon0(spark, sf_dir):
     return _answers(search.search_exact(build_index(coll, POLICY["adaptive"]), q, 5, epsilon=0.0, delta=1.0))
 
 
-@query()
-def epsilon_search(spark, sf_dir):
-    coll, q = _collection(spark, sf_dir, "walks")
-    return _answers(search.search_exact(build_index(coll, POLICY["adaptive"]), q, 5, epsilon=0.5))
+query(None, "epsilon_search")(_indexed_all_rows(lambda ix, q: search.search_exact(ix, q, 5, epsilon=0.5)))
 
 
-@query()
-def delta_epsilon_search(spark, sf_dir):
-    coll, q = _collection(spark, sf_dir, "walks")
-    return _answers(search.search_exact(build_index(coll, POLICY["adaptive"]), q, 5, epsilon=0.5, delta=0.9))
+query(None, "delta_epsilon_search")(_indexed_all_rows(lambda ix, q: search.search_exact(ix, q, 5, epsilon=0.5, delta=0.9)))
 
 
 @query()
