@@ -84,7 +84,10 @@ _CUE = {
     "account": ("iban", "account", "acct", "konto", "compte", "cuenta", "ssn", "social", "passport"),
     "birth": ("born", "birth", "dob", "geboren", "geburtstag", "né", "née", "naissance", "nacido", "nacida", "nacimiento"),
 }
-_SECRET = re.compile(r"(?i)\b([a-z][a-z0-9_-]{2,19})\s{0,2}[:=]\s{0,2}[\"']?([^\s\"',;]{8,200})|\b((?:sk|pk|ghp|xox[abp]|AKIA)[_-]?[A-Za-z0-9_-]{16,100})\b")
+# Names and values have any length.  Possessive runs, and names that only begin where a run
+# does, keep the search linear.
+_SECRET = re.compile(r"(?i)(?<![a-z0-9_-])[0-9_-]*+([a-z][a-z0-9_-]{2,}+)\s{0,2}[:=]\s{0,2}[\"']?([^\s\"',;]{8,}+)|\b((?:sk|pk|ghp|xox[abp]|AKIA)[_-]?[A-Za-z0-9_-]{16,}(?<=[A-Za-z0-9_]))")
+_PARTS = re.compile(r"[a-z0-9]+")
 _ACCOUNT = re.compile(r"\b([A-Z]{2}[0-9]{2}(?: ?[A-Z0-9]{4}){3,7}(?: ?[A-Z0-9]{1,3})?|[0-9]{3}-[0-9]{2}-[0-9]{4})\b")
 _BIRTH = re.compile(r"\b((?:19|20)[0-9]{2}[-/.](?:0?[1-9]|1[0-2])[-/.](?:0?[1-9]|[12][0-9]|3[01])|(?:0?[1-9]|[12][0-9]|3[01])[-/.](?:0?[1-9]|1[0-2])[-/.](?:19|20)[0-9]{2})\b")
 _FORM = {"secret": re.compile(r"(?=.*[0-9])(?=.*[A-Za-z])[A-Za-z0-9+/_=.-]{8,}$"), "account": re.compile(r"[A-Z]{2}[0-9]{2}[A-Z0-9 ]{11,}$|[0-9]{3}-[0-9]{2}-[0-9]{4}$"), "birth": re.compile(r".{8,10}$")}
@@ -115,7 +118,7 @@ def proposals(text: str | None, taken: list[tuple[str, int, int]]) -> list[tuple
         digits, letters = sum(map(str.isdigit, span)) / len(span), sum(map(str.isalpha, span)) / len(span)
         counts = [span.count(c) / len(span) for c in set(span)]
         entropy = -sum(p * math.log2(p) for p in counts)
-        cue = name.lower() in _CUE[kind] or any(w in _CUE[kind] for w in near[-2:])
+        cue = name.lower() in _CUE[kind] or any(w in _CUE[kind] for w in _PARTS.findall(name.lower())) or any(w in _CUE[kind] for w in near[-2:])
         votes = (
             _vote(bool(_FORM[kind].match(span)), not digits),
             _vote(cue, bool(name) and not cue),

@@ -1,6 +1,7 @@
 """Every operator against a plain version, on edge cases and on whole small tables."""
 
 import hashlib
+import time
 import zlib
 from collections import Counter, defaultdict
 
@@ -198,6 +199,30 @@ def test_personal_data_finds_secrets_and_leaves_prose(spark, docs):
     assert clean.where(r"text rlike '[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+([.][A-Za-z0-9-]+)+'").count() == 0
 
 
+def test_secrets_of_any_length(spark, docs):
+    rng = np.random.default_rng(4)
+    secret = lambda n: "".join(rng.choice(list("ABCDEFGHabcdefghijkmnpq0123456789_"), n - 1)) + "x"
+    rows = []
+    for n in (150, 500, 5000):
+        s = secret(n)
+        for text in (f"use token: {s} now", f"PRODUCTION_SECRET_ACCESS_KEY={s}", f"--password='{s}'", f"take sk-{s}, then", f"AKIA{s}- end"):
+            (kind, a, b, _, _), *more = pii.proposals(text, [])
+            assert kind == "secret" and text[a:b].endswith(s) and len(text[a:b]) - n <= 4 and not more, text
+            rows.append((-len(rows) - 1, text, s))
+    assert pii.proposals("PRODUCTION_SECRET_ACCESS_KEY=a1b2c3d4e5f6", [])[0][3][1] == 1
+    planted = spark.createDataFrame(rows, "doc_id long, text string, secret string")
+    both = docs.select("doc_id", "text").union(planted.select("doc_id", "text"))
+    clean = dict(rows_of(pii.redact(both).where("doc_id < 0"), "doc_id", "text"))
+    assert len(clean) == len(rows) and not any(s[-50:] in clean[d] for d, _, s in rows)
+
+
+def test_secret_pattern_is_linear_on_long_runs():
+    for text in ("a-" * 200_000, "sk-" * 100_000 + "-" * 100_000, "-" * 200_000, "a=" * 200_000, "abc:short " * 20_000, "9" * 200_000 + "_a:"):
+        start = time.perf_counter()
+        assert len([1 for _ in pii._SECRET.finditer(text)]) <= 1
+        assert time.perf_counter() - start < 5
+
+
 def test_base_patterns_on_long_runs():
     assert pii.base_spans("9" * 200_000) == [] and pii.base_spans("a" * 200_000 + "@") == [] and pii.base_spans("1." * 100_000) != []
 
