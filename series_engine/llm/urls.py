@@ -6,7 +6,8 @@ on partitions) and become one SQL expression, so that scoring is a plain project
 
 Features: lengths, depth, digit ratio, entropy of the host's characters, number of
 parameters, hyphens, and the share of blocked rows among labelled URLs with the same host
-suffix and with the same first path part (smoothed; counted over all labelled rows).
+suffix and with the same first path part (smoothed; every value is counted, over all
+labelled rows, in a table that is joined).
 
 Edge cases: a null URL or one without ``://`` has empty host and path, no rule fits, and
 the trees judge it on its (zero) features; repeated rows are judged alike; without labelled
@@ -32,11 +33,9 @@ FEATURES = (*NUMERIC, "suffix_rate", "part_rate")
 
 @dataclass(frozen=True)
 class GbtParams:
-    """sample: most labelled rows that the trees are fitted on.  suffixes: most host suffixes
-    and path parts with a statistic of their own (the most frequent; the rest share one)."""
+    """sample: most labelled rows that the trees are fitted on."""
 
     sample: int = 20_000
-    suffixes: int = 1_000
     trees: int = 30
     depth: int = 3
     rate: float = 0.2
@@ -90,19 +89,16 @@ def with_features(pages: DataFrame, url: str = "url") -> DataFrame:
     })
 
 
-def _rates(labelled: DataFrame, by: str, params: GbtParams) -> tuple[dict[str, float], float]:
-    """Share of blocked rows by value, over all labelled rows; at most ``suffixes`` values."""
-    rows = labelled.groupBy(by).agg(F.count(F.lit(1)).alias("n"), F.sum("y").alias("y")).orderBy(F.desc("n"), by).limit(params.suffixes).collect()
-    n, y = sum(r["n"] for r in rows), sum(r["y"] for r in rows)
-    mean = (y + 1) / (n + 2)
-    return {r[by] or "": (r["y"] + 10 * mean) / (r["n"] + 10) for r in rows}, mean
-
-
-def _rate_column(value: Column, rates: dict[str, float], mean: float) -> Column:
-    if not rates:
-        return F.lit(mean)
-    table = F.map_from_arrays(F.array(*map(F.lit, rates)), F.array(*map(F.lit, rates.values())))
-    return F.coalesce(F.try_element_at(table, F.coalesce(value, F.lit(""))), F.lit(mean))
+def _with_rates(seen: DataFrame, labelled: DataFrame) -> DataFrame:
+    """``seen`` with suffix_rate and part_rate: the share of blocked rows among labelled rows
+    of the same value, for every value; values without labelled rows get the mean of all."""
+    n, y = labelled.agg(F.count(F.lit(1)), F.sum("y")).first()
+    mean = ((y or 0) + 1) / (n + 2)
+    for k in ("suffix", "part"):
+        value = F.coalesce(F.col(f"_url_{k}"), F.lit(""))
+        rates = labelled.groupBy(value.alias("_url_value")).agg(((F.sum("y") + 10 * mean) / (F.count(F.lit(1)) + 10)).alias(f"{k}_rate"))
+        seen = seen.join(rates, value == F.col("_url_value"), "left").drop("_url_value").na.fill(mean, [f"{k}_rate"])
+    return seen
 
 
 def _grow(rows, bins, grad, hess, members, depth, p: GbtParams):
@@ -180,18 +176,17 @@ def url_verdicts(pages: DataFrame, key: str = "page_id", url: str = "url", rules
     """key, host, path, rule, verdict, block_score for every row."""
     seen = materialize(with_features(pages.select(F.col(key).alias("key"), F.col(url).cast("string").alias("url"))), "urls")
     verdicts = F.create_map(*[F.lit(x) for r in rules for x in r])
-    labelled = seen.where("_url_rule is not null").withColumn("y", (F.try_element_at(verdicts, F.col("_url_rule")) == "block").cast("int"))
-    stats = {k: _rates(labelled, f"_url_{k}", params) for k in ("suffix", "part")}
-    columns = {n: F.col(f"_url_{n}") for n in NUMERIC} | {f"{k}_rate": _rate_column(F.col(f"_url_{k}"), *stats[k]) for k in stats}
+    label = lambda rows: rows.where("_url_rule is not null").withColumn("y", (F.try_element_at(verdicts, F.col("_url_rule")) == "block").cast("int"))
+    scored = materialize(_with_rates(seen, label(seen)), "rates")
+    labelled = label(scored)
+    named = {n: F.col(f"_url_{n}") if n in NUMERIC else F.col(n) for n in FEATURES}
     order = F.xxhash64("url", "key")
     # rows over a threshold of the hash never leave their task, so the driver gets little more than the sample
     share = min(1.0, 1.2 * params.sample / max(1, labelled.count()))
     near = labelled.withColumn("o", order).where(F.pmod("o", F.lit(1 << 20)) < F.lit(int(share * (1 << 20))))
-    rows = near.select(F.pmod("o", F.lit(1 << 20)).alias("p"), "o", "y", *[c.alias(n) for n, c in columns.items()]).orderBy("p", "o", *FEATURES, "y").limit(params.sample).collect()
+    rows = near.select(F.pmod("o", F.lit(1 << 20)).alias("p"), "o", "y", *[c.alias(n) for n, c in named.items()]).orderBy("p", "o", *FEATURES, "y").limit(params.sample).collect()
     start, trees, cuts = boost([tuple(float(r[n]) for n in FEATURES) for r in rows], [r["y"] for r in rows], params)
     score = F.lit(start if rows else (-1.0 if params.default == "allow" else 1.0))
-    scored = seen.withColumns({n: c for n, c in columns.items() if n not in NUMERIC})
-    named = {n: F.col(f"_url_{n}") if n in NUMERIC else F.col(n) for n in FEATURES}
     for t in trees:
         score = score + tree_column(t, cuts, named)
     block = F.round(1 / (1 + F.exp(-score)), 9)

@@ -175,6 +175,22 @@ def test_url_trees_learn_and_the_column_equals_the_walk(spark):
     assert df.select(((score > 0).cast("int") == F.col("y")).cast("int").alias("r")).agg(F.avg("r")).first()[0] > 0.97
 
 
+def test_url_rates_are_counted_for_every_value(spark, monkeypatch):
+    """More host suffixes and path parts than any list of the most frequent ones would hold."""
+    blocked = [f"http://n{i}.net/p{i}/x" for i in range(1500) for _ in range(1 + (i < 1100))]
+    allowed = [f"http://w.o{i}.org/fr/x" for i in range(1500) for _ in range(1 + (i < 1100))]
+    rows = [(i, u) for i, u in enumerate(blocked + allowed + ["http://o1400.org/p1400/", "http://new.example/other", None])]
+    seen = []
+    monkeypatch.setattr(urls, "boost", lambda values, labels, params, f=urls.boost: seen.extend(values) or f(values, labels, params))
+    out = urls.url_verdicts(spark.createDataFrame(rows, "page_id long, url string"))
+    assert out.count() == len(rows)
+    mean = (len(blocked) + 1) / (len(blocked + allowed) + 2)
+    rate = lambda n, y: round((y + 10 * mean) / (n + 10), 9)
+    suffix, part = urls.FEATURES.index("suffix_rate"), urls.FEATURES.index("part_rate")
+    want = Counter({(rate(1, 1), rate(1, 1)): 400, (rate(2, 2), rate(2, 2)): 2200, (rate(1, 0), rate(len(allowed), 0)): 400, (rate(2, 0), rate(len(allowed), 0)): 2200})
+    assert Counter((round(v[suffix], 9), round(v[part], 9)) for v in seen) == want
+
+
 @pytest.mark.parametrize("table", ["edge", "docs"])
 def test_personal_data(table, request):
     df = request.getfixturevalue(table)
