@@ -11,7 +11,7 @@ in a document with a smaller id is removed as one piece.  Paths that share a min
 a smaller document without being equal to one (the ends of repeated passages, edited
 places) are opened into edges, and each edge is joined with the least document that has
 it.  Removed pieces of a document that touch are merged into long spans, each with the
-coordinates of its source.
+id of its source.
 
 Joins with texts never broadcast the other side: spans grow with the corpus, and their
 compressed size in a file says little about their size in memory.
