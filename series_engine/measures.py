@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from .functions.distances import upper_bounds_rows
 from .plans.index import SeriesIndex
-from .plans.storage import written
+from .plans.order import positions
 
 TIE = 1e-9
 
@@ -79,6 +79,8 @@ def structure(ix: SeriesIndex) -> dict:
 def space_model(ix: SeriesIndex) -> int:
     """Bytes by formula: words of all series, and node and leaf entries."""
     t, p = ix.tree, ix.params
+    if hasattr(t, "space"):
+        return t.space()
     if not hasattr(t, "csl"):
         return sum(8 * (len(c) + 4 * (len(c) - 1)) for c in t.cuts)
     leaves = t.below(0)
@@ -118,20 +120,6 @@ def random_writes(ix: SeriesIndex, buffer: int) -> int:
     return numbered.select(F.floor(F.col("pos") / buffer).alias("b"), "leaf_id").distinct().count()
 
 
-def positions(rows: DataFrame, order: list[str]) -> DataFrame:
-    """``rows`` with ``pos``, their place in the order, without one task for all: numbers
-    inside range partitions, after the counts of the partitions before."""
-    ranked = written(rows.repartitionByRange(*order).withColumn("part", F.spark_partition_id()), "ranked")
-    inside = ranked.withColumn("i", F.row_number().over(Window.partitionBy("part").orderBy(*order)) - 1)
-    counts = {r["part"]: r["count"] for r in ranked.groupBy("part").count().collect()}
-    start, total = [], 0
-    for k in sorted(counts):
-        start.append((k, total))
-        total += counts[k]
-    offsets = rows.sparkSession.createDataFrame(start, "part int, first long")
-    return inside.join(F.broadcast(offsets), "part").withColumn("pos", F.col("i") + F.col("first")).drop("part", "i", "first")
-
-
 def pruned_shares(ix: SeriesIndex, leaves_read: int, series_read: int, queries: int) -> tuple[float, float]:
     """(share of leaves, share of series) that an average query did not read."""
     leaves = len(ix.tree.below(0))

@@ -19,8 +19,16 @@ def bytes_of(rows: np.ndarray) -> pa.Array:
     return pa.Array.from_buffers(pa.binary(), len(rows), [None, pa.py_buffer(offsets.tobytes()), pa.py_buffer(rows.tobytes())])
 
 
-def words_from(column: pa.Array, w: int) -> np.ndarray:
-    return np.frombuffer(b"".join(column.to_pylist()), np.uint8).reshape(-1, w)
+def words_from(column: pa.Array | pa.ChunkedArray, w: int) -> np.ndarray:
+    """Rows of a binary column whose entries all have ``w`` bytes, without an object for each."""
+    if isinstance(column, pa.ChunkedArray):
+        return np.concatenate([words_from(c, w) for c in column.chunks]) if column.num_chunks else np.zeros((0, w), np.uint8)
+    if not len(column):
+        return np.zeros((0, w), np.uint8)
+    if pa.types.is_large_binary(column.type):
+        column = column.cast(pa.binary())
+    offsets = np.frombuffer(column.buffers()[1], np.int32, len(column) + 1, 4 * column.offset)
+    return np.frombuffer(column.buffers()[2], np.uint8, int(offsets[-1] - offsets[0]), int(offsets[0])).reshape(-1, w)
 
 
 def lists_of(x: np.ndarray, kind=pa.float64()) -> pa.Array:

@@ -24,10 +24,15 @@ from .index import SeriesIndex, new_segment
 from .objective import SearchCost
 from .pack import pack_prefix
 from .params import BuildParams
+from .sortedtree import sorted_tree
 from .storage import written
 from .tree import INTERNAL, LEAF, PACK, ROOT, WordTree, border_gaps, decide, groups_of, grow
 
 
+#: Most bytes of raw values from which one task grows a tree of dynamic segmentations.
+DYN_BYTES = 256 << 20
+
+
 def checked(series: DataFrame, n: int | None = None) -> tuple[DataFrame, DataFrame, int]:
     """(good, rejected, n): rows of another length, with nulls or NaN, or without an id go to
     the side output.  n is the first row's length where it isn't given."""
@@ -86,11 +91,17 @@ def root_tree(words: DataFrame, p: BuildParams) -> tuple[WordTree, list[tuple[in
 
 
 def split_round(words: DataFrame, tree: WordTree, big: list[tuple[int, str]], p: BuildParams) -> list[tuple[int, str]]:
-    """Splits nodes too large for a task by aggregates over all their words; returns their full children."""
+    """Splits nodes too large for a task by aggregates over all their words; returns their full
+    children.  A node's counts (at most 2 ** w) meet in one task, which decides; only its plan
+    and the sizes of its children reach the driver."""
     shared = words.sparkSession.sparkContext.broadcast(tree)
     wanted = np.array([n for n, _ in big])
+    cells = words.sparkSession.sparkContext.broadcast({n: (tree.pfx_bits[n], tree.pfx_len[n]) for n, _ in big})
     names = [f"{x}{i}" for x in "sq" for i in range(p.w)]
 
+    def counted(rows: DataFrame) -> DataFrame:
+        return rows.mapInArrow(run, schema).groupBy("node", "sid").agg(F.sum("n").alias("n"), *[F.sum(x).alias(x) for x in names])
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         t, mids = shared.value, midpoints(p.bits)
         for b in batches:
@@ -110,30 +121,50 @@ def split_round(words: DataFrame, tree: WordTree, big: list[tuple[int, str]], p:
             cols = list(zip(*rows)) or [()] * (3 + 2 * p.w)
             yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64() if i < 3 else pa.float64()) for i, c in enumerate(cols)], names=["node", "sid", "n", *names])
 
-    schema = "node long, sid long, n long, " + ", ".join(f"{x} double" for x in names)
-    rows = words.select("word").mapInArrow(run, schema).groupBy("node", "sid").agg(F.sum("n").alias("n"), *[F.sum(x).alias(x) for x in names]).collect()
-    out = []
-    for node, label in big:
-        mine = [r for r in rows if r["node"] == node]
-        sums = next(r for r in mine if r["sid"] == -1)
-        usable = tuple(s for s in range(p.w) if tree.pfx_len[node][s] < p.bits)
+    def routed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            yield pa.RecordBatch.from_arrays([pa.array(shared.value.route(arrow.words_from(b.column(1), p.w))), *b.columns], names=["node", "series_id", "word"])
+
+    def choose(key, pdf):
+        import pandas as pd
+
+        bits, lens = cells.value[int(key[0])]
+        usable = tuple(s for s in range(p.w) if lens[s] < p.bits)
+        first = pdf[pdf["first"]] if p.when == "just_full" else pdf
+        sums = first[first["sid"] == -1].iloc[0]
         mean = np.array([sums[f"s{s}"] / sums["n"] for s in usable])
         var = np.maximum(np.array([sums[f"q{s}"] / sums["n"] for s in usable]) - mean * mean, 0.0)
-        base = np.zeros(1 << len(usable), np.int64)
-        for r in mine:
-            if r["sid"] >= 0:
-                base[r["sid"]] = r["n"]
-        plan = decide(sums["n"], mean, var, lambda: base, tree.pfx_bits[node], tree.pfx_len[node], usable, p)
-        tree.csl[node] = plan
+
+        def base(of):
+            out, own = np.zeros(1 << len(usable), np.int64), of[of["sid"] >= 0]
+            out[own["sid"].to_numpy()] = own["n"].to_numpy()
+            return out
+
+        plan = decide(int(sums["n"]), mean, var, lambda: base(first), bits, lens, usable, p)
+        every = base(pdf[~pdf["first"]])
         lacking = tuple(i for i, s in enumerate(usable) if s not in plan)
-        counts = base.reshape((2,) * len(usable)).sum(axis=lacking).reshape(-1)
-        out += _attach(tree, node, {s: int(n) for s, n in enumerate(counts) if n}, p, label)
+        counts = every.reshape((2,) * len(usable)).sum(axis=lacking).reshape(-1)
+        sids = np.flatnonzero(counts)
+        return pd.DataFrame({"node": [int(key[0])], "plan": [list(plan)], "sids": [sids.tolist()], "sizes": [counts[sids].tolist()]})
+
+    schema = "node long, sid long, n long, " + ", ".join(f"{x} double" for x in names)
+    rows = counted(words.select("word")).withColumn("first", F.lit(False))
+    if p.when == "just_full":  # decided from the first th + 1 series of a node, counted over all
+        order = F.row_number().over(Window.partitionBy("node").orderBy("series_id"))
+        early = words.select("series_id", "word").mapInArrow(routed, "node long, series_id long, word binary").where(F.col("node").isin(wanted.tolist())).withColumn("i", order).where(F.col("i") <= p.th + 1)
+        rows = rows.unionByName(counted(early.select("word")).withColumn("first", F.lit(True)))
+    chosen = {r["node"]: r for r in rows.groupBy("node").applyInPandas(choose, "node long, plan array<int>, sids array<long>, sizes array<long>").collect()}
+    out = []
+    for node, label in big:
+        tree.csl[node] = tuple(chosen[node]["plan"])
+        out += _attach(tree, node, dict(zip(chosen[node]["sids"], chosen[node]["sizes"])), p, label)
     return out
 
 
-def _walk_copies(words: DataFrame, tree: WordTree, p: BuildParams) -> DataFrame:
+def _walk_copies(words: DataFrame, tree: WordTree, p: BuildParams, only: set[int] | None = None) -> DataFrame:
     """Rows for the nodes that the driver's tree ends in: every series once as itself, and
-    copies across the borders of that tree's own splits, nearest and highest first."""
+    copies across the borders of that tree's own splits, nearest and highest first.  Copies
+    to other ends than ``only`` are counted and left out."""
     shared = words.sparkSession.sparkContext.broadcast(tree)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -160,7 +191,7 @@ def _walk_copies(words: DataFrame, tree: WordTree, p: BuildParams) -> DataFrame:
                         if nxt is None:
                             break
                         end = nxt
-                    if t.is_leaf(end):
+                    if t.is_leaf(end) and (only is None or end in only):
                         rows.append((end, int(ids[at[i]]), w[at[i]].tobytes(), True, float(gap), t.depth[node]))
                 for s in np.unique(sid):
                     if (child := t.routes[node].get(int(s))) is not None:
@@ -178,56 +209,90 @@ def local_subtrees(placed: DataFrame, tree: WordTree, full: list[tuple[int, str]
     """One row with the pickled subtree for each full node, and one for each copy made inside it."""
     shared = placed.sparkSession.sparkContext.broadcast({n: (tree.pfx_bits[n], tree.pfx_len[n], label) for n, label in full})
 
-    def run(key, pdf):
-        import pandas as pd
-
-        bits, lens, label = shared.value[key[0]]
-        pdf = pdf.sort_values(["is_copy", "series_id"], kind="stable").drop_duplicates("series_id")
-        pdf = pdf.sort_values("series_id", kind="stable").reset_index(drop=True)
-        words = np.frombuffer(b"".join(pdf["word"]), np.uint8).reshape(-1, p.w)
+    def run(key, table):
+        start = key[0].as_py()
+        bits, lens, label = shared.value[start]
+        ids, copy, used = (table.column(c).to_numpy() for c in ("series_id", "is_copy", "used"))
+        order = np.lexsort((copy, ids))
+        order = order[np.append(True, np.diff(ids[order]) != 0)]  # one row a series, itself before its copies
+        words, ids, copy, used = arrow.words_from(table.column("word").combine_chunks(), p.w)[order], ids[order], copy[order].astype(bool), used[order]
         cost = SearchCost()
-        sub, at_leaf, copies = grow(words, ~pdf["is_copy"].to_numpy(bool), np.where(pdf["is_copy"], p.max_copies, pdf["used"]).astype(np.int64), bits, lens, p, label, cost)
-        ids = pdf["series_id"].to_numpy()
-        guests = [(int(ids[i]), int(at_leaf[i])) for i in np.flatnonzero(pdf["is_copy"].to_numpy(bool))] + [(int(ids[i]), leaf) for i, leaf in copies]
+        sub, at_leaf, copies = grow(words, ~copy, np.where(copy, p.max_copies, used).astype(np.int64), bits, lens, p, label, cost)
+        guests = [(int(ids[i]), int(at_leaf[i])) for i in np.flatnonzero(copy)] + [(int(ids[i]), leaf) for i, leaf in copies]
         sub.guests_in = {}
         for _, leaf in guests:
             sub.guests_in[leaf] = sub.guests_in.get(leaf, 0) + 1
         sub.cost = (cost.plans_scored, cost.cells_touched)
-        out = [(key[0], pickle.dumps(sub), None, None)] + [(key[0], None, i, leaf) for i, leaf in guests]
-        return pd.DataFrame(out, columns=["start", "tree", "series_id", "leaf"]).astype({"series_id": "Int64", "leaf": "Int64"})
+        out = [(start, pickle.dumps(sub), None, None)] + [(start, None, i, leaf) for i, leaf in guests]
+        return pa.table([pa.array(c, k) for c, k in zip(zip(*out), (pa.int64(), pa.binary(), pa.int64(), pa.int64()))], names=["start", "tree", "series_id", "leaf"])
 
     wanted = F.broadcast(placed.sparkSession.createDataFrame([(n,) for n, _ in full], "start long"))
-    return placed.join(wanted, "start", "left_semi").groupBy("start").applyInPandas(run, "start long, tree binary, series_id long, leaf long")
+    return placed.join(wanted, "start", "left_semi").groupBy("start").applyInArrow(run, "start long, tree binary, series_id long, leaf long")
 
 
-def build_tree(words: DataFrame, p: BuildParams) -> tuple[WordTree, DataFrame | None, dict]:
-    """(tree with numbered leaves, copies as (series_id, leaf_id) or None, counters)."""
-    spark = words.sparkSession
-    tree, full = root_tree(words, p)
-    rounds = 0
+def grow_full(words: DataFrame, tree: WordTree, full: list[tuple[int, str]], p: BuildParams) -> tuple[dict[int, list[int]], DataFrame | None, DataFrame, dict]:
+    """Grows the subtrees of full nodes into ``tree``: by rounds over the cluster while a node
+    is too large for a task, then one task each.  words: those that lead to these nodes or to
+    other ends of the tree.
+
+    Returns (new numbers of each subtree's nodes, copies made inside them as (start,
+    series_id, leaf), where series lie in the driver's tree, counters).
+    """
+    counters = {"rounds": 0, "plans_scored": 0, "cells_touched": 0}
     while big := [(n, label) for n, label in full if tree.size[n] > p.local_limit and any(k < p.bits for k in tree.pfx_len[n])]:
         full = [x for x in full if x not in big] + split_round(words, tree, big, p)
-        rounds += 1
+        counters["rounds"] += 1
     placed = _walk_copies(words, tree, p)
     if p.f > 0:
         placed = written(placed, "placed")
-    counters = {"rounds": rounds, "plans_scored": 0, "cells_touched": 0}
     numbers: dict[int, list[int]] = {}
-    inside = None
-    if full:
-        grown = written(local_subtrees(placed, tree, full, p), "subtrees")
-        for r in grown.where("tree is not null").select("start", "tree").collect():
-            sub = pickle.loads(bytes(r["tree"]))
-            counters["plans_scored"] += sub.cost[0]
-            counters["cells_touched"] += sub.cost[1]
-            if len(sub) == 1:  # words of equal bits: an oversize leaf
-                tree.kind[r["start"]], tree.oversize[r["start"]] = LEAF, sub.oversize[0]
-                numbers[r["start"]] = [r["start"]]
-            else:
-                numbers[r["start"]] = tree.graft(r["start"], sub)
-            for leaf, n in sub.guests_in.items():
-                tree.n_copies[numbers[r["start"]][leaf]] = n
-        inside = grown.where("series_id is not null").select("start", "series_id", "leaf")
+    if not full:
+        return numbers, None, placed, counters
+    grown = written(local_subtrees(placed, tree, full, p), "subtrees")
+    for r in grown.where("tree is not null").select("start", "tree").collect():
+        sub = pickle.loads(bytes(r["tree"]))
+        counters["plans_scored"] += sub.cost[0]
+        counters["cells_touched"] += sub.cost[1]
+        if len(sub) == 1:  # words of equal bits: an oversize leaf
+            tree.kind[r["start"]], tree.oversize[r["start"]] = LEAF, sub.oversize[0]
+            numbers[r["start"]] = [r["start"]]
+        else:
+            numbers[r["start"]] = tree.graft(r["start"], sub)
+        for leaf, n in sub.guests_in.items():
+            tree.n_copies[numbers[r["start"]][leaf]] = n
+    return numbers, grown.where("series_id is not null").select("start", "series_id", "leaf"), placed, counters
+
+
+def _nearest(copies: DataFrame, tree: WordTree, ends: list[int], p: BuildParams) -> DataFrame:
+    """(series_id, leaf_id, home): copies (start, series_id, gap, home) that the leaf nodes
+    ``ends`` have room for, nearest first."""
+    room = copies.sparkSession.createDataFrame([(n, int(tree.leaf_id[n]), int(p.th - tree.size[n] - tree.n_copies[n])) for n in ends], "start long, leaf_id long, room long")
+    order = F.row_number().over(Window.partitionBy("start").orderBy("gap", "series_id"))
+    near = copies.dropDuplicates(["start", "series_id"]).join(room.where("room > 0"), "start").withColumn("i", order)
+    return near.where(F.col("i") <= p.th).where("i <= room").select("series_id", "leaf_id", "home")
+
+
+def border_copies(words: DataFrame, tree: WordTree, p: BuildParams, ends: list[int]) -> DataFrame:
+    """(series_id, leaf_id, home): copies that the leaf nodes ``ends`` take of the series in
+    ``words`` across borders of any split of the tree; home: the series' own leaf id."""
+    ids = np.array(tree.leaf_id, np.int64)
+    placed = _walk_copies(words, tree, p, set(ends)).where("is_copy")
+    shared = words.sparkSession.sparkContext.broadcast((tree, ids))
+
+    def homes(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        t, ids = shared.value
+        for b in batches:
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), b.column(2), pa.array(ids[t.route(arrow.words_from(b.column(3), p.w))])], names=["start", "series_id", "gap", "home"])
+
+    near = placed.select("start", "series_id", "gap", "word").mapInArrow(homes, "start long, series_id long, gap double, home long")
+    return _nearest(near, tree, ends, p)
+
+
+def build_tree(words: DataFrame, p: BuildParams) -> tuple[WordTree, DataFrame | None, dict]:
+    """(tree with numbered leaves, copies as (series_id, leaf_id) or None, counters)."""
+    spark = words.sparkSession
+    tree, full = root_tree(words, p)
+    numbers, inside, placed, counters = grow_full(words, tree, full, p)
     tree.number_leaves()
     if p.f <= 0:
         return tree, None, counters
@@ -235,21 +300,36 @@ def build_tree(words: DataFrame, p: BuildParams) -> tuple[WordTree, DataFrame |
     named = spark.createDataFrame(flat, "start long, leaf long, leaf_id long") if flat else None
     copies = inside.join(named, ["start", "leaf"]).select("series_id", "leaf_id") if named is not None else spark.createDataFrame([], "series_id long, leaf_id long")
     # leaves of the driver's tree take copies, nearest first, while they have room
-    ends = [(n, tree.leaf_id[n], p.th - tree.size[n]) for n in range(len(tree)) if tree.is_leaf(n) and n not in numbers and tree.leaf_id[n] >= 0 and not any(n in ns for ns in numbers.values())]
+    grafted = {n for ns in numbers.values() for n in ns}
+    ends = [n for n in range(len(tree)) if tree.is_leaf(n) and tree.leaf_id[n] >= 0 and n not in grafted]
     if ends:
-        room = spark.createDataFrame(ends, "start long, leaf_id long, room long")
-        order = F.row_number().over(Window.partitionBy("start").orderBy("gap", "series_id"))
-        direct = placed.where("is_copy").join(F.broadcast(room), "start").dropDuplicates(["start", "series_id"]).withColumn("i", order).where("i <= room").select("series_id", "leaf_id")
-        copies = copies.unionByName(direct)
+        direct = _nearest(placed.where("is_copy").withColumn("home", F.lit(-1).cast("long")), tree, ends, p)
+        copies = copies.unionByName(direct.select("series_id", "leaf_id"))
     copies = written(copies.distinct(), "copies")
+    count_copies(tree, copies)
+    return tree, copies, counters
+
+
+def count_copies(tree: WordTree, copies: DataFrame) -> None:
+    """Numbers of copies of the leaves that ``copies`` (series_id, leaf_id) are all of."""
     at = {leaf: n for n, leaf in enumerate(tree.leaf_id) if leaf >= 0 and tree.is_leaf(n)}
     for r in copies.groupBy("leaf_id").count().collect():
         tree.n_copies[at[r["leaf_id"]]] = r["count"]
-    return tree, copies, counters
+    tree._leaves = None
+
 
+def write_by_leaf(rows: DataFrame, p: BuildParams, n: int, count: int, path: str) -> None:
+    """Rows of the data schema, range-partitioned and sorted by leaf: one shuffle.  Files hold
+    at most about ``pack_bytes``; a leaf of many copies is spread by series id."""
+    files = -(-count * (8 * n + p.w + 17) // p.pack_bytes)
+    more = files > int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    by = rows.repartitionByRange(files, "leaf_id", "series_id") if more else rows.repartitionByRange("leaf_id", "series_id")
+    by.sortWithinPartitions("leaf_id", "series_id").write.option("parquet.block.size", str(min(p.pack_bytes, 128 << 20))).parquet(path)
 
-def materialize(series: DataFrame, tree, copies: DataFrame | None, p: BuildParams, n: int, path: str) -> None:
-    """Series with word and leaf, range-partitioned and sorted by leaf: one shuffle of the raw data."""
+
+def materialize(series: DataFrame, tree, copies: DataFrame | None, p: BuildParams, n: int, path: str, carriers: DataFrame | None = None) -> None:
+    """Series with word and leaf: one shuffle of the raw data.  copies: (series_id, leaf_id);
+    their values are those of ``carriers`` (by default of ``series``)."""
     shared = series.sparkSession.sparkContext.broadcast(tree)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -261,18 +341,20 @@ def materialize(series: DataFrame, tree, copies: DataFrame | None, p: BuildParam
             at = t.route_values(x) if isinstance(t, DynTree) else t.route(words)
             yield pa.RecordBatch.from_arrays([pa.array(ids[at]), b.column(0), arrow.bytes_of(words), arrow.lists_of(x), pa.array(np.zeros(len(x), bool))], names=["leaf_id", "series_id", "word", "values", "is_copy"])
 
-    rows = series.select("series_id", "values").mapInArrow(run, "leaf_id long, series_id long, word binary, values array<double>, is_copy boolean")
+    schema = "leaf_id long, series_id long, word binary, values array<double>, is_copy boolean"
+    rows = series.select("series_id", "values").mapInArrow(run, schema)
     if copies is not None:
-        more = rows.drop("leaf_id", "is_copy").join(copies, "series_id").select("leaf_id", "series_id", "word", "values", F.lit(True).alias("is_copy"))
+        of = rows if carriers is None else carriers.select("series_id", "values").mapInArrow(run, schema)
+        more = of.drop("leaf_id", "is_copy").join(copies.select("series_id", "leaf_id"), "series_id").select("leaf_id", "series_id", "word", "values", F.lit(True).alias("is_copy"))
         rows = rows.unionByName(more)
-    rows.repartitionByRange("leaf_id").sortWithinPartitions("leaf_id", "series_id").write.parquet(path)
+    write_by_leaf(rows, p, n, tree.size[0] if len(tree) else 0, path)
 
 
 def _dyn_tree(series: DataFrame, p: BuildParams, n: int) -> DynTree:
-    """One task grows it while the collection fits (``local_limit`` series); larger
-    collections are first cut at quantiles of their first segments' means."""
+    """One task grows it while the collection fits (``local_limit`` series and ``DYN_BYTES`` of
+    values); larger collections are first cut at quantiles of their first segments' means."""
     total = series.count()
-    parts = max(1, -(-total // p.local_limit))
+    parts = max(1, -(-total // max(1, min(p.local_limit, DYN_BYTES // (8 * n)))))
     first = F.aggregate(F.slice("values", 1, max(1, n // 4)), F.lit(0.0), lambda a, v: a + v) / max(1, n // 4)
     keyed = series.select("series_id", "values")
     if p.normalize:
@@ -342,6 +424,9 @@ def build_index(series: DataFrame, params: BuildParams = BuildParams(), path: st
     if params.policy == "dynseg":
         tree, copies = _dyn_tree(good, params, n), None
         lap("tree")
+    elif params.packing == "sorted":
+        tree, copies = sorted_tree(written(words_of(good, params, n), "words"), params), None
+        lap("tree")
     else:
         words = written(words_of(good, params, n), "words")
         lap("words")
@@ -353,7 +438,7 @@ def build_index(series: DataFrame, params: BuildParams = BuildParams(), path: st
         lap("tree")
     materialize(good, tree, copies, params, n, path)
     lap("materialize")
-    return SeriesIndex(spark, tree, params, n, [(path, set())], timings=timings | counters)
+    return SeriesIndex(spark, tree, params, n, [(path, 0)], timings=timings | counters)
 
 
 def complete(tree: WordTree, words: DataFrame, p: BuildParams) -> None:

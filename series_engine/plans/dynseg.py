@@ -68,6 +68,7 @@ class DynTree:
                 self.leaf_id[node], k = k, k + 1
             else:
                 stack += reversed(self.kids[node])
+        self.last_leaf_id = k - 1
 
     def leaf_nodes(self) -> list[int]:
         return sorted((n for n in range(len(self)) if self.is_leaf(n)), key=lambda n: self.leaf_id[n])

@@ -50,12 +50,13 @@ def base_distribution(bits_next: np.ndarray) -> np.ndarray:
     return np.bincount(sid, minlength=1 << k)
 
 
-def choose_plan(seg_var: np.ndarray, base: np.ndarray, usable: tuple[int, ...], size: int, th: int, alpha: float, f_low: float, f_high: float, search: str = "restricted", skip_degenerate: bool = False, cost: SearchCost | None = None, byte_budget: int = 64 << 20) -> tuple[int, ...]:
+def choose_plan(seg_var: np.ndarray, base: np.ndarray, usable: tuple[int, ...], size: int, th: int, alpha: float, f_low: float, f_high: float, search: str = "restricted", skip_degenerate: bool = False, cost: SearchCost | None = None, byte_budget: int = 64 << 20, codes: np.ndarray | None = None) -> tuple[int, ...]:
     """The plan with the best score; larger plans win ties, then the lexicographically first.
 
     seg_var: variance of each usable segment; base: counts over all combinations of the
     usable segments' next bits.  "exhaustive" tries all sizes of plans; "flat" sums every
-    plan's cells from the base again.
+    plan's cells from the base again; "rescan" counts them over all series (``codes``: the
+    next bits by series and segment), as a search without any counts to reuse must.
     """
     w, cost = len(usable), cost if cost is not None else SearchCost()
     low, high = (1, w) if search == "exhaustive" else fanout_range(size, th, f_low, f_high, w)
@@ -72,7 +73,10 @@ def choose_plan(seg_var: np.ndarray, base: np.ndarray, usable: tuple[int, ...],
             for plan in part:
                 lacking = [s for s in range(w) if s not in plan]
                 parent = tuple(sorted((*plan, lacking[0]))) if lacking else None  # the one superset that each plan comes from
-                if search != "flat" and parent in above:
+                if codes is not None and search == "rescan":
+                    got = base_distribution(codes[:, list(plan)])
+                    cost.cells_touched += len(codes)
+                elif search not in ("flat", "rescan") and parent in above:
                     got = above[parent].sum(axis=parent.index(lacking[0]))
                     cost.cells_touched += 2 << lam
                 else:

@@ -22,6 +22,7 @@ class WordTree:
         for f in self.FIELDS:
             setattr(self, f, [])
         self.leaf_id: list[int] = []
+        self.last_leaf_id = -1  # ids are never used again
         self._leaves = None
 
     def __len__(self) -> int:
@@ -107,6 +108,7 @@ class WordTree:
                 k += 1
             else:
                 stack += reversed(self.children(node))
+        self.last_leaf_id = k - 1
         self._leaves = None
 
     # ---- what searches ask for --------------------------------------------------------
@@ -168,25 +170,25 @@ def split_point(pfx_bits, pfx_len, s: int) -> float:
     return breakpoints(pfx_len[s] + 1)[2 * pfx_bits[s]]
 
 
-def decide(size: int, mid_mean: np.ndarray, seg_var: np.ndarray, base_of, pfx_bits, pfx_len, usable: tuple[int, ...], p: BuildParams, cost: SearchCost | None = None) -> tuple[int, ...]:
+def decide(size: int, mid_mean: np.ndarray, seg_var: np.ndarray, base_of, pfx_bits, pfx_len, usable: tuple[int, ...], p: BuildParams, cost: SearchCost | None = None, codes_of=None) -> tuple[int, ...]:
     """Segments to split on, from aggregates alone: means and variances of midpoints, and
-    counts of next bits (``base_of()`` gives them when they are needed)."""
+    counts of next bits (``base_of()`` gives them when they are needed).  The "rescan" search
+    counts the series of every plan anew where ``codes_of`` can give their next bits."""
     if p.policy == "fullary":
         return usable
     if p.policy == "binary":
         return (min(usable, key=lambda s: (abs(mid_mean[usable.index(s)] - split_point(pfx_bits, pfx_len, s)), s)),)
     if p.policy == "binary_rr":
         return (min(usable, key=lambda s: (pfx_len[s], s)),)
-    return choose_plan(seg_var, base_of(), usable, size, p.th, p.alpha, p.f_low, p.f_high, p.search, p.skip_degenerate, cost)
+    return choose_plan(seg_var, base_of(), usable, size, p.th, p.alpha, p.f_low, p.f_high, p.search, p.skip_degenerate, cost, codes=codes_of() if p.search == "rescan" and codes_of else None)
 
 
-def border_gaps(words: np.ndarray, pfx_bits, pfx_len, csl, sids: np.ndarray, p: BuildParams, means: np.ndarray | None = None) -> np.ndarray:
+def border_gaps(words: np.ndarray, pfx_bits, pfx_len, csl, sids: np.ndarray, p: BuildParams) -> np.ndarray:
     """Rows x chosen segments: distance from the split's breakpoint where a series is within
     ``f`` of the width of the cell on the other side, else infinite."""
     lam, out = len(csl), np.full((len(words), len(csl)), np.inf)
     for j, s in enumerate(csl):
-        value = means[:, s] if p.fuzzy_by == "paa" and means is not None else midpoints(p.bits)[words[:, s]]
-        gap = np.abs(value - split_point(pfx_bits, pfx_len, s))
+        gap = np.abs(midpoints(p.bits)[words[:, s]] - split_point(pfx_bits, pfx_len, s))
         own = (sids >> (lam - 1 - j)) & 1
         e = edges(pfx_len[s] + 1, CAP)
         other = 2 * pfx_bits[s] + (1 - own)
@@ -199,7 +201,7 @@ def groups_of(p: BuildParams, sizes: dict[int, int], lam: int, node: str) -> lis
     """Which small children share a leaf."""
     if p.packing == "none":
         return [[s] for s in sorted(sizes)]
-    if p.packing in ("size", "sorted"):
+    if p.packing == "size":
         return pack_by_size(sizes, p.th)
     return pack_leaves(sizes, lam, p.th, p.rho, p.r, p.seed, node)
 
@@ -231,7 +233,7 @@ def grow(words: np.ndarray, native: np.ndarray, used: np.ndarray, pfx_bits, pfx_
         need_spread = p.policy not in ("fullary", "binary_rr")
         plan = decide(
             len(seen), midpoints(p.bits)[mine[:, list(usable)]].mean(axis=0) if need_spread else None, segment_variance(mine, usable, p.bits) if need_spread else None,
-            lambda: base_distribution(next_bits(mine, bits, lens, usable, p.bits)), bits, lens, usable, p, cost)
+            lambda: base_distribution(next_bits(mine, bits, lens, usable, p.bits)), bits, lens, usable, p, cost, lambda: next_bits(mine, bits, lens, usable, p.bits))
         tree.csl[node], tree.kind[node] = plan, INTERNAL
         lam = len(plan)
         sid, guest_sid = tree.sids(node, words[rows]), tree.sids(node, words[guests])

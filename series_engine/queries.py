@@ -491,7 +491,7 @@ def packing_size(spark, sf_dir):
 @query(f"WITH {O.words('vectors', 4)}, b AS (SELECT series_id, array_to_string(list_transform(range(0, 32), lambda i: CAST((s[i % 4 + 1] >> (7 - i // 4)) & 1 AS VARCHAR)), '') AS bits FROM words) SELECT series_id, (row_number() OVER (ORDER BY bits, series_id) - 1) // 20 AS pack FROM b")
 def packing_sorted(spark, sf_dir):
     """Packs of 20 in the order of interleaved words; positions come from range partitions and their counts."""
-    from .measures import positions
+    from .plans.order import positions
 
     b = _words(spark, sf_dir, "vectors", 4).select("series_id", S.interleave(F.col("s"), 4, 8).alias("bits"))
     return positions(b, ["bits", "series_id"]).select("series_id", F.floor(F.col("pos") / 20).alias("pack"))

@@ -17,7 +17,7 @@ from pyspark.sql.streaming.stateful_processor import StatefulProcessor, Stateful
 
 from ..plans import update
 from ..plans.index import SeriesIndex
-from ..plans.storage import fresh_path
+from ..plans.storage import fresh_path, shared_dir
 
 EVENTS = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
 DELAY = "1 hour"
@@ -111,15 +111,22 @@ def assembled_stream(events: DataFrame, n: int = 32, stride: int = 4) -> DataFra
     return events.select("user_id", "ts", "event_id", "value").groupBy("user_id").transformWithStateInPandas(Assembler(n, stride), "series_id long, values array<double>", "Append", "None")
 
 
-def stream_into(ix: SeriesIndex, stream: DataFrame, reorganize: bool = False) -> SeriesIndex:
-    """Inserts every micro-batch of (series_id, values); a batch that comes again is not taken again."""
+def stream_into(ix: SeriesIndex, stream: DataFrame, reorganize: bool = False, name: str | None = None) -> SeriesIndex:
+    """Inserts every micro-batch of (series_id, values); a batch that comes again is not taken again.
+
+    ``name`` says which stream it is: its checkpoint and its batch ids belong to that name
+    and to this index, so a later call goes on where the last one ended.  Without a name
+    every call is a stream of its own.
+    """
+    name = name or f"once-{uuid.uuid4().hex}"
 
     def take(batch: DataFrame, batch_id: int) -> None:
-        update.insert(ix, batch, batch_id)
+        update.insert(ix, batch, batch_id, name)
         if reorganize:
             update.reorganize(ix)
 
-    stream.writeStream.foreachBatch(take).option("checkpointLocation", fresh_path(ix.spark, "stream-insert")).trigger(availableNow=True).start().awaitTermination()
+    checkpoint = f"{shared_dir(ix.spark)}/stream-insert-{ix.uid}-{name}"
+    stream.writeStream.foreachBatch(take).option("checkpointLocation", checkpoint).trigger(availableNow=True).start().awaitTermination()
     return ix
 
 
