@@ -2,15 +2,17 @@
 
 Queries are few and the tree is on the driver, so the leaves to read are chosen there by
 their lower bounds, before the job that reads them is built: its file filter is a literal
-list of leaf ids.  The job computes distances batch by batch and keeps k rows per query
-and batch; only those are shuffled.
+of intervals of leaf ids.  The job reads each leaf once, computes distances batch by batch
+and keeps k rows and one row of counts per query and batch; only those are shuffled.
 
 Ties: equal bounds by leaf id, equal distances by series id.
 """
 
 from __future__ import annotations
 
+import heapq
 import time
+import warnings
 from collections.abc import Iterator
 from dataclasses import dataclass, field
 
@@ -48,10 +50,17 @@ class SearchStats:
     seconds: float = 0.0
 
 
-def prepare(queries: DataFrame, n: int, w: int, bits: int, normalize: bool = True, metric: str = "ed", band: float = BAND) -> Queries:
+def prepare(queries: DataFrame, n: int, w: int, bits: int, normalize: bool = True, metric: str = "ed", band: float = BAND, strict: bool = False) -> Queries:
+    """Queries on the driver.  Those without an id or values have no answers; those of another
+    length than ``n`` have none either and are warned of (``strict``: raise)."""
     rows = sorted(queries.select("query_id", "values").where("query_id is not null and values is not null").limit(MAX_QUERIES + 1).collect(), key=lambda r: r["query_id"])
     if len(rows) > MAX_QUERIES:
         raise ValueError(f"more than {MAX_QUERIES} queries: take them block by block (see in_blocks)")
+    other = [r["query_id"] for r in rows if len(r["values"]) != n]
+    if other and strict:
+        raise ValueError(f"{len(other)} queries are not of length {n}, the first is {other[0]}")
+    if other:
+        warnings.warn(f"{len(other)} queries are not of length {n} and get no answers, the first is {other[0]}", stacklevel=2)
     rows = [r for r in rows if len(r["values"]) == n]
     x = np.array([r["values"] for r in rows], np.float64).reshape(-1, n)
     x = znormalize_rows(x) if normalize else x
@@ -114,7 +123,8 @@ def knn_scan(series: DataFrame, queries: DataFrame, k: int, metric: str = "ed",
 
 def _read(ix: SeriesIndex, q: Queries, wanted: dict[int, list[tuple[int, float]]], k: int, word_filter: bool = True) -> tuple[list, dict[int, list[int]]]:
     """Reads leaves (leaf_id -> [(query position, best so far)]); k best rows per query, and
-    [series read, computed] by query position."""
+    [series read, computed] by query position.  One scan; rows of leaves that the file filter
+    lets through beside the wanted ones are passed over."""
     if not wanted:
         return [], {}
     shared = ix.spark.sparkContext.broadcast((q, wanted))
@@ -150,18 +160,21 @@ def _read(ix: SeriesIndex, q: Queries, wanted: dict[int, list[tuple[int, float]]
                 _, first = np.unique(i, return_index=True)  # copies of one series
                 first.sort()
                 best.append((at, d[first[:k]], i[first[:k]]))
-            counts = [(-1 - at, np.array([float(c[1])]), np.array([c[0]])) for at, c in seen.items()]
-            yield _batch([r for r in best if len(r[1])] + counts)
-
-    data = ix.data(sorted(wanted), ("leaf_id", "series_id", "word", "values"))
-    if len(wanted) > 10_000:
-        data = data.join(F.broadcast(ix.spark.createDataFrame([(x,) for x in wanted], "leaf_id long")), "leaf_id", "left_semi")
-    found = data.mapInArrow(run, "query_id long, series_id long, distance double")
-    counts = found.where("query_id < 0").groupBy("query_id").agg(F.sum("series_id").alias("read"), F.sum("distance").alias("done"))
-    best = top_k(found.where("query_id >= 0"), k, distinct=True)
-    both = best.select("query_id", "series_id", "distance", F.lit(None).cast("double").alias("done")).unionByName(counts.select("query_id", F.col("read").alias("series_id"), F.lit(None).cast("double").alias("distance"), "done"))
-    rows = both.collect()
-    return [(r["query_id"], r["distance"], r["series_id"]) for r in rows if r["query_id"] >= 0], {-1 - r["query_id"]: [int(r["series_id"]), int(r["done"])] for r in rows if r["query_id"] < 0}
+            rows = [r for r in best if len(r[1])]
+            found_rows = _batch(rows)
+            counts = pa.array([None] * len(found_rows) + [c[0] for c in seen.values()], pa.int64()), pa.array([None] * len(found_rows) + [c[1] for c in seen.values()], pa.int64())
+            pad = pa.nulls(len(seen), pa.int64())
+            yield pa.RecordBatch.from_arrays([
+                pa.concat_arrays([found_rows.column(0), pa.array(list(seen), pa.int64())]), pa.concat_arrays([found_rows.column(1), pad]),
+                pa.concat_arrays([found_rows.column(2), pa.nulls(len(seen), pa.float64())]), *counts], names=["query_id", "series_id", "distance", "read", "done"])
+
+    data = ix.data(sorted(wanted), ("leaf_id", "series_id", "word", "values"), loose=True)
+    found = data.mapInArrow(run, "query_id long, series_id long, distance double, read long, done long")
+    # rows of counts have no series id: together they are one group of each query, and its first
+    merged = found.groupBy("query_id", "series_id").agg(F.min("distance").alias("distance"), F.sum("read").alias("read"), F.sum("done").alias("done"))
+    order = Window.partitionBy("query_id").orderBy(F.col("series_id").isNotNull(), "distance", "series_id")
+    rows = merged.withColumn("i", F.row_number().over(order)).where(F.col("i") <= k + 1).collect()
+    return [(r["query_id"], r["distance"], r["series_id"]) for r in rows if r["series_id"] is not None], {r["query_id"]: [r["read"], r["done"]] for r in rows if r["series_id"] is None}
 
 
 class _Best:
@@ -192,32 +205,51 @@ def _prepared(ix: SeriesIndex, queries: DataFrame, metric: str, band: float) ->
     return prepare(queries, ix.n, p.w, p.bits, p.normalize, metric, band)
 
 
-def extended_leaves(tree, query: QuerySummary, word: np.ndarray, nbr: int) -> list[int]:
+def _leaf_counts(tree) -> list[int]:
+    """Number of leaves under each node."""
+    out = [0] * len(tree)
+    for node in tree.below(0) if len(tree) else ():
+        while node >= 0:
+            out[node] += 1
+            node = tree.parent[node]
+    return out
+
+
+def _first_leaf(tree, node: int) -> int:
+    while not tree.is_leaf(node):
+        node = tree.children(node)[0]
+    return node
+
+
+def extended_leaves(tree, query: QuerySummary, word: np.ndarray, nbr: int, counts: list[int] | None = None) -> list[int]:
     """Leaf nodes that a search over ``nbr`` leaves reads, in reading order.
 
     Down from the root while a node has more than ``nbr`` leaves; where the way ends, that
     node and its siblings are taken by lower bound (the node itself first).  A subtree with
-    more leaves than are still to be read gives its best ones by bound.
+    more leaves than are still to be read gives its best ones by bound.  counts: of the
+    leaves under each node, where a caller asks for many queries.
     """
-    every = tree.below(0)
-    if len(every) <= nbr:
-        return every
+    counts = _leaf_counts(tree) if counts is None else counts
+    if counts[0] <= nbr:
+        return tree.below(0)
     path = tree.path(word, query.values)
-    end = next((i for i, node in enumerate(path) if len(tree.below(node)) <= nbr), len(path) - 1)
+    end = next((i for i, node in enumerate(path) if counts[node] <= nbr), len(path) - 1)
     node = path[end]
-    if not tree.is_leaf(node) and len(tree.below(node)) > nbr:  # the way ends in a cell without series
+    if not tree.is_leaf(node) and counts[node] > nbr:  # the way ends in a cell without series
         family, own = tree.children(node), None
     else:
         family, own = (tree.children(path[end - 1]) if end else [node]), node
+    family = [n for n in family if counts[n]]
     bounds = dict(zip(family, tree.bounds(query, family)))
-    key = lambda n: (n != own, bounds[n], tree.leaf_id[n] if tree.is_leaf(n) else tree.leaf_id[tree.below(n)[0]])
+    key = lambda n: (n != own, bounds[n], tree.leaf_id[_first_leaf(tree, n)])
     out: list[int] = []
     for member in sorted(family, key=key):
-        leaves = tree.below(member)
-        if len(leaves) > nbr - len(out):
-            by = dict(zip(leaves, tree.bounds(query, leaves)))
-            leaves = sorted(leaves, key=lambda n: (by[n], tree.leaf_id[n]))[: nbr - len(out)]
-        out += leaves
+        room = nbr - len(out)
+        if counts[member] <= room:
+            out += tree.below(member)
+        else:
+            way = _Descent(tree, query, None, member)
+            out += [way.next_node(np.inf) for _ in range(room)]
         if len(out) >= nbr:
             break
     return out
@@ -228,8 +260,9 @@ def search_extended(ix: SeriesIndex, queries: DataFrame, k: int, nbr: int, metri
     began, stats = time.time(), stats if stats is not None else SearchStats()
     q = _prepared(ix, queries, metric, band)
     wanted: dict[int, list[tuple[int, float]]] = {}
+    counts = _leaf_counts(ix.tree)
     for at, (s, w) in enumerate(zip(q.summaries, q.words)):
-        leaves = extended_leaves(ix.tree, s, w, nbr)
+        leaves = extended_leaves(ix.tree, s, w, nbr, counts)
         stats.leaves[q.ids[at]] = len(leaves)
         for node in leaves:
             wanted.setdefault(ix.tree.leaf_id[node], []).append((at, np.inf))
@@ -266,6 +299,74 @@ def delta_radius(ix: SeriesIndex, q: Queries, delta: float, sample: int = 1_000)
     return out
 
 
+#: Most bounds of all queries together that the driver keeps in order; beyond it, each
+#: query's leaves come from a descent of the tree that holds its frontier alone.
+MAX_BOUNDS = 10_000_000
+
+
+class _Sorted:
+    """A query's leaf ids by (bound, leaf id), its own leaf first; all bounds at once."""
+
+    def __init__(self, tree, query: QuerySummary, home: int | None, nodes: np.ndarray, leaf_ids: np.ndarray):
+        self.bounds, self.ids, self.home, self.at = tree.bounds(query), leaf_ids, home, 0
+        self.order = np.lexsort((leaf_ids, self.bounds)).astype(np.int32)
+        self.own = None if home is None else tree.leaf_id[home]
+
+    def next(self, cut: float) -> int | None:
+        """The next leaf id whose bound is below ``cut``."""
+        if self.home is not None:
+            self.home = None
+            if self.bounds[np.searchsorted(self.ids, self.own)] < cut:
+                return int(self.own)
+        while self.at < len(self.order) and self.bounds[i := self.order[self.at]] < cut:
+            self.at += 1
+            if self.ids[i] != self.own:
+                return int(self.ids[i])
+        self.at = len(self.order)
+        return None
+
+
+class _Descent:
+    """The same order from a heap of nodes: what was not reached is never bounded.  An inner
+    node goes before leaves of its bound, so leaves of equal bounds come by their ids."""
+
+    def __init__(self, tree, query: QuerySummary, home: int | None, root: int = 0):
+        self.tree, self.query, self.home = tree, query, home
+        self.own = home
+        self.heap = [(0.0, int(tree.is_leaf(root)), tree.leaf_id[root] if tree.is_leaf(root) else root, root)] if len(tree) else []
+
+    def next(self, cut: float) -> int | None:
+        node = self.next_node(cut)
+        return None if node is None else int(self.tree.leaf_id[node])
+
+    def next_node(self, cut: float) -> int | None:
+        if self.home is not None:
+            node, self.home = self.home, None
+            if self.tree.bounds(self.query, [node])[0] < cut:
+                return node
+        while self.heap and self.heap[0][0] < cut:
+            bound, leaf, _, node = heapq.heappop(self.heap)
+            if leaf:
+                if node != self.own:
+                    return node
+                continue
+            below = self.tree.children(node)
+            for child, b in zip(below, self.tree.bounds(self.query, below) if below else ()):
+                is_leaf = self.tree.is_leaf(child)
+                heapq.heappush(self.heap, (max(bound, float(b)), int(is_leaf), self.tree.leaf_id[child] if is_leaf else child, child))
+        self.heap = []
+        return None
+
+
+def _ways(tree, q: Queries) -> list:
+    nodes, leaf_ids, *_ = tree.leaves()
+    counts = _leaf_counts(tree)
+    homes = [extended_leaves(tree, s, w, 1, counts)[0] if len(nodes) else None for s, w in zip(q.summaries, q.words)]
+    if len(nodes) * len(q.ids) <= MAX_BOUNDS:
+        return [_Sorted(tree, s, home, nodes, leaf_ids) for s, home in zip(q.summaries, homes)]
+    return [_Descent(tree, s, home) for s, home in zip(q.summaries, homes)]
+
+
 def search_progressive(ix: SeriesIndex, queries: DataFrame, k: int, metric: str = "ed", epsilon: float = 0.0, delta: float = 1.0, max_leaves: int | None = None, band: float = BAND, stats: SearchStats | None = None, first_wave: int | None = None) -> Iterator[DataFrame]:
     """Answers after each wave; the last one is final.
 
@@ -277,21 +378,15 @@ def search_progressive(ix: SeriesIndex, queries: DataFrame, k: int, metric: str
     began, stats = time.time(), stats if stats is not None else SearchStats()
     q = _prepared(ix, queries, metric, band)
     best, tree = _Best(len(q.ids), k), ix.tree
-    nodes, leaf_ids, *_ = tree.leaves()
-    position = {int(n): i for i, n in enumerate(nodes)}
-    bounds = [tree.bounds(s) for s in q.summaries]
-    orders = []
-    for at, (s, w) in enumerate(zip(q.summaries, q.words)):
-        order = np.lexsort((leaf_ids, bounds[at]))
-        home = [position[n] for n in extended_leaves(tree, s, w, 1)] if len(nodes) else []
-        orders.append(home + [int(i) for i in order if int(i) not in home])
-        stats.leaves[q.ids[at]] = stats.series[q.ids[at]] = stats.computed[q.ids[at]] = 0
+    ways = _ways(tree, q)
+    for qid in q.ids:
+        stats.leaves[qid] = stats.series[qid] = stats.computed[qid] = 0
     radius = delta_radius(ix, q, delta)
-    done, next_at = [False] * len(q.ids), [0] * len(q.ids)
+    done = [False] * len(q.ids)
     size = first_wave or 1
     while True:
         wanted: dict[int, list[tuple[int, float]]] = {}
-        for at in range(len(q.ids)):
+        for at, qid in enumerate(q.ids):
             if done[at]:
                 continue
             bsf, taken = best.bsf(at), 0
@@ -299,20 +394,12 @@ def search_progressive(ix: SeriesIndex, queries: DataFrame, k: int, metric: str
                 done[at] = True
                 continue
             cut = bsf / (1 + epsilon) + SLACK
-            while taken < size and next_at[at] < len(orders[at]):
-                i = orders[at][next_at[at]]
-                if max_leaves is not None and stats.leaves[q.ids[at]] >= max_leaves:
-                    next_at[at] = len(orders[at])
-                    break
-                if bounds[at][i] >= cut:
-                    if next_at[at] == 0:
-                        next_at[at] += 1
-                        continue
-                    next_at[at] = len(orders[at])
+            while taken < size and (max_leaves is None or stats.leaves[qid] < max_leaves):
+                leaf = ways[at].next(cut)
+                if leaf is None:
                     break
-                wanted.setdefault(int(leaf_ids[i]), []).append((at, bsf))
-                stats.leaves[q.ids[at]] += 1
-                next_at[at] += 1
+                wanted.setdefault(leaf, []).append((at, bsf))
+                stats.leaves[qid] += 1
                 taken += 1
             done[at] = not taken
         if not wanted:
@@ -351,11 +438,10 @@ def search_budget(ix: SeriesIndex, queries: DataFrame, k: int, max_leaves: int,
 def search_radius(ix: SeriesIndex, queries: DataFrame, radius: float, metric: str = "ed", band: float = BAND) -> DataFrame:
     """(query_id, series_id, distance) of all series within ``radius``; results stay distributed."""
     q = _prepared(ix, queries, metric, band)
-    _, leaf_ids, *_ = ix.tree.leaves()
     wanted: dict[int, list[int]] = {}
-    for at, s in enumerate(q.summaries):
-        for i in np.flatnonzero(ix.tree.bounds(s) <= radius + SLACK):
-            wanted.setdefault(int(leaf_ids[i]), []).append(at)
+    for at, way in enumerate(_ways(ix.tree, q)):
+        while (leaf := way.next(radius + 2 * SLACK)) is not None:
+            wanted.setdefault(leaf, []).append(at)
     shared, n = ix.spark.sparkContext.broadcast((q, wanted)), ix.n
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -371,5 +457,5 @@ def search_radius(ix: SeriesIndex, queries: DataFrame, radius: float, metric: st
                     out.append((q.ids[at], d[ok], ids[rows[ok]]))
             yield _batch(out)
 
-    found = ix.data(sorted(wanted), ("leaf_id", "series_id", "values")).mapInArrow(run, "query_id long, series_id long, distance double")
+    found = ix.data(sorted(wanted), ("leaf_id", "series_id", "values"), loose=True).mapInArrow(run, "query_id long, series_id long, distance double")
     return found.groupBy("query_id", "series_id").agg(F.min("distance").alias("distance"))
