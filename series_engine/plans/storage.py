@@ -13,11 +13,19 @@ _own_dir: str | None = None
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """What ``spark.checkpoint.dir`` names; where it is unset (one machine), a temporary folder."""
+    """What ``spark.checkpoint.dir`` names.
+
+    Only where that is unset and the master is local (tests, one machine) a temporary folder
+    is made, which goes when the process ends; on a cluster it must be set, as executors do
+    not see the driver's folders.
+    """
     global _own_dir
     named = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if named:
         return named.rstrip("/")
+    master = spark.sparkContext.master
+    if not master.startswith("local"):
+        raise RuntimeError(f"spark.checkpoint.dir must name a folder that all executors of {master} share")
     if _own_dir is None:
         _own_dir = tempfile.mkdtemp(prefix="series_index_")
         atexit.register(shutil.rmtree, _own_dir, ignore_errors=True)
