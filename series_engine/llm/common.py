@@ -2,69 +2,73 @@
 
 from __future__ import annotations
 
-import atexit
-import gc
-import shutil
-import tempfile
+import threading
 import uuid
 import weakref
+from collections.abc import Iterator
+from contextlib import contextmanager
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..plans.storage import shared_dir
+
 #: White space of all operators: U+0020 and U+0009 to U+000D.
 SPACE = r"[\x20\x09-\x0D]+"
 #: ``bytes.split()`` and ``bytes.translate`` with these bytes follow the same rule.
 SPACE_BYTES = b" \t\n\x0b\x0c\r"
 
-#: Settings of a session (not of its start) that let an execution remove its shuffle files.
-_CLEAN = ("spark.sql.classic.shuffleDependency.fileCleanup.enabled", "spark.sql.shuffleDependency.fileCleanup.enabled")
-
-_own_dir: str | None = None
+#: Setting of a session (not of its start) that lets an execution remove its shuffle files.
+_CLEAN = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+_lock = threading.Lock()
+_cleaning: dict[str, list] = {}  # by session: writes under way, and what the setting was
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """Folder that the driver and all executors see.
+@contextmanager
+def _own_shuffles_go(spark: SparkSession) -> Iterator[None]:
+    """Shuffle files of what is executed inside go when it ends: what they held is in a table.
 
-    It is what ``spark.checkpoint.dir`` names; only where that is unset (tests, one
-    machine) a temporary folder is made, which goes when the process ends.
+    The session's setting is put back when the last of several concurrent writes has ended.
     """
-    global _own_dir
-    named = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
-    if named:
-        return named.rstrip("/")
-    if _own_dir is None:
-        _own_dir = tempfile.mkdtemp(prefix="series_engine_")
-        atexit.register(shutil.rmtree, _own_dir, ignore_errors=True)
-    return _own_dir
+    session = spark._jsparkSession.sessionUUID()
+    with _lock:
+        under_way = _cleaning.setdefault(session, [0, None])
+        if under_way[0] == 0:
+            under_way[1] = spark.conf.get(_CLEAN, None)
+            spark.conf.set(_CLEAN, "true")
+        under_way[0] += 1
+    try:
+        yield
+    finally:
+        with _lock:
+            under_way[0] -= 1
+            if under_way[0] == 0:
+                spark.conf.unset(_CLEAN) if under_way[1] is None else spark.conf.set(_CLEAN, under_way[1])
 
 
 def materialize(df: DataFrame, name: str) -> DataFrame:
     """Write ``df`` once into the shared folder and read it back.
 
     Cuts lineage and survives lost executors: the files are not kept on any executor.
-    ``Dataset.checkpoint`` would compute a stage without a shuffle twice.  Where this Spark
-    can, shuffle files of the write go when it ends: what they held is in the table.
+    ``Dataset.checkpoint`` would compute a stage without a shuffle twice.
     """
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
-    before = {k: v for k in _CLEAN if (v := spark.conf.get(k, None)) is not None}
-    try:
-        for k in before:
-            spark.conf.set(k, "true")
+    with _own_shuffles_go(spark):
         df.write.option("compression", "zstd").parquet(path)
-    finally:
-        for k, v in before.items():
-            spark.conf.set(k, v)
-    # Shuffle files of what is done go when the driver's heap lets go of them; a driver
-    # with room to spare would keep them on the executors' disks for long.
-    gc.collect()
-    spark.sparkContext._jvm.System.gc()
     out = spark.read.schema(df.schema).parquet(path)
     _paths[id(out)] = (weakref.ref(out), path)
     return out
 
 
+def own_name(taken, name: str) -> str:
+    """``name``, or with underscores in front while a column of the user has it."""
+    low = {c.lower() for c in taken}
+    while name.lower() in low:
+        name = "_" + name
+    return name
+
+
 _paths: dict = {}
 
 

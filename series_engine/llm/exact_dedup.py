@@ -23,7 +23,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import SPACE, SPACE_BYTES, materialize
+from .common import SPACE, SPACE_BYTES, materialize, own_name
 
 BLOCK_BYTES = 4096
 #: Names of a level are (bucket << 36) + rank in the bucket; ranks stay far below 2 ** 36.
@@ -107,9 +107,11 @@ def drop_duplicates(docs: DataFrame, key: str = "doc_id") -> DataFrame:
     original text stays.
     """
     tag = lambda k, sha: F.concat(F.coalesce(k.cast("string"), F.lit("null")), F.lit(":"), sha)
-    stay = duplicate_groups(docs, key).where("kept").select(tag(F.col("key"), F.col("sha")).alias("_tag")).distinct()
-    text = F.coalesce(docs["text"], F.lit(""))
-    tagged = docs.withColumns({"_tag": tag(docs[key], F.sha2(F.regexp_replace(text, SPACE, ""), 256)), "_chars": F.length(text)})
-    first = F.row_number().over(Window.partitionBy("_tag").orderBy(F.col("_chars").desc()))
-    out = tagged.join(stay, "_tag", "left_semi").withColumn("_first", first).where("_first = 1")
-    return out.select(*[F.col(f"`{c}`") for c in docs.columns])
+    name, chars, turn, row = (own_name(docs.columns, c) for c in ("_tag", "_chars", "_turn", "_row"))
+    stay = duplicate_groups(docs, key).where("kept").select(tag(F.col("key"), F.col("sha")).alias(name)).distinct()
+    text = F.coalesce(F.col("text").cast("string"), F.lit(""))
+    own = F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias(row)
+    tagged = docs.select(own, tag(F.col(f"`{key}`").cast("long"), F.sha2(F.regexp_replace(text, SPACE, ""), 256)).alias(name), F.length(text).alias(chars))
+    first = F.row_number().over(Window.partitionBy(name).orderBy(F.col(chars).desc()))
+    out = tagged.join(stay, name, "left_semi").withColumn(turn, first).where(F.col(turn) == 1)
+    return out.select(*[F.col(row).getField(c).alias(c) for c in docs.columns])

@@ -4,8 +4,8 @@ Weights are trained with follow-the-regularised-leader (proximal, elastic net: L
 them sparse), then one temperature is fitted on rows that training did not see, so that
 scores are calibrated.
 
-n-grams (1 to 3 characters of the lower-cased text, words padded by spaces, digits and
-punctuation dropped) are hashed into ``DIM`` buckets with array arithmetic over whole
+n-grams (1 to 3 characters of the lower-cased text, words padded by spaces; whatever is not
+a to z, general punctuation or below U+00C0 counts as a space, all else as a letter) are hashed into ``DIM`` buckets with array arithmetic over whole
 texts.  Document frequencies are counted over all rows that may be learned from: each task
 sums its own, and one row a bucket is left.  The regression itself is fitted on a bounded
 sample of them (``LangParams.sample`` distinct texts, those with the least hashes; a fifth
@@ -46,26 +46,35 @@ def has_letters(text: str | None) -> bool:
 
 
 def _letters(text: str) -> np.ndarray:
-    """Code points of the lower-cased text; anything but letters is a space, runs of spaces are one."""
+    """Code points of the lower-cased text; anything but letters is a space."""
     points = np.frombuffer(text.lower().encode("utf-32-le", "surrogatepass"), np.uint32)
     letter = ((points >= 97) & (points <= 122)) | ((points >= 0xC0) & (points != 0xD7) & (points != 0xF7) & ((points < 0x2000) | (points > 0x206F)))
-    spaced = np.where(letter, points, 32).astype(np.uint64)
-    keep = np.ones(len(spaced), bool)
-    keep[1:] = (spaced[1:] != 32) | (spaced[:-1] != 32)
-    return np.concatenate(([32], spaced[keep], [32])).astype(np.uint64)
+    return np.where(letter, points, 32).astype(np.uint64)
 
 
 def counts(text: str) -> tuple[np.ndarray, np.ndarray]:
-    """Buckets that occur, ascending, and how often.  Works part by part, so memory is bounded."""
+    """Buckets that occur, ascending, and how often, in a space, the letters with runs of
+    spaces as one, and a space.  Works part by part, so memory is bounded: a part goes on
+    from the last two characters of the one before, and an n-gram counts where it ends."""
     total = np.zeros(DIM, np.int64)
     a, b = np.uint64(0x9E3779B97F4A7C15), np.uint64(64 - BITS)
-    for at in range(0, max(1, len(text)), _PART):
-        c = _letters(text[at : at + _PART + 2])
+    before = np.zeros(0, np.uint64)
+    parts = max(1, -(-len(text) // _PART))
+    for i in range(parts):
+        c = _letters(text[i * _PART : (i + 1) * _PART])
+        keep = np.ones(len(c), bool)
+        keep[1:] = (c[1:] != 32) | (c[:-1] != 32)
+        if i and len(c) and c[0] == 32 and before[-1] == 32:
+            keep[0] = False
+        ends = ([np.uint64(32)] if i == 0 else [], [np.uint64(32)] if i == parts - 1 else [])
+        c = np.concatenate((before, np.array(ends[0], np.uint64), c[keep], np.array(ends[1], np.uint64)))
+        old = len(before)
         one = (c + np.uint64(1)) * a
         two = (one[:-1] ^ (c[1:] * np.uint64(0xC2B2AE3D27D4EB4F))) * a
         three = (two[:-1] ^ (c[2:] * np.uint64(0x165667B19E3779F9))) * a
-        for h in (one, two, three):
-            total += np.bincount((h >> b).astype(np.int64), minlength=DIM)
+        for size, h in enumerate((one, two, three), 1):
+            total += np.bincount((h[max(0, old - size + 1) :] >> b).astype(np.int64), minlength=DIM)
+        before = c[-2:]
     ids = np.flatnonzero(total)
     return ids, total[ids]
 

@@ -6,14 +6,17 @@ filled by deficit round-robin: before a window each source earns its target shar
 window's tokens; sources are served in the order of what they are owed, and what is still
 owed or overdrawn is carried to the next window.  Deficits are carried over partitions
 too: all partitions before one have given T tokens in all and T_s of source s, so its
-deficits start at share_s * T - T_s, a prefix sum of a small table.
+deficits start at share_s * T - T_s, a prefix sum over the table of (partition, source)
+totals.  A partition learns the shares and deficits of the sources that it holds, from that
+table, so their number has no limit and no list of them passes the driver.
 
 A window is filled whatever the mixture: when a source's queue is empty the others give
 more and stay overdrawn.  All windows but a partition's last are full, and the rest of a
 partition is cut into sequences whose lengths are powers of two, so nothing is padded.
 
-Queues hold at most ``LOOKAHEAD`` tokens beyond the document in hand; a full queue gives
-up its tokens to the next window whatever it is owed.
+Queues hold at most ``lookahead`` tokens beyond the document in hand (a bound of memory);
+when they are full the next window is filled with what is there, and what its sources are
+owed is carried on.
 
 Edge cases: a null or empty text is its end token alone; a null source is a source of its
 own; repeated rows are packed each; rows with a null key are packed and keep a null key;
@@ -37,8 +40,6 @@ from .tokens import default_file, encoder
 LENGTH = 2048
 END = 1
 LOOKAHEAD = 1 << 20
-#: Most sources with a queue and a target of their own; the least of the others share one.
-SOURCES = 1_000
 
 
 def encoded(docs: DataFrame, buckets: int, key: str = "doc_id", source: str = "source", file: str | None = None) -> DataFrame:
@@ -61,27 +62,28 @@ def encoded(docs: DataFrame, buckets: int, key: str = "doc_id", source: str = "s
 
 
 class Packer:
-    """Deficit round-robin over source queues of one partition."""
-
-    def __init__(self, shares: dict, deficits: dict, length: int, first: int):
-        self.sources, self.length, self.sequence = list(shares), length, first
-        self.of = {s: i for i, s in enumerate(self.sources)}
-        self.shares = [shares[s] for s in self.sources]
-        self.least = [int(length * p) for p in self.shares]
-        self.owed = [float(deficits.get(s, 0.0)) for s in self.sources]
-        self.queues: list[deque] = [deque() for _ in self.sources]
-        self.held = [0] * len(self.sources)
+    """Deficit round-robin over source queues of one partition.  starts: (source, share of a
+    window, deficit) of every source that the partition holds."""
+
+    def __init__(self, starts: list[tuple], length: int, first: int, lookahead: int = LOOKAHEAD):
+        self.length, self.sequence, self.lookahead = length, first, lookahead
+        self.of = {s: i for i, (s, _, _) in enumerate(starts)}
+        self.shares = np.array([p for _, p, _ in starts], np.float64)
+        self.owed = np.array([d for _, _, d in starts], np.float64)
+        self.least = (length * self.shares).astype(np.int64)
+        self.queues: list[deque] = [deque() for _ in starts]
+        self.held = np.zeros(len(starts), np.int64)
         self.total = 0
 
     def push(self, source, key, ids: np.ndarray) -> None:
-        i = self.of[source if source in self.of else None]
+        i = self.of[source]
         self.queues[i].append([key, ids, 0])
         self.held[i] += len(ids)
         self.total += len(ids)
 
     def ready(self) -> bool:
         """Every source can give its part of a window, or the queues are full."""
-        return self.total >= self.length and (self.total >= LOOKAHEAD or all(h >= n for h, n in zip(self.held, self.least)))
+        return self.total >= self.length and (self.total >= self.lookahead or bool((self.held >= self.least).all()))
 
     def _take(self, i: int, most: int) -> Iterator[tuple]:
         queue = self.queues[i]
@@ -99,13 +101,15 @@ class Packer:
 
     def window(self, size: int) -> list[tuple]:
         """Fills one sequence with exactly ``size`` of the held tokens: (key, at, n, ids, sequence, offset)."""
-        for i, p in enumerate(self.shares):
-            self.owed[i] += p * size
+        self.owed += self.shares * size
         room, pieces = size, []
         for spare in (False, True):  # first what is owed, then what others have left over
-            for i in sorted(range(len(self.owed)), key=lambda i: (-self.owed[i], i)):
-                most = min(room, self.held[i]) if spare else min(room, self.held[i], max(0, int(self.owed[i])))
-                for key, at, n, ids in self._take(i, most) if most else ():
+            give = self.held if spare else np.minimum(self.held, np.maximum(0, self.owed).astype(np.int64))
+            able = np.flatnonzero(give > 0)
+            for i in able[np.lexsort((able, -self.owed[able]))].tolist():
+                if not room:
+                    break
+                for key, at, n, ids in self._take(i, min(room, int(give[i]))):
                     pieces.append((key, at, n, ids, self.sequence, size - room))
                     room -= n
         self.sequence += 1
@@ -117,34 +121,45 @@ class Packer:
             yield self.window(self.length if self.total >= self.length else 1 << (self.total.bit_length() - 1))
 
 
+def starts_of(totals: DataFrame, shares: dict[str, float] | None) -> DataFrame:
+    """(bucket, starts): source, share and deficit of the sources in each bucket.
+
+    totals: (bucket, source, tokens).  Sources that ``shares`` doesn't name divide what it
+    leaves by their tokens.
+    """
+    before = Window.orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)  # one row a bucket
+    given = totals.groupBy("bucket").agg(F.sum("tokens").alias("given")).withColumn("ahead", F.coalesce(F.sum("given").over(before), F.lit(0)))
+    overall = totals.groupBy("source").agg(F.sum("tokens").cast("double").alias("all"))
+    if shares:
+        named = F.try_element_at(F.create_map(*[F.lit(x) for s, p in shares.items() for x in (s, float(p))]), F.col("source"))
+        overall = overall.withColumn("named", named)
+    else:
+        overall = overall.withColumn("named", F.lit(None).cast("double"))
+    rest = overall.where("named is null").agg(F.sum("all")).first()[0] or 1.0
+    share = F.coalesce("named", F.col("all") / F.lit(rest) * F.lit(max(0.0, 1.0 - sum((shares or {}).values()))))
+    own = Window.partitionBy("source").orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
+    debts = totals.join(given, "bucket").join(overall.select("source", share.alias("share")), "source")
+    debts = debts.withColumn("deficit", F.col("share") * F.col("ahead") - F.coalesce(F.sum("tokens").over(own), F.lit(0)))
+    return debts.groupBy("bucket").agg(F.sort_array(F.collect_list(F.struct("source", "share", "deficit"))).alias("starts"))
+
+
 _PIECES = "key bigint, source string, start bigint, length bigint, ids_crc32 bigint, doc_tokens bigint, sequence_id bigint, offset bigint"
 
 
-def packed(docs: DataFrame, key: str = "doc_id", source: str = "source", length: int = LENGTH, shares: dict[str, float] | None = None, file: str | None = None, buckets: int | None = None, with_ids: bool = False) -> DataFrame:
+def packed(docs: DataFrame, key: str = "doc_id", source: str = "source", length: int = LENGTH, shares: dict[str, float] | None = None, file: str | None = None, buckets: int | None = None, with_ids: bool = False, lookahead: int = LOOKAHEAD) -> DataFrame:
     """One row per piece: key, source, start, length, ids_crc32, doc_tokens, sequence_id, offset (and ids).
 
     shares: target part of each source in a window; by default each source's part of all
     tokens, so that the mixture holds to the end.  buckets: partitions that pack by
     themselves; by default as many as a shuffle makes.  Sequence ids begin at
-    bucket * 2 ** 40.
+    bucket * 2 ** 40.  lookahead: most tokens that a partition's queues hold.
     """
     spark = docs.sparkSession
     buckets = buckets or int(spark.conf.get("spark.sql.shuffle.partitions"))
     wide = 4 if len(encoder(file or default_file()).lengths) > 65536 else 2
     rows = materialize(encoded(docs, buckets, key, source, file), "ids")
     totals = rows.groupBy("bucket", "source").agg(F.sum("tokens").alias("tokens"))
-    overall = totals.groupBy("source").agg(F.sum("tokens").alias("tokens")).orderBy(F.desc("tokens"), "source").limit(SOURCES).collect()
-    if shares is None:
-        all_tokens = totals.agg(F.sum("tokens")).first()[0] or 1
-        shares = {r["source"]: r["tokens"] / all_tokens for r in overall}
-    shares = {**shares, None: max(0.0, 1.0 - sum(shares.values()))}  # None: sources without a target of their own
-    target = spark.createDataFrame([(s, float(p)) for s, p in shares.items() if s is not None] or [("", 0.0)], "source string, share double")
-    # what each partition starts with: a prefix sum over (partitions x sources) rows
-    before = Window.partitionBy("source").orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
-    grid = spark.range(buckets).select(F.col("id").cast("int").alias("bucket")).crossJoin(F.broadcast(target))
-    filled = grid.join(totals, ["bucket", "source"], "left").join(totals.groupBy("bucket").agg(F.sum("tokens").alias("given")), "bucket", "left").na.fill(0, ["tokens", "given"])
-    debts = filled.withColumn("debt", F.coalesce(F.sum(F.col("share") * F.col("given") - F.col("tokens")).over(before), F.lit(0.0)))
-    start = debts.groupBy("bucket").agg(F.map_from_entries(F.collect_list(F.struct("source", "debt"))).alias("debts"))
+    start = starts_of(totals, shares)
     fields = [f.split()[0] for f in _PIECES.split(", ")]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -165,12 +180,12 @@ def packed(docs: DataFrame, key: str = "doc_id", source: str = "source", length:
                 out.append((k, s, at, n, zlib.crc32(raw), len(ids), sequence, offset, raw if with_ids else None))
 
         for batch in batches:
-            for bucket, k, s, ids, debts in zip(*(c.to_pylist() for c in batch.columns)):
+            for bucket, k, s, ids, starts in zip(*(c.to_pylist() for c in batch.columns)):
                 if bucket != now:
                     for pieces in packer.rest() if packer else ():
                         take(pieces)
-                    now, packer = bucket, Packer(shares, dict(debts or {}), length, bucket << 40)
-                if ids is None:  # the row that only brings the deficits
+                    now, packer = bucket, Packer([(x["source"], x["share"], x["deficit"]) for x in starts], length, bucket << 40, lookahead)
+                if ids is None:  # the row that only brings shares and deficits
                     continue
                 packer.push(s, (k, s), np.frombuffer(ids, f"<u{wide}"))
                 while packer.ready():
@@ -185,7 +200,7 @@ def packed(docs: DataFrame, key: str = "doc_id", source: str = "source", length:
             yield flush()
 
     none = lambda kind: F.lit(None).cast(kind)
-    heads = start.select("bucket", F.lit(0).alias("turn"), none("bigint").alias("place"), none("bigint").alias("key"), none("string").alias("source"), none("binary").alias("ids"), "debts")
-    bodies = rows.select("bucket", F.lit(1).alias("turn"), "place", "key", "source", "ids", none("map<string,double>").alias("debts"))
+    heads = start.select("bucket", F.lit(0).alias("turn"), none("bigint").alias("place"), none("bigint").alias("key"), none("string").alias("source"), none("binary").alias("ids"), "starts")
+    bodies = rows.select("bucket", F.lit(1).alias("turn"), "place", "key", "source", "ids", none("array<struct<source:string,share:double,deficit:double>>").alias("starts"))
     dealt = heads.union(bodies).repartition(buckets, "bucket").sortWithinPartitions("bucket", "turn", "place", "key")
-    return dealt.select("bucket", "key", "source", "ids", "debts").mapInArrow(run, _PIECES + (", ids binary" if with_ids else ""))
+    return dealt.select("bucket", "key", "source", "ids", "starts").mapInArrow(run, _PIECES + (", ids binary" if with_ids else ""))

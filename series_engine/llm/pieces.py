@@ -36,6 +36,7 @@ from pyspark.sql import functions as F
 MARK = "▁"
 #: Most units remembered by a process, and the most characters of one.
 MEMO, MEMO_CHARS = 200_000, 64
+_BEFORE_SPACES = re.compile(r"[^ ] ")
 _UNITS = re.compile(f"{MARK}+[^{MARK}]*|[^{MARK}]+")
 
 
@@ -76,6 +77,8 @@ class Pieces:
         self.cut_at_marks = all(MARK not in p[1:] or not p.strip(MARK) for p in self.scores)
         self.byte_fallback = all(lib.is_byte(i) for i in self.bytes)
         self.dummy = lib.normalize("a") == f"{MARK}a"
+        #: Whether spaces come out as they are, so that a text can be normalised in parts.
+        self.plain_spaces = lib.normalize(" a  b ").replace(MARK, " ").removeprefix(" " * self.dummy) == " a  b "
 
     def fallback(self, char: str) -> list[int]:
         return [self.bytes[b] for b in char.encode("utf-8", "surrogatepass")] if self.byte_fallback else [self.unknown]
@@ -202,16 +205,35 @@ def vocabulary(file: str) -> tuple[Pieces, _Memo]:
     return v, _Memo(v)
 
 
+#: Characters that are normalised together, up to the next space; longer texts are cut there.
+NORMAL = 1 << 16
+
+
+def normal_parts(text: str, v: Pieces) -> Iterator[str]:
+    """The normalised text, part by part: a part after the first begins with a space, at which
+    normalisation never looks back, and loses the mark that the file puts before every text."""
+    at = 0
+    while at < len(text):
+        stop = len(text)
+        if stop - at > NORMAL and v.plain_spaces:  # before a run of spaces, as pieces hold several
+            near = _BEFORE_SPACES.search(text, at + NORMAL)
+            stop = near.start() + 1 if near else stop
+        part = v.lib.normalize(text[at:stop])
+        yield part[1:] if at and v.dummy else part
+        at = stop
+
+
 def encode(text: str | None, file: str) -> np.ndarray:
     """Ids of the normalised text."""
     v, memo = vocabulary(file)
     if not text:
         return np.zeros(0, "<u4")
-    normal = v.lib.normalize(text)
-    if v.cut_at_marks:
-        return np.frombuffer(b"".join(map(memo.__getitem__, _UNITS.findall(normal))), "<u4")
-    stream = StreamingViterbi(v)
-    return np.array(stream.push(normal) + stream.finish(), "<u4")
+    if v.cut_at_marks:  # a part begins with a mark, before which all paths meet
+        return np.frombuffer(b"".join(ids for part in normal_parts(text, v) for ids in map(memo.__getitem__, _UNITS.findall(part))), "<u4")
+    stream, out = StreamingViterbi(v), []
+    for part in normal_parts(text, v):
+        out += stream.push(part)
+    return np.array(out + stream.finish(), "<u4")
 
 
 def decode(ids, file: str) -> str:

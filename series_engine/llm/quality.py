@@ -216,11 +216,13 @@ def quality_verdicts(docs: DataFrame, key: str = "doc_id", params: QualityParams
 def keep_good(docs: DataFrame, params: QualityParams = QualityParams()) -> DataFrame:
     """The rows of ``docs`` that are kept, with their columns as they were.
 
-    Two passes over the texts and no shuffle of them: the second measures again rather
-    than joining texts with verdicts.
+    Texts are read and measured once: rows go with their measures into a table of the shared
+    folder, votes are counted over its measures alone, and what is kept is read from it.
+    No text is shuffled.
     """
     columns = docs.columns
-    model = fit(vote_patterns(measure(docs.select("text")), params), params=params)
     tagged = docs.select(F.struct(*[F.col(f"`{c}`") for c in columns]).alias("row"), F.col("text"))
-    kept = judge(measure(tagged).drop("text"), model, params).where("kept")
+    measured = materialize(measure(tagged).drop("text"), "measured")
+    model = fit(vote_patterns(measured, params), params=params)
+    kept = judge(measured, model, params).where("kept")
     return kept.select(*[F.col("row").getField(c).alias(c) for c in columns])

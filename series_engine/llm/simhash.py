@@ -28,11 +28,11 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 from xxhash import xxh64_intdigest
 
-from .common import materialize
+from .common import materialize, own_name
 from .components import components
 
 BUCKET = 64
@@ -65,13 +65,23 @@ def fingerprint(text: str | None, size: int = 3) -> int:
 
 def fingerprints(docs: DataFrame, key: str = "doc_id", size: int = 3) -> DataFrame:
     """(key, fp) of every row."""
+    return _fingerprints(docs, key, size).select("key", "fp")
+
+
+def _text_hash(text: Column) -> Column:
+    return F.xxhash64(F.length(text), text)
+
+
+def _fingerprints(docs: DataFrame, key: str, size: int) -> DataFrame:
+    """(key, text_hash, fp) of every row."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            fps = np.fromiter((fingerprint(t.as_py(), size) for t in batch.column(1)), np.int64, batch.num_rows)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(fps)], names=["key", "fp"])
+            fps = np.fromiter((fingerprint(t.as_py(), size) for t in batch.column(2)), np.int64, batch.num_rows)
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(fps)], names=["key", "text_hash", "fp"])
 
-    return docs.select(F.col(key).cast("long").alias("key"), F.col("text").cast("string").alias("text")).mapInArrow(run, "key bigint, fp bigint")
+    text = F.col("text").cast("string")
+    return docs.select(F.col(f"`{key}`").cast("long").alias("key"), _text_hash(text).alias("text_hash"), text.alias("text")).mapInArrow(run, "key bigint, text_hash bigint, fp bigint")
 
 
 def _bit_ball(value, bits: range):
@@ -110,8 +120,24 @@ def near_duplicates(docs: DataFrame, key: str = "doc_id", size: int = 3, bucket:
 
 
 def drop_near_duplicates(docs: DataFrame, key: str = "doc_id", size: int = 3) -> DataFrame:
-    """The rows of ``docs`` whose key names their group (and all rows with a null key in no
-    keyed group), with their columns as they were; other rows of a group go."""
-    gone = near_duplicates(docs, key, size).where("component is not null and (key is null or key <> component)").select(F.coalesce("key", F.lit(-1)).alias("_gone"), "fp").distinct()
-    columns = [F.col(f"`{c}`") for c in docs.columns]
-    return docs.withColumn("_gone", F.coalesce(docs[key].cast("long"), F.lit(-1))).join(gone.select("_gone").distinct(), "_gone", "left_anti").select(*columns)
+    """One row of each group of linked fingerprints, with its columns as they were.
+
+    The row whose key names the group (the least one) stays; in a group without any key one
+    row stays.  Rows are told apart by key and text: what has the same key but another text
+    is judged by its own group, a null key is no key, and repeated rows count once.
+    """
+    rows = materialize(_fingerprints(docs, key, size), "fingerprints")
+    nodes = materialize(rows.groupBy("fp").agg(F.min("key").alias("low")).select("fp", "low", F.monotonically_increasing_id().alias("rep")), "nodes")
+    groups = components(near_links(nodes, BUCKET), "a", "b")
+    named = nodes.join(groups.withColumnRenamed("node", "rep"), "rep", "left").select("fp", "low", F.coalesce("component", "rep").alias("component"))
+    # of each group the fingerprint with the least key, then the least fingerprint; of its rows the least text hash
+    first = named.groupBy("component").agg(F.min(F.struct(F.col("low").isNull().alias("no"), "low", "fp")).alias("stay"))
+    mine = rows.join(first.select("stay.low", "stay.fp"), "fp").where(F.col("key").eqNullSafe(F.col("low")))
+    tag = lambda k, h: F.concat(F.coalesce(k.cast("string"), F.lit("null")), F.lit(":"), h.cast("string"))
+    names = [own_name(docs.columns, c) for c in ("_tag", "_turn", "_row")]
+    stay = materialize(mine.groupBy("fp").agg(F.first("key").alias("key"), F.min("text_hash").alias("h")).select(tag(F.col("key"), F.col("h")).alias(names[0])).distinct(), "stay")
+    own = F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias(names[2])
+    tagged = docs.select(own, tag(F.col(f"`{key}`").cast("long"), _text_hash(F.col("text").cast("string"))).alias(names[0]))
+    turn = F.row_number().over(Window.partitionBy(names[0]).orderBy(names[0]))
+    kept = tagged.join(stay, names[0], "left_semi").withColumn(names[1], turn).where(F.col(names[1]) == 1)
+    return kept.select(*[F.col(names[2]).getField(c).alias(c) for c in docs.columns])

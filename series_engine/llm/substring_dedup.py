@@ -6,12 +6,21 @@ of ``M`` consecutive words inside the k-mer.  Equal edges have equal minimizers,
 by minimizer brings all occurrences of an edge together while only about one row for
 every five words is shuffled, and only minimizers that several documents have go further.
 
-Repeated paths are compacted through joins.  A path whose every word equals that of a path
-in a document with a smaller id is removed as one piece.  Paths that share a minimizer with
-a smaller document without being equal to one (the ends of repeated passages, edited
-places) are opened into edges, and each edge is joined with the least document that has
-it.  Removed pieces of a document that touch are merged into long spans, each with the
-id of its source.
+What repeats is found first.  A path that occurs in several documents is a repeated piece as
+a whole.  Paths that share a minimizer with a smaller document without being equal to one
+(the ends of repeated passages, edited places) are opened into edges, and each edge that
+occurs in several documents is a repeated piece.  A piece knows its source: document and
+position of its first occurrence (least id, then least start).
+
+Pieces are then compacted.  A piece's in- and out-degree are the numbers of different pieces
+before and after it, over all its occurrences, where the end of a document or of what
+repeats counts as one more.  Where a piece's only successor has it as its only predecessor
+the path does not branch; joins of the degrees tell which pieces go on such a path, and each
+occurrence of a whole nonbranching path becomes one span with the coordinates of its source.
+
+Spans are verified: the words at a span and at its source's coordinates are read from both
+texts and compared by 128-bit digests.  Hashes only propose: a span whose words differ is
+left in place.
 
 Joins with texts never broadcast the other side: spans grow with the corpus, and their
 compressed size in a file says little about their size in memory.
@@ -21,7 +30,8 @@ Words are named by 64-bit hashes and edges by two independent 64-bit sums over t
 Edge cases: null and empty texts have no words; texts under ``k`` words keep all of them;
 a document never removes its own words, however often they repeat inside it; rows with a
 null key have nothing removed and remove nothing; rows that repeat a key count as one
-document for the question which is smaller; an empty table gives an empty table.
+document for the question which is smaller, and a span is only removed from the row whose
+words it has; an empty table gives an empty table.
 """
 
 from __future__ import annotations
@@ -35,7 +45,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from xxhash import xxh64_intdigest
 
-from .common import discard, materialize
+from .common import discard, materialize, own_name
 
 K = 13
 M = 5
@@ -54,8 +64,9 @@ def _mixed(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(31))
 
 
-def _hashes(words: list[bytes]) -> np.ndarray:
-    return np.fromiter(map(xxh64_intdigest, words), np.uint64, len(words))
+def _hashes(words: list[bytes], bits: int = 64) -> np.ndarray:
+    h = np.fromiter(map(xxh64_intdigest, words), np.uint64, len(words))
+    return h >> np.uint64(64 - bits) if bits < 64 else h
 
 
 def _windows(h: np.ndarray, size: int, which: int) -> np.ndarray:
@@ -108,7 +119,7 @@ def _signed(x: np.ndarray) -> pa.Array:
     return pa.array(x.view(np.int64))
 
 
-def _cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def _cut(batches: Iterator[pa.RecordBatch], bits: int = 64) -> Iterator[pa.RecordBatch]:
     """(mini, key, start, edges, content) of all paths.
 
     Works on chunks of words: several short documents, or a part of a long one.  A chunk
@@ -123,18 +134,18 @@ def _cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for at in range(0, len(words) - K + 1, _CHUNK):
                 part = words[at : at + _CHUNK + K - 1]
                 if held and size + len(part) > _CHUNK + K:
-                    yield _paths_of(held)
+                    yield _paths_of(held, bits)
                     held, size = [], 0
                 held.append((key, at, part))
                 size += len(part)
     if held:
-        yield _paths_of(held)
+        yield _paths_of(held, bits)
 
 
-def _paths_of(held: list[tuple[int, int, list[bytes]]]) -> pa.RecordBatch:
+def _paths_of(held: list[tuple[int, int, list[bytes]]], bits: int) -> pa.RecordBatch:
     lengths = np.array([len(w) for _, _, w in held])
     doc = np.repeat(np.arange(len(held)), lengths)
-    h = _hashes([x for _, _, w in held for x in w])
+    h = _hashes([x for _, _, w in held for x in w], bits)
     mini, starts, edges, content = paths(h, doc)
     of = doc[starts]
     begin = np.cumsum(lengths) - lengths - np.array([at for _, at, _ in held])
@@ -142,12 +153,12 @@ def _paths_of(held: list[tuple[int, int, list[bytes]]]) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([_signed(mini), pa.array(keys[of]), pa.array((starts - begin[of]).astype(np.int32)), pa.array(edges.astype(np.int32)), _signed(content)], names=["mini", "key", "start", "edges", "content"])
 
 
-def _open(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def _open(batches: Iterator[pa.RecordBatch], bits: int = 64) -> Iterator[pa.RecordBatch]:
     """Texts with the paths to open -> one row for each of their edges: (e1, e2, key, start)."""
     for batch in batches:
         out: list[list] = [[], [], [], []]
         for key, text, starts, edges in zip(*(batch.column(i) for i in range(4))):
-            h = _hashes(words_of(text.as_py()))
+            h = _hashes(words_of(text.as_py()), bits)
             e1, e2 = _windows(h, K, 0), _windows(h, K, 1)
             at = np.concatenate([np.arange(s, s + n) for s, n in zip(starts.as_py(), edges.as_py())])
             for part, x in zip(out, (e1[at], e2[at], np.full(len(at), key.as_py(), np.int64), at)):
@@ -157,39 +168,117 @@ def _open(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield pa.RecordBatch.from_arrays([_signed(a[0]), _signed(a[1]), pa.array(a[2]), pa.array(a[3].astype(np.int32))], names=["e1", "e2", "key", "start"])
 
 
-def repeated_pieces(docs: DataFrame, key: str = "doc_id") -> DataFrame:
-    """(key, start, edges, source): runs of edges that also start in the smaller document ``source``."""
-    texts = docs.select(F.col(key).cast("long").alias("key"), F.col("text").cast("string").alias("text")).where("key is not null")
-    cut = texts.mapInArrow(_cut, "mini bigint, key bigint, start int, edges int, content bigint")
+def _texts(docs: DataFrame, key: str) -> DataFrame:
+    text = F.col("text").cast("string")
+    return docs.select(F.col(f"`{key}`").cast("long").alias("key"), F.xxhash64(text).alias("row"), text.alias("text"))
+
+
+def repeated_pieces(docs: DataFrame, key: str = "doc_id", bits: int = 64) -> DataFrame:
+    """(kind, piece, key, start, edges, source, source_start): all occurrences of pieces that
+    start in several documents, those in their source too.  kind: 0 for whole paths, 1 for
+    single edges.  bits: of a word's hash (fewer are for tests of collisions).
+    """
+    texts = _texts(docs, key).where("key is not null").select("key", "text")
+    cut = texts.mapInArrow(lambda b: _cut(b, bits), "mini bigint, key bigint, start int, edges int, content bigint")
     several = cut.groupBy("mini").agg(F.min("key").alias("low"), F.max("key").alias("high")).where("low < high").select("mini", "low")
     shared = materialize(cut.join(several, "mini"), "paths")
-    first = shared.groupBy("mini", "content").agg(F.min("key").alias("source"), F.max("key").alias("last")).where("source < last")
-    judged = materialize(shared.join(first.select("mini", "content", "source"), ["mini", "content"], "left"), "judged")
+    at = F.struct("key", "start")
+    first = shared.groupBy("mini", "content").agg(F.min(at).alias("s"), F.max("key").alias("last")).where("s.key < last")
+    judged = materialize(shared.join(first.select("mini", "content", F.col("s.key").alias("source"), F.col("s.start").alias("source_start")), ["mini", "content"], "left"), "judged")
     discard(shared)
-    whole = judged.where("source < key").select("key", "start", "edges", "source")
+    columns = ("key", "start", "edges", "source", "source_start")
+    whole = judged.where("source is not null").select(F.lit(0).alias("kind"), F.xxhash64("mini", "content").alias("piece"), *columns)
     # open what may share single edges with a smaller document: its own paths, and those of
     # others that could hold them; a path equal to a smaller document's needs no opening
     doubtful = judged.where("low < key and not coalesce(source < key, false)").select("mini").distinct()
     holders = judged.where("not coalesce(source < key, false)").join(doubtful, "mini", "left_semi").select("key", "start", "edges")
     to_open = materialize(holders.groupBy("key").agg(F.collect_list(F.struct("start", "edges")).alias("p")), "open")
     asked = texts.join(to_open.hint("merge"), "key").select("key", "text", F.col("p.start").alias("starts"), F.col("p.edges").alias("edges"))
-    edges = materialize(asked.mapInArrow(_open, "e1 bigint, e2 bigint, key bigint, start int"), "edges")
-    least = edges.groupBy("e1", "e2").agg(F.min("key").alias("source"), F.max("key").alias("last")).where("source < last").select("e1", "e2", "source")
-    single = edges.join(least, ["e1", "e2"]).where("source < key").select("key", "start", F.lit(1).alias("edges"), "source")
+    edges = materialize(asked.mapInArrow(lambda b: _open(b, bits), "e1 bigint, e2 bigint, key bigint, start int"), "edges")
+    discard(to_open)
+    least = edges.groupBy("e1", "e2").agg(F.min(at).alias("s"), F.max("key").alias("last")).where("s.key < last").select("e1", "e2", F.col("s.key").alias("source"), F.col("s.start").alias("source_start"))
+    single = edges.join(least, ["e1", "e2"]).select(F.lit(1).alias("kind"), F.xxhash64("e1", "e2").alias("piece"), "key", "start", F.lit(1).alias("edges"), "source", "source_start")
     return whole.union(single)
 
 
-def repeated_spans(docs: DataFrame, key: str = "doc_id") -> DataFrame:
-    """(key, start, words, source): compacted spans, in words, that do not overlap and are not adjacent.
+def nonbranching_paths(pieces: DataFrame) -> DataFrame:
+    """(key, start, words, source, source_start): one row for each occurrence of a maximal
+    nonbranching path of pieces, but those in its source document."""
+    order = Window.partitionBy("kind", "key").orderBy("start", "piece")
+    after, before = F.lead(F.struct("start", "piece")).over(order), F.lag(F.struct((F.col("start") + F.col("edges")).alias("stop"), "piece")).over(order)
+    linked = pieces.withColumns({"after": after, "before": before}).select(
+        *pieces.columns, F.when(F.col("after.start") == F.col("start") + F.col("edges"), F.col("after.piece")).alias("next"), F.when(F.col("before.stop") == F.col("start"), F.col("before.piece")).alias("last"))
+    linked = materialize(linked, "links")
+    every = F.count(F.lit(1))
+    degrees = linked.groupBy("kind", "piece").agg(
+        F.when((F.min("next") == F.max("next")) & (F.count("next") == every), F.min("next")).alias("next"), F.when((F.min("last") == F.max("last")) & (F.count("last") == every), F.min("last")).alias("last"))
+    ends = degrees.select("kind", F.col("piece").alias("last"), F.col("next").alias("only")).where("only is not null")
+    goes_on = degrees.where("last is not null").join(ends, ["kind", "last"]).where("only = piece").select("kind", "piece", F.lit(0).alias("fresh"))
+    mine = linked.where("source < key").join(goes_on, ["kind", "piece"], "left").withColumn("path", F.sum(F.coalesce("fresh", F.lit(1))).over(Window.partitionBy("kind", "key").orderBy("start", "piece")))
+    head = F.min(F.struct("start", "source", "source_start"))
+    paths = mine.groupBy("kind", "key", "path").agg(head.alias("h"), F.max(F.col("start") + F.col("edges")).alias("stop"))
+    return paths.select("key", F.col("h.start").alias("start"), (F.col("stop") - F.col("h.start") + (K - 1)).alias("words"), F.col("h.source").alias("source"), F.col("h.source_start").alias("source_start"))
 
-    ``source`` is the least document that a piece of the span starts in.
-    """
-    pieces = repeated_pieces(docs, key)
-    order = Window.partitionBy("key").orderBy("start", "edges")
-    end = F.max(F.col("start") + F.col("edges") + (K - 1)).over(order.rowsBetween(Window.unboundedPreceding, -1))
-    marked = pieces.withColumn("fresh", F.coalesce((F.col("start") > end).cast("int"), F.lit(1)))
-    grouped = marked.withColumn("span", F.sum("fresh").over(order))
-    return grouped.groupBy("key", "span").agg(F.min("start").alias("start"), F.max(F.col("start") + F.col("edges") + (K - 1)).alias("stop"), F.min("source").alias("source")).select("key", "start", (F.col("stop") - F.col("start")).alias("words"), "source")
+
+_SPAN = "start int, words int, source bigint, source_start int"
+
+
+def _read_spans(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(key, row, text, spans) -> (key, row, start, words, source, source_start, digest)."""
+    names = ("key", "row", "start", "words", "source", "source_start", "digest")
+    for batch in batches:
+        out: list[list] = [[] for _ in names]
+        for key, row, text, spans in zip(*(batch.column(i) for i in range(4))):
+            words = words_of(text.as_py())
+            for s in spans.as_py():
+                if s["start"] + s["words"] <= len(words):
+                    digest = hashlib.blake2b(b" ".join(words[s["start"] : s["start"] + s["words"]]), digest_size=16).digest()
+                    for o, x in zip(out, (key.as_py(), row.as_py(), s["start"], s["words"], s["source"], s["source_start"], digest)):
+                        o.append(x)
+        kinds = (pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.int64(), pa.int32(), pa.binary())
+        yield pa.RecordBatch.from_arrays([pa.array(o, t) for o, t in zip(out, kinds)], names=list(names))
+
+
+def verified_spans(docs: DataFrame, spans: DataFrame, key: str = "doc_id") -> DataFrame:
+    """(key, row, start, words, source, source_start): ``spans`` whose words are those at their
+    source's coordinates; row: hash of the text that has them."""
+    spans = materialize(spans, "spans")
+    none = lambda kind: F.lit(None).cast(kind)
+    own = spans.select("key", F.struct("start", "words", "source", "source_start").alias("s"))
+    # of copies only one asks for the source's words
+    asked = spans.select("source", "source_start", "words").distinct().select(F.col("source").alias("key"), F.struct(F.col("source_start").alias("start"), "words", none("bigint").alias("source"), none("int").alias("source_start")).alias("s"))
+    wanted = materialize(own.union(asked).groupBy("key").agg(F.collect_list("s").alias("spans")), "wanted")
+    texts = _texts(docs, key).where("key is not null").join(wanted.hint("merge"), "key").select("key", "row", "text", "spans")
+    read = materialize(texts.mapInArrow(_read_spans, f"key bigint, row bigint, {_SPAN}, digest binary"), "digests")
+    for t in (spans, wanted):
+        discard(t)
+    there = read.where("source is null").select(F.col("key").alias("source"), F.col("start").alias("source_start"), "words", "digest")
+    return read.where("source is not null").join(there, ["source", "source_start", "words", "digest"], "left_semi").select("key", "row", "start", "words", "source", "source_start")
+
+
+def _spans(docs: DataFrame, key: str, bits: int) -> DataFrame:
+    return verified_spans(docs, nonbranching_paths(repeated_pieces(docs, key, bits)), key)
+
+
+def repeated_spans(docs: DataFrame, key: str = "doc_id", bits: int = 64) -> DataFrame:
+    """(key, start, words, source, source_start): verified spans, in words.  Paths that go on
+    in the same source are one span; spans of different sources may overlap in up to K - 1 words."""
+    order = Window.partitionBy("key", "row").orderBy("start", "words")
+    ahead = F.lag(F.struct("source", (F.col("source_start") - F.col("start")).alias("shift"), (F.col("start") + F.col("words")).alias("stop"))).over(order)
+    same = (F.col("ahead.source") == F.col("source")) & (F.col("ahead.shift") == F.col("source_start") - F.col("start")) & (F.col("ahead.stop") >= F.col("start"))
+    marked = _spans(docs, key, bits).withColumn("ahead", ahead).withColumn("fresh", F.when(same, 0).otherwise(1))
+    grouped = marked.withColumn("span", F.sum("fresh").over(order)).groupBy("key", "row", "span")
+    out = grouped.agg(F.min(F.struct("start", "source", "source_start")).alias("h"), F.max(F.col("start") + F.col("words")).alias("stop"))
+    return out.select("key", F.col("h.start").alias("start"), (F.col("stop") - F.col("h.start")).alias("words"), F.col("h.source").alias("source"), F.col("h.source_start").alias("source_start"))
+
+
+def _kept(words: list[bytes], spans) -> list[bytes]:
+    kept, at = [], 0
+    for s in sorted(spans, key=lambda s: s["start"]):
+        if s["start"] > at:
+            kept += words[at : s["start"]]
+        at = max(at, s["start"] + s["words"])
+    return kept + words[at:]
 
 
 def _removed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -197,43 +286,42 @@ def _removed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         out: list[list] = [[], [], [], []]
         for key, text, spans in zip(*(batch.column(i) for i in range(3))):
             words = words_of(text.as_py())
-            kept, at = [], 0
-            for s in sorted(spans.as_py() or [], key=lambda s: s["start"]):
-                kept += words[at : s["start"]]
-                at = s["start"] + s["words"]
-            kept += words[at:]
+            kept = _kept(words, spans.as_py() or [])
             rest = b" ".join(kept)
             for part, x in zip(out, (key.as_py(), len(words), len(words) - len(kept), rest)):
                 part.append(x)
         yield pa.RecordBatch.from_arrays([pa.array(out[0], pa.int64()), pa.array(out[1], pa.int64()), pa.array(out[2], pa.int64()), pa.array([hashlib.sha256(x).hexdigest() for x in out[3]])], names=["key", "n_words", "n_removed", "kept_sha256"])
 
 
-def removal_digests(docs: DataFrame, key: str = "doc_id") -> DataFrame:
+def _by_row(docs: DataFrame, key: str, bits: int) -> DataFrame:
+    return materialize(_spans(docs, key, bits).groupBy("key", "row").agg(F.collect_list(F.struct("start", "words")).alias("spans")), "spans")
+
+
+def removal_digests(docs: DataFrame, key: str = "doc_id", bits: int = 64) -> DataFrame:
     """key, n_words, n_removed, kept_sha256 (of the kept words joined by one space) for every row."""
-    spans = materialize(repeated_spans(docs, key).groupBy("key").agg(F.collect_list(F.struct("start", "words")).alias("spans")), "spans")
-    texts = docs.select(F.col(key).cast("long").alias("key"), F.col("text").cast("string").alias("text"))
-    return texts.join(spans.hint("merge"), "key", "left").select("key", "text", "spans").mapInArrow(_removed, "key bigint, n_words bigint, n_removed bigint, kept_sha256 string")
+    spans = _by_row(docs, key, bits)
+    return _texts(docs, key).join(spans.hint("merge"), ["key", "row"], "left").select("key", "text", "spans").mapInArrow(_removed, "key bigint, n_words bigint, n_removed bigint, kept_sha256 string")
 
 
-def drop_repeats(docs: DataFrame, key: str = "doc_id") -> DataFrame:
+def drop_repeats(docs: DataFrame, key: str = "doc_id", bits: int = 64) -> DataFrame:
     """``docs`` with repeated words removed from the text, kept words joined by one space;
     texts without any stay as they were."""
-    spans = materialize(repeated_spans(docs, key).groupBy("key").agg(F.collect_list(F.struct("start", "words")).alias("_spans")).withColumnRenamed("key", "_key"), "spans")
+    spans = _by_row(docs, key, bits)
+    row, mine, at, found = (own_name(docs.columns, c) for c in ("_row", "_key", "_hash", "_spans"))
 
     @F.pandas_udf("string")
     def cleaned(texts, spans):
         def one(text, found):
             if text is None or found is None or not len(found):
                 return text
-            words, kept, at = words_of(text), [], 0
-            for s in sorted(found, key=lambda s: s["start"]):
-                kept += words[at : s["start"]]
-                at = s["start"] + s["words"]
-            return b" ".join(kept + words[at:]).decode("utf-8", "surrogatepass")
+            return b" ".join(_kept(words_of(text), found)).decode("utf-8", "surrogatepass")
 
         import pandas as pd
 
         return pd.Series([one(t if isinstance(t, str) else None, s) for t, s in zip(texts, spans)], dtype=object)
 
-    out = docs.join(spans.hint("merge"), F.col(key).cast("long") == F.col("_key"), "left").withColumn("text", cleaned(F.col("text"), F.col("_spans")))
-    return out.select(*[F.col(f"`{c}`") for c in docs.columns])
+    text = F.col("text").cast("string")
+    tagged = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias(row), F.col(f"`{key}`").cast("long").alias(mine), F.xxhash64(text).alias(at))
+    spans = spans.select(F.col("key").alias(mine), F.col("row").alias(at), F.col("spans").alias(found))
+    out = tagged.join(spans.hint("merge"), [mine, at], "left")
+    return out.select(*[(cleaned(F.col(row).getField(c), F.col(found)) if c == "text" else F.col(row).getField(c)).alias(c) for c in docs.columns])

@@ -11,8 +11,8 @@ overlaps).  A token that crosses a bound is allocated by a stated rule:
 
 A token that begins or ends inside a character covers that character.  Sections are the
 lines of a text (with their line feed) or, from a table, (key, section, start, stop) rows
-in code points that do not overlap within a document; tokens outside of all sections count
-as section -1.
+in code points; where sections of a document overlap, one ends where the next one (by start,
+then stop, then name) starts.  Tokens outside of all sections count as section -1.
 
 Edge cases: a null or empty text has one section without tokens by lines; empty sections
 have no tokens; sections beyond the text's end are cut; repeated documents are counted each
@@ -116,6 +116,7 @@ def section_token_counts(docs: DataFrame, sections: DataFrame | None = None, key
                     parts = batch.column(2)[i].as_py() or []
                     at = np.append(np.flatnonzero(first), len(lead) - 1)
                     starts, stops = (at[np.clip(np.array([p[n] for p in parts], np.int64), 0, len(at) - 1)] for n in ("start", "stop"))
+                    stops = np.maximum(starts, np.minimum(stops, np.append(starts[1:], len(lead) - 1))) if len(starts) else stops
                     names = [p["section"] for p in parts]
                 else:
                     starts, stops = line_bounds(t)

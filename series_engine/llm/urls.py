@@ -9,6 +9,12 @@ parameters, hyphens, and the share of blocked rows among labelled URLs with the
 suffix and with the same first path part (smoothed; every value is counted, over all
 labelled rows, in a table that is joined).
 
+Trees never see a rate that the row's own label went into.  They are fitted on rates out of
+fold (hosts are dealt to ``GbtParams.folds`` folds; a row's rates come from labelled rows of
+hosts in other folds), and each row is fitted twice, the second time with both rates
+withheld, i.e. at the mean that values without labelled rows have: so trees also learn what
+lexical features alone say, which is what is left for hosts that no rule knows.
+
 Edge cases: a null URL or one without ``://`` has empty host and path, no rule fits, and
 the trees judge it on its (zero) features; repeated rows are judged alike; without labelled
 rows every URL gets the default verdict; an empty table gives an empty table.
@@ -33,7 +39,7 @@ FEATURES = (*NUMERIC, "suffix_rate", "part_rate")
 
 @dataclass(frozen=True)
 class GbtParams:
-    """sample: most labelled rows that the trees are fitted on."""
+    """sample: most labelled rows that the trees are fitted on.  folds: of hosts, for rates."""
 
     sample: int = 20_000
     trees: int = 30
@@ -43,6 +49,7 @@ class GbtParams:
     ridge: float = 1.0
     threshold: float = 0.5
     default: str = "allow"
+    folds: int = 5
 
 
 def host_of(url: Column) -> Column:
@@ -92,8 +99,7 @@ def with_features(pages: DataFrame, url: str = "url") -> DataFrame:
 def _with_rates(seen: DataFrame, labelled: DataFrame) -> DataFrame:
     """``seen`` with suffix_rate and part_rate: the share of blocked rows among labelled rows
     of the same value, for every value; values without labelled rows get the mean of all."""
-    n, y = labelled.agg(F.count(F.lit(1)), F.sum("y")).first()
-    mean = ((y or 0) + 1) / (n + 2)
+    mean = _mean_rate(labelled)
     for k in ("suffix", "part"):
         value = F.coalesce(F.col(f"_url_{k}"), F.lit(""))
         rates = labelled.groupBy(value.alias("_url_value")).agg(((F.sum("y") + 10 * mean) / (F.count(F.lit(1)) + 10)).alias(f"{k}_rate"))
@@ -101,6 +107,25 @@ def _with_rates(seen: DataFrame, labelled: DataFrame) -> DataFrame:
     return seen
 
 
+def _mean_rate(labelled: DataFrame) -> float:
+    n, y = labelled.agg(F.count(F.lit(1)), F.sum("y")).first()
+    return ((y or 0) + 1) / (n + 2)
+
+
+def with_held_out_rates(sample: DataFrame, labelled: DataFrame, mean: float, folds: int) -> DataFrame:
+    """``sample`` with suffix_held and part_held: the rates without the labelled rows of any
+    host in the row's own fold; the mean where none is left."""
+    fold = F.pmod(F.xxhash64("_url_host"), F.lit(folds))
+    for k in ("suffix", "part"):
+        value = F.coalesce(F.col(f"_url_{k}"), F.lit(""))
+        by = labelled.groupBy(value.alias("_url_value"), fold.alias("_url_fold")).agg(F.sum("y").alias("_url_y"), F.count(F.lit(1)).alias("_url_n"))
+        every = by.groupBy("_url_value").agg(F.sum("_url_y").alias("_url_all_y"), F.sum("_url_n").alias("_url_all_n"))
+        held = (F.col("_url_all_y") - F.col("_url_y") + 10 * mean) / (F.col("_url_all_n") - F.col("_url_n") + 10)
+        rates = by.join(every, "_url_value").select("_url_value", "_url_fold", held.alias(f"{k}_held"))
+        sample = sample.join(rates, (value == F.col("_url_value")) & (fold == F.col("_url_fold")), "left").drop("_url_value", "_url_fold").na.fill(mean, [f"{k}_held"])
+    return sample
+
+
 def _grow(rows, bins, grad, hess, members, depth, p: GbtParams):
     """A tree as nested (feature, bin, left, right) or a leaf value."""
     g, h = sum(grad[i] for i in members), sum(hess[i] for i in members)
@@ -127,7 +152,12 @@ def _grow(rows, bins, grad, hess, members, depth, p: GbtParams):
 
 
 def boost(values: list[tuple[float, ...]], labels: list[int], params: GbtParams = GbtParams()) -> tuple[float, list, list[list[float]]]:
-    """Logistic boosting over binned features.  Returns (start, trees, cut points by feature)."""
+    """Logistic boosting over binned features.  Returns (start, trees, cut points by feature).
+
+    A row is the features as scoring sees them.  It may go on with (suffix_held, part_held,
+    mean): then it is fitted once with the held-out rates in place of its own and once with
+    the mean, and its own rates only help to choose cut points.
+    """
     cuts = []
     for f in range(len(FEATURES)):
         v = sorted({x[f] for x in values})
@@ -137,7 +167,11 @@ def boost(values: list[tuple[float, ...]], labels: list[int], params: GbtParams
     start = math.log(rate / (1 - rate))
     import bisect
 
-    rows = [tuple(bisect.bisect_left(cuts[f], x[f]) for f in range(len(FEATURES))) for x in values]
+    views = [(x[: len(FEATURES)], y) for x, y in zip(values, labels)]
+    if values and len(values[0]) > len(FEATURES):
+        views = [((*x[: len(NUMERIC)], *rates), y) for x, y in zip(values, labels) for rates in (x[-3:-1], (x[-1], x[-1]))]
+        labels = [y for _, y in views]
+    rows = [tuple(bisect.bisect_left(cuts[f], x[f]) for f in range(len(FEATURES))) for x, _ in views]
     # equal rows are one row with a weight: gradients depend on bins and labels alone
     merged: dict[tuple, list] = {}
     for r, y in zip(rows, labels):
@@ -184,8 +218,10 @@ def url_verdicts(pages: DataFrame, key: str = "page_id", url: str = "url", rules
     # rows over a threshold of the hash never leave their task, so the driver gets little more than the sample
     share = min(1.0, 1.2 * params.sample / max(1, labelled.count()))
     near = labelled.withColumn("o", order).where(F.pmod("o", F.lit(1 << 20)) < F.lit(int(share * (1 << 20))))
-    rows = near.select(F.pmod("o", F.lit(1 << 20)).alias("p"), "o", "y", *[c.alias(n) for n, c in named.items()]).orderBy("p", "o", *FEATURES, "y").limit(params.sample).collect()
-    start, trees, cuts = boost([tuple(float(r[n]) for n in FEATURES) for r in rows], [r["y"] for r in rows], params)
+    mean = _mean_rate(labelled)
+    held = with_held_out_rates(near, labelled, mean, params.folds)
+    rows = held.select(F.pmod("o", F.lit(1 << 20)).alias("p"), "o", "y", *[c.alias(n) for n, c in named.items()], "suffix_held", "part_held").orderBy("p", "o", *FEATURES, "y").limit(params.sample).collect()
+    start, trees, cuts = boost([(*(float(r[n]) for n in FEATURES), r["suffix_held"], r["part_held"], mean) for r in rows], [r["y"] for r in rows], params)
     score = F.lit(start if rows else (-1.0 if params.default == "allow" else 1.0))
     for t in trees:
         score = score + tree_column(t, cuts, named)
