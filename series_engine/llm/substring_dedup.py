@@ -15,8 +15,9 @@ position of its first occurrence (least id, then least start).
 Pieces are then compacted.  A piece's in- and out-degree are the numbers of different pieces
 before and after it, over all its occurrences, where the end of a document or of what
 repeats counts as one more.  Where a piece's only successor has it as its only predecessor
-the path does not branch; joins of the degrees tell which pieces go on such a path, and each
-occurrence of a whole nonbranching path becomes one span with the coordinates of its source.
+the path does not branch; joins of the degrees tell which pieces go on such a path.  Edges
+are opened where documents part, i.e. at branches.  Paths and edges that follow each other
+both in a document and in one source become one span with the coordinates of that source.
 
 Spans are verified: the words at a span and at its source's coordinates are read from both
 texts and compared by 128-bit digests.  Hashes only propose: a span whose words differ is
@@ -203,21 +204,34 @@ def repeated_pieces(docs: DataFrame, key: str = "doc_id", bits: int = 64) -> Dat
 
 def nonbranching_paths(pieces: DataFrame) -> DataFrame:
     """(key, start, words, source, source_start): one row for each occurrence of a maximal
-    nonbranching path of pieces, but those in its source document."""
-    order = Window.partitionBy("kind", "key").orderBy("start", "piece")
-    after, before = F.lead(F.struct("start", "piece")).over(order), F.lag(F.struct((F.col("start") + F.col("edges")).alias("stop"), "piece")).over(order)
-    linked = pieces.withColumns({"after": after, "before": before}).select(
-        *pieces.columns, F.when(F.col("after.start") == F.col("start") + F.col("edges"), F.col("after.piece")).alias("next"), F.when(F.col("before.stop") == F.col("start"), F.col("before.piece")).alias("last"))
-    linked = materialize(linked, "links")
+    nonbranching path of whole pieces, and for each single edge (edges are opened where
+    documents part, so they lie at branches), but those in the source document."""
+    whole = pieces.where("kind = 0")
+    order = Window.partitionBy("key").orderBy("start", "piece")
+    stop = F.col("start") + F.col("edges")
+    linked = whole.withColumns({"a": F.lead("start").over(order), "b": F.lead("piece").over(order), "c": F.lag(stop).over(order), "d": F.lag("piece").over(order)})
+    linked = materialize(linked.select("piece", "key", "start", "edges", "source", "source_start", F.when(F.col("a") == stop, F.col("b")).alias("next"), F.when(F.col("c") == F.col("start"), F.col("d")).alias("last")), "links")
     every = F.count(F.lit(1))
-    degrees = linked.groupBy("kind", "piece").agg(
-        F.when((F.min("next") == F.max("next")) & (F.count("next") == every), F.min("next")).alias("next"), F.when((F.min("last") == F.max("last")) & (F.count("last") == every), F.min("last")).alias("last"))
-    ends = degrees.select("kind", F.col("piece").alias("last"), F.col("next").alias("only")).where("only is not null")
-    goes_on = degrees.where("last is not null").join(ends, ["kind", "last"]).where("only = piece").select("kind", "piece", F.lit(0).alias("fresh"))
-    mine = linked.where("source < key").join(goes_on, ["kind", "piece"], "left").withColumn("path", F.sum(F.coalesce("fresh", F.lit(1))).over(Window.partitionBy("kind", "key").orderBy("start", "piece")))
-    head = F.min(F.struct("start", "source", "source_start"))
-    paths = mine.groupBy("kind", "key", "path").agg(head.alias("h"), F.max(F.col("start") + F.col("edges")).alias("stop"))
-    return paths.select("key", F.col("h.start").alias("start"), (F.col("stop") - F.col("h.start") + (K - 1)).alias("words"), F.col("h.source").alias("source"), F.col("h.source_start").alias("source_start"))
+    only = lambda c: F.when((F.min(c) == F.max(c)) & (F.count(c) == every), F.min(c)).alias(c)
+    degrees = materialize(linked.groupBy("piece").agg(only("next"), only("last")), "degrees")
+    # the path goes on where the only piece before has this one as its only piece after
+    ends = degrees.where("next is not null").select(F.col("piece").alias("last"), F.col("next").alias("piece"))
+    goes_on = degrees.where("last is not null").select("piece", "last").join(ends, ["piece", "last"], "left_semi").select("piece", F.lit(0).alias("fresh"))
+    mine = linked.where("source < key").join(goes_on, "piece", "left").withColumn("path", F.sum(F.coalesce("fresh", F.lit(1))).over(Window.partitionBy("key").orderBy("start", "piece")))
+    paths = mine.groupBy("key", "path").agg(F.min(F.struct("start", "source", "source_start")).alias("h"), F.max(stop).alias("stop"))
+    long = lambda n: (n + (K - 1)).cast("int").alias("words")
+    compact = paths.select("key", F.col("h.start").alias("start"), long(F.col("stop") - F.col("h.start")), F.col("h.source").alias("source"), F.col("h.source_start").alias("source_start"))
+    return compact.union(pieces.where("kind = 1 and source < key").select("key", "start", long(F.col("edges")), "source", "source_start"))
+
+
+def merged_spans(paths: DataFrame) -> DataFrame:
+    """Paths of a document that follow each other in one source too are one long span."""
+    order = Window.partitionBy("key").orderBy("start", "words")
+    shift, stop = F.col("source_start") - F.col("start"), F.col("start") + F.col("words")
+    same = (F.lag("source").over(order) == F.col("source")) & (F.lag(shift).over(order) == shift) & (F.lag(stop).over(order) >= F.col("start"))
+    grouped = paths.withColumn("fresh", F.when(same, 0).otherwise(1)).withColumn("span", F.sum("fresh").over(order)).groupBy("key", "span")
+    out = grouped.agg(F.min(F.struct("start", "source", "source_start")).alias("h"), F.max(stop).alias("stop"))
+    return out.select("key", F.col("h.start").alias("start"), (F.col("stop") - F.col("h.start")).cast("int").alias("words"), F.col("h.source").alias("source"), F.col("h.source_start").alias("source_start"))
 
 
 _SPAN = "start int, words int, source bigint, source_start int"
@@ -257,19 +271,13 @@ def verified_spans(docs: DataFrame, spans: DataFrame, key: str = "doc_id") -> Da
 
 
 def _spans(docs: DataFrame, key: str, bits: int) -> DataFrame:
-    return verified_spans(docs, nonbranching_paths(repeated_pieces(docs, key, bits)), key)
+    return verified_spans(docs, merged_spans(nonbranching_paths(repeated_pieces(docs, key, bits))), key)
 
 
 def repeated_spans(docs: DataFrame, key: str = "doc_id", bits: int = 64) -> DataFrame:
-    """(key, start, words, source, source_start): verified spans, in words.  Paths that go on
-    in the same source are one span; spans of different sources may overlap in up to K - 1 words."""
-    order = Window.partitionBy("key", "row").orderBy("start", "words")
-    ahead = F.lag(F.struct("source", (F.col("source_start") - F.col("start")).alias("shift"), (F.col("start") + F.col("words")).alias("stop"))).over(order)
-    same = (F.col("ahead.source") == F.col("source")) & (F.col("ahead.shift") == F.col("source_start") - F.col("start")) & (F.col("ahead.stop") >= F.col("start"))
-    marked = _spans(docs, key, bits).withColumn("ahead", ahead).withColumn("fresh", F.when(same, 0).otherwise(1))
-    grouped = marked.withColumn("span", F.sum("fresh").over(order)).groupBy("key", "row", "span")
-    out = grouped.agg(F.min(F.struct("start", "source", "source_start")).alias("h"), F.max(F.col("start") + F.col("words")).alias("stop"))
-    return out.select("key", F.col("h.start").alias("start"), (F.col("stop") - F.col("h.start")).alias("words"), F.col("h.source").alias("source"), F.col("h.source_start").alias("source_start"))
+    """(key, start, words, source, source_start): verified spans, in words.  Spans of
+    different sources may overlap in up to K - 1 words."""
+    return _spans(docs, key, bits).select("key", "start", "words", "source", "source_start").distinct()
 
 
 def _kept(words: list[bytes], spans) -> list[bytes]:
