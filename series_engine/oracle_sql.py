@@ -74,6 +74,19 @@ def held(limit: int = 200) -> str:
     return f"""q AS (SELECT * FROM words WHERE series_id % 25 = 7 ORDER BY series_id LIMIT {limit}), c AS (SELECT * FROM words WHERE series_id % 25 <> 7)"""
 
 
+def asked(name: str, w: int = 8) -> str:
+    """``q``: every row whose id is divisible by 50; ``c``: all rows."""
+    return f"""{words(name, w)}, q AS (SELECT * FROM words WHERE series_id % 50 = 0), c AS (SELECT * FROM words)"""
+
+
+def knn_all(name: str, k: int, where: str = "true") -> str:
+    """k nearest of all rows for every row whose id is divisible by 50."""
+    return f"""WITH {asked(name)},
+d AS (SELECT q.series_id AS query_id, c.series_id, list_distance(q.z, c.z) AS distance FROM q CROSS JOIN c WHERE {where}),
+r AS (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY distance, series_id) AS rank FROM d)
+SELECT query_id, CAST(rank AS INTEGER) AS rank, series_id, round(distance, 6) AS distance FROM r WHERE rank <= {k}"""
+
+
 def knn(name: str, k: int, limit: int, where: str = "true", w: int = 8) -> str:
     return f"""WITH {words(name, w)}, {held(limit)},
 d AS (SELECT q.series_id AS query_id, c.series_id, list_distance(q.z, c.z) AS distance FROM q CROSS JOIN c WHERE {where}),
@@ -81,7 +94,7 @@ r AS (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY distance, seri
 SELECT query_id, CAST(rank AS INTEGER) AS rank, series_id, round(distance, 6) AS distance FROM r WHERE rank <= {k}"""
 
 
-def level2(name: str, w: int, th: int, alpha: float = 0.2, f_low: float = 0.5, f_high: float = 3.0, source: str = "words") -> str:
+def level2(name: str, w: int, th: int, alpha: float = 0.2, f_low: float = 0.5, f_high: float = 3.0, source: str = "words", collection: str = "series_id % 25 <> 7") -> str:
     """The root's cells and the best plan of each full one.
 
     ``cells(cell, n)``, ``v(cell, seg, var, mean)``, ``base(cell, nb, n)``, ``sized(cell, mask, sid, n)``,
@@ -91,7 +104,7 @@ def level2(name: str, w: int, th: int, alpha: float = 0.2, f_low: float = 0.5, f
     seg = ", ".join(f"({i}, {1 << (w - 1 - i)})" for i in range(w))
     return words(name, w) + f""",
 x AS (SELECT series_id, z, m, s, CAST({bit(0)} AS BIGINT) AS cell, CAST({bit(1)} AS BIGINT) AS nb FROM {source}),
-col AS (SELECT * FROM x WHERE series_id % 25 <> 7),
+col AS (SELECT * FROM x WHERE {collection}),
 cells AS (SELECT cell, count(*) AS n FROM col GROUP BY cell),
 big AS (SELECT cell, n, greatest(1, CAST(ceil(log2(n / ({f_high} * {th})) - 1e-12) AS BIGINT)) AS lo, greatest(greatest(1, CAST(ceil(log2(n / ({f_high} * {th})) - 1e-12) AS BIGINT)), least({w}, CAST(floor(log2(n / ({f_low} * {th})) + 1e-12) AS BIGINT))) AS hi FROM cells WHERE n > {th}),
 mids AS (SELECT cell, i - 1 AS seg, {_list(midpoints(8))}[s[i] + 1] AS mid FROM col, (SELECT unnest(range(1, {w + 1})) AS i) WHERE cell IN (SELECT cell FROM big)),
@@ -107,6 +120,57 @@ FROM sized s JOIN spread p ON p.cell = s.cell AND p.mask = s.mask GROUP BY s.cel
 best AS (SELECT cell, mask, lam, score FROM (SELECT *, row_number() OVER (PARTITION BY cell ORDER BY round(score, 9) DESC, lam DESC, mask DESC) AS i FROM scored) WHERE i = 1)"""
 
 
+def _bounds(name: str, w: int) -> tuple[str, str]:
+    """Lower bounds of ``q.m`` from the root cell ``f.cell`` and from the leaf (``f.mask``, ``f.leaf``) in it."""
+    n = LENGTH[name]
+    gap = lambda lo, hi: f"pow(greatest({lo} - q.m[i], q.m[i] - {hi}, 0.0), 2)"
+    one, two = _list(edges(1)), _list(edges(2))
+    cell1 = f"((f.cell >> ({w} - i)) & 1)"
+    cell2 = f"(2 * {cell1} + ((f.leaf >> ({w} - i)) & 1))"
+    wide = f"sqrt({n / w} * list_sum(list_transform(range(1, {w + 1}), lambda i: {gap(f'{one}[{cell1} + 1]', f'{one}[{cell1} + 2]')})))"
+    fine = f"sqrt({n / w} * list_sum(list_transform(range(1, {w + 1}), lambda i: CASE WHEN ((f.mask >> ({w} - i)) & 1) = 1 THEN {gap(f'{two}[{cell2} + 1]', f'{two}[{cell2} + 2]')} ELSE {gap(f'{one}[{cell1} + 1]', f'{one}[{cell1} + 2]')} END)))"
+    return wide, fine
+
+
+def placed(name: str, w: int, th: int, collection: str = "true") -> str:
+    """``placed(series_id, z, cell, mask, leaf)``: leaves of the unpacked two-level tree."""
+    return f"""{level2(name, w, th, collection=collection)},
+placed AS (SELECT col.series_id, col.z, col.cell, coalesce(best.mask, 0) AS mask, coalesce(col.nb & best.mask, -1) AS leaf FROM col LEFT JOIN best ON best.cell = col.cell)"""
+
+
+def leaf_search(name: str, w: int, th: int, k: int, leaves: int, how: str) -> str:
+    """k nearest in ``leaves`` leaves of the two-level tree over all rows, for every row whose
+    id is divisible by 50.  how: "extended" (around the query's place) or "budget" (own leaf,
+    then by bound)."""
+    wide, fine = _bounds(name, w)
+    if how == "budget":
+        chosen = f"chosen AS (SELECT query_id, cell, leaf FROM (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY foreign_leaf, b, cell, leaf) AS i FROM leafbound) WHERE i <= {leaves})"
+    else:
+        chosen = f"""size AS (SELECT cell, count(*) AS m FROM f GROUP BY cell),
+home AS (SELECT q.series_id AS query_id, q.cell, s.m FROM q JOIN size s ON s.cell = q.cell),
+cells_in AS (SELECT c.query_id, c.cell, s.m, coalesce(sum(s.m) OVER (PARTITION BY c.query_id ORDER BY (c.cell <> h.cell), c.b, c.cell ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS ahead
+FROM cellbound c JOIN home h ON h.query_id = c.query_id JOIN size s ON s.cell = c.cell WHERE h.m <= {leaves}),
+chosen AS (SELECT query_id, cell, leaf FROM (SELECT l.query_id, l.cell, l.leaf, row_number() OVER (PARTITION BY l.query_id ORDER BY foreign_leaf, b, l.leaf) AS i FROM leafbound l JOIN home h ON h.query_id = l.query_id AND h.cell = l.cell WHERE h.m > {leaves}) WHERE i <= {leaves}
+UNION ALL SELECT query_id, cell, leaf FROM (SELECT l.query_id, l.cell, l.leaf, c.m, c.ahead, row_number() OVER (PARTITION BY l.query_id, l.cell ORDER BY b, l.leaf) AS i FROM leafbound l JOIN cells_in c ON c.query_id = l.query_id AND c.cell = l.cell WHERE c.ahead < {leaves}) WHERE ahead + m <= {leaves} OR i <= {leaves} - ahead)"""
+    return f"""WITH {placed(name, w, th)},
+q AS (SELECT series_id, z, m, cell, nb FROM x WHERE series_id % 50 = 0),
+f AS (SELECT DISTINCT cell, mask, leaf FROM placed),
+cellbound AS (SELECT q.series_id AS query_id, f.cell, min({wide}) AS b FROM q CROSS JOIN (SELECT DISTINCT cell FROM f) f GROUP BY ALL),
+leafbound AS (SELECT q.series_id AS query_id, f.cell, f.leaf, {fine} AS b, NOT (q.cell = f.cell AND (f.leaf = -1 OR q.nb & f.mask = f.leaf)) AS foreign_leaf FROM q CROSS JOIN f),
+{chosen},
+d AS (SELECT o.query_id, p.series_id, list_distance(q.z, p.z) AS distance FROM chosen o JOIN q ON q.series_id = o.query_id JOIN placed p ON p.cell = o.cell AND p.leaf = o.leaf),
+r AS (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY distance, series_id) AS rank FROM d)
+SELECT query_id, CAST(rank AS INTEGER) AS rank, series_id, round(distance, 6) AS distance FROM r WHERE rank <= {k}"""
+
+
+def leaf_widths(w: int, n: int) -> str:
+    """Upper bound of the leaf (``f.cell``, ``f.mask``, ``f.leaf``), open cells closed at the cap."""
+    one, two = _list(edges(1, CAP)), _list(edges(2, CAP))
+    cell1 = f"((f.cell >> ({w} - i)) & 1)"
+    cell2 = f"(2 * {cell1} + ((f.leaf >> ({w} - i)) & 1))"
+    return f"sqrt({n / w} * list_sum(list_transform(range(1, {w + 1}), lambda i: pow(CASE WHEN ((f.mask >> ({w} - i)) & 1) = 1 THEN {two}[{cell2} + 2] - {two}[{cell2} + 1] ELSE {one}[{cell1} + 2] - {one}[{cell1} + 1] END, 2))))"
+
+
 def one_leaf(name: str, w: int, th: int, k: int, limit: int) -> str:
     """k nearest in the query's leaf of the unpacked two-level tree.  Where its cell is empty,
     the sibling with the least lower bound stands in, and below a full sibling its best leaf."""
