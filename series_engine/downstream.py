@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from .plans.storage import written
+
 
 def knn_classify(answers: DataFrame, labels: DataFrame, label: str = "label") -> DataFrame:
     """(query_id, predicted, votes): the most frequent label of the neighbours; ties to the least label."""
@@ -19,10 +21,18 @@ def knn_outliers(answers: DataFrame, k: int) -> DataFrame:
 
 
 def roc_auc(scored: DataFrame, score: str, positive: str) -> float:
-    """Share of (positive, negative) pairs in right order, by the rank formula; ties count half."""
+    """Share of (positive, negative) pairs in right order, by the rank formula; ties count half.
+
+    Distinct scores are range-partitioned; negatives below a score are those of the
+    partitions before it (one row a partition) and of its own partition.
+    """
     by = scored.groupBy(score).agg(F.sum(F.col(positive).cast("long")).alias("p"), F.sum((~F.col(positive)).cast("long")).alias("q"))
-    below = F.coalesce(F.sum("q").over(Window.orderBy(score).rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
-    row = by.withColumn("below", below).agg(F.sum(F.col("p") * (F.col("below") + F.col("q") / 2)).alias("u"), F.sum("p").alias("p"), F.sum("q").alias("q")).first()
+    parts = written(by.repartitionByRange(score).withColumn("part", F.spark_partition_id()), "scores")
+    ahead = Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)  # one row a partition
+    before = parts.groupBy("part").agg(F.sum("q").alias("all")).withColumn("ahead", F.coalesce(F.sum("all").over(ahead), F.lit(0))).select("part", "ahead")
+    inside = Window.partitionBy("part").orderBy(score).rowsBetween(Window.unboundedPreceding, -1)
+    below = F.coalesce(F.sum("q").over(inside), F.lit(0)) + F.col("ahead")
+    row = parts.join(F.broadcast(before), "part").withColumn("below", below).agg(F.sum(F.col("p") * (F.col("below") + F.col("q") / 2)).alias("u"), F.sum("p").alias("p"), F.sum("q").alias("q")).first()
     return float(row["u"] / (row["p"] * row["q"])) if row["p"] and row["q"] else float("nan")
 
 

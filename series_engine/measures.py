@@ -5,10 +5,12 @@ from __future__ import annotations
 import pickle
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .functions.distances import upper_bounds_rows
+from .plans import arrow
 from .plans.index import SeriesIndex
 from .plans.order import positions
 
@@ -49,6 +51,25 @@ def error_ratio(answers: DataFrame, truth: DataFrame, k: int) -> float:
     return float(both.select(F.avg(ratio)).first()[0] or 0.0)
 
 
+def accuracies(answers: DataFrame, truth: DataFrame, ks) -> dict[int, tuple[float, float]]:
+    """k -> (mean average precision, error ratio), for several k in one job."""
+    at = F.explode(F.array(*[F.lit(int(k)) for k in ks]))
+    spread = lambda df: df.withColumn("k", at).where(F.col("rank") <= F.col("k"))
+    true = spread(truth)
+    last = true.groupBy("query_id", "k").agg(F.max("distance").alias("last"))
+    members = true.select("query_id", "k", "series_id", F.lit(1).alias("member"))
+    place = true.select("query_id", "k", "rank", F.col("distance").alias("t"))
+    rows = spread(answers).join(last, ["query_id", "k"]).join(members, ["query_id", "k", "series_id"], "left").join(place, ["query_id", "k", "rank"], "left")
+    hit = (F.col("member").isNotNull() | (F.col("distance") <= F.col("last") + TIE)).cast("int")
+    so_far = F.sum("hit").over(Window.partitionBy("query_id", "k").orderBy("rank"))
+    ratio = F.when(F.col("t") > TIE, F.col("distance") / F.col("t")).when(F.col("distance") <= TIE, 1.0)
+    rows = rows.withColumn("hit", hit).withColumn("p", F.col("hit") * so_far / F.col("rank") / F.col("k"))
+    total = truth.agg(F.countDistinct("query_id").alias("q"))
+    found = rows.groupBy("k").agg(F.sum("p").alias("p"), F.avg(ratio).alias("e")).crossJoin(F.broadcast(total)).collect()  # the total is one row
+    sums = {r["k"]: (float(r["p"] / r["q"]), float(r["e"] or 0.0)) for r in found}
+    return {k: sums.get(k, (0.0, 0.0)) for k in ks}
+
+
 def improvement(value: float, other: float) -> float:
     """In percent over another method's value."""
     return 100.0 * (value - other) / other if other else float("nan")
@@ -106,13 +127,40 @@ def uneven_leaves(ix: SeriesIndex, apart: int = 4) -> float:
 
 
 def leaf_proximity(ix: SeriesIndex) -> float:
-    """Mean squared distance of members to their leaf's centroid, by series."""
-    rows = ix.data(None, ("leaf_id", "series_id", "values")).select("leaf_id", "series_id", F.posexplode("values").alias("pos", "v"))
-    per = rows.groupBy("leaf_id", "pos").agg(F.var_pop("v").alias("var"), F.count(F.lit(1)).alias("n"))
-    leaves = per.groupBy("leaf_id").agg(F.sum("var").alias("d"), F.max("n").alias("n"))
+    """Mean squared distance of members to their leaf's centroid, by series.
+
+    Batches give count, sum and sum of squares by leaf and position; what is shuffled is a
+    row for each leaf of a batch, not for each value.
+    """
+    n = ix.n
+
+    def sums(batches):
+        for b in batches:
+            leaf, x = b.column(0).to_numpy(), arrow.matrix_of(b.column(1), n)
+            ids, at = np.unique(leaf, return_inverse=True)
+            one, two = np.zeros((len(ids), n)), np.zeros((len(ids), n))
+            np.add.at(one, at, x)
+            np.add.at(two, at, x * x)
+            yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array(np.bincount(at, minlength=len(ids))), arrow.lists_of(one), arrow.lists_of(two)], names=["leaf_id", "n", "one", "two"])
+
+    def joined(key, table):
+        total = int(np.sum(table.column("n").to_numpy()))
+        one, two = (arrow.matrix_of(table.column(c).combine_chunks(), n).sum(0) for c in ("one", "two"))
+        spread = float(np.maximum(two / total - (one / total) ** 2, 0.0).sum())
+        return pa.table({"n": pa.array([total]), "d": pa.array([spread])})
+
+    rows = ix.data(None, ("leaf_id", "values")).mapInArrow(sums, "leaf_id long, n long, one array<double>, two array<double>")
+    leaves = rows.groupBy("leaf_id").applyInArrow(joined, "n long, d double")
     return float(leaves.select(F.sum(F.col("d") * F.col("n")) / F.sum("n")).first()[0] or 0.0)
 
 
+def written_bytes(ix: SeriesIndex) -> int:
+    """Size of the index's data files, as the file system has it."""
+    jvm, conf = ix.spark.sparkContext._jvm, ix.spark.sparkContext._jsc.hadoopConfiguration()
+    paths = [jvm.org.apache.hadoop.fs.Path(p) for p, _ in ix.segments]
+    return sum(p.getFileSystem(conf).getContentSummary(p).getLength() for p in paths)
+
+
 def random_writes(ix: SeriesIndex, buffer: int) -> int:
     """Leaf flushes when series arrive in the order of their ids and ``buffer`` of them are held at a time."""
     rows = ix.data(None, ("leaf_id", "series_id", "is_copy")).where("not is_copy")

@@ -41,13 +41,16 @@ class Queries:
 
 @dataclass
 class SearchStats:
-    """By query: leaves read, series read, series whose distance was computed."""
+    """By query: leaves read, series read, series whose distance was computed.  seconds: wall
+    clock; cpu_seconds: spent in tasks on bounds and distances of what was read, the rest being
+    reading and scheduling."""
 
     leaves: dict[int, int] = field(default_factory=dict)
     series: dict[int, int] = field(default_factory=dict)
     computed: dict[int, int] = field(default_factory=dict)
     waves: int = 0
     seconds: float = 0.0
+    cpu_seconds: float = 0.0
 
 
 def prepare(queries: DataFrame, n: int, w: int, bits: int, normalize: bool = True, metric: str = "ed", band: float = BAND, strict: bool = False) -> Queries:
@@ -121,9 +124,9 @@ def knn_scan(series: DataFrame, queries: DataFrame, k: int, metric: str = "ed",
     return top_k(found.where("distance < double('Infinity')"), k)
 
 
-def _read(ix: SeriesIndex, q: Queries, wanted: dict[int, list[tuple[int, float]]], k: int, word_filter: bool = True) -> tuple[list, dict[int, list[int]]]:
+def _read(ix: SeriesIndex, q: Queries, wanted: dict[int, list[tuple[int, float]]], k: int, word_filter: bool = True) -> tuple[list, dict[int, tuple[int, int, float]]]:
     """Reads leaves (leaf_id -> [(query position, best so far)]); k best rows per query, and
-    [series read, computed] by query position.  One scan; rows of leaves that the file filter
+    (series read, computed, seconds of work) by query position.  One scan; rows of leaves that the file filter
     lets through beside the wanted ones are passed over."""
     if not wanted:
         return [], {}
@@ -135,6 +138,7 @@ def _read(ix: SeriesIndex, q: Queries, wanted: dict[int, list[tuple[int, float]]
         q, wanted = shared.value
         ends = edges(p.bits)
         for b in batches:
+            began = time.process_time()
             leaf, ids = b.column(0).to_numpy(), b.column(1).to_numpy()
             x, words = arrow.matrix_of(b.column(3), n), arrow.words_from(b.column(2), p.w)
             found: dict[int, tuple] = {}
@@ -163,18 +167,18 @@ def _read(ix: SeriesIndex, q: Queries, wanted: dict[int, list[tuple[int, float]]
             rows = [r for r in best if len(r[1])]
             found_rows = _batch(rows)
             counts = pa.array([None] * len(found_rows) + [c[0] for c in seen.values()], pa.int64()), pa.array([None] * len(found_rows) + [c[1] for c in seen.values()], pa.int64())
-            pad = pa.nulls(len(seen), pa.int64())
+            pad, spent = pa.nulls(len(seen), pa.int64()), (time.process_time() - began) / max(1, len(seen))
             yield pa.RecordBatch.from_arrays([
                 pa.concat_arrays([found_rows.column(0), pa.array(list(seen), pa.int64())]), pa.concat_arrays([found_rows.column(1), pad]),
-                pa.concat_arrays([found_rows.column(2), pa.nulls(len(seen), pa.float64())]), *counts], names=["query_id", "series_id", "distance", "read", "done"])
+                pa.concat_arrays([found_rows.column(2), pa.nulls(len(seen), pa.float64())]), *counts, pa.array([None] * len(found_rows) + [spent] * len(seen), pa.float64())], names=["query_id", "series_id", "distance", "read", "done", "spent"])
 
     data = ix.data(sorted(wanted), ("leaf_id", "series_id", "word", "values"), loose=True)
-    found = data.mapInArrow(run, "query_id long, series_id long, distance double, read long, done long")
+    found = data.mapInArrow(run, "query_id long, series_id long, distance double, read long, done long, spent double")
     # rows of counts have no series id: together they are one group of each query, and its first
-    merged = found.groupBy("query_id", "series_id").agg(F.min("distance").alias("distance"), F.sum("read").alias("read"), F.sum("done").alias("done"))
+    merged = found.groupBy("query_id", "series_id").agg(F.min("distance").alias("distance"), F.sum("read").alias("read"), F.sum("done").alias("done"), F.sum("spent").alias("spent"))
     order = Window.partitionBy("query_id").orderBy(F.col("series_id").isNotNull(), "distance", "series_id")
     rows = merged.withColumn("i", F.row_number().over(order)).where(F.col("i") <= k + 1).collect()
-    return [(r["query_id"], r["distance"], r["series_id"]) for r in rows if r["series_id"] is not None], {r["query_id"]: [r["read"], r["done"]] for r in rows if r["series_id"] is None}
+    return [(r["query_id"], r["distance"], r["series_id"]) for r in rows if r["series_id"] is not None], {r["query_id"]: (r["read"], r["done"], r["spent"]) for r in rows if r["series_id"] is None}
 
 
 class _Best:
@@ -269,8 +273,9 @@ def search_extended(ix: SeriesIndex, queries: DataFrame, k: int, nbr: int, metri
     best = _Best(len(q.ids), k)
     found, seen = _read(ix, q, wanted, k)
     best.take(found)
-    for at, (read, done) in seen.items():
+    for at, (read, done, spent) in seen.items():
         stats.series[q.ids[at]], stats.computed[q.ids[at]] = read, done
+        stats.cpu_seconds += spent
     stats.waves, stats.seconds = 1, time.time() - began
     return _answers(ix.spark, q, best)
 
@@ -406,9 +411,10 @@ def search_progressive(ix: SeriesIndex, queries: DataFrame, k: int, metric: str
             break
         found, seen = _read(ix, q, wanted, k)
         best.take(found)
-        for at, (read, made) in seen.items():
+        for at, (read, made, spent) in seen.items():
             stats.series[q.ids[at]] += read
             stats.computed[q.ids[at]] += made
+            stats.cpu_seconds += spent
         stats.waves += 1
         stats.seconds = time.time() - began
         size *= 4 if stats.waves == 1 else 2

@@ -20,7 +20,7 @@ from .operators.relational import OPERATORS
 from .plans import search, update
 from .plans.build import build_index, build_tree, words_of
 from .plans.params import BuildParams
-from .plans.storage import written
+from .plans.storage import fresh_path, written
 from .sources import builders
 from .streaming import streams
 
@@ -204,12 +204,32 @@ def bound_violations(spark, sf_dir):
     return _violations(_pairs(_words(spark, sf_dir, "walks", 8)))
 
 
-@query()
+_BOTH = "q CROSS JOIN c"
+_PAA = "sqrt(8.0 * list_sum(list_transform(range(1, 9), lambda i: pow(q.m[i] - c.m[i], 2))))"
+_CELL = f"sqrt(8.0 * list_sum(list_transform(range(1, 9), lambda i: pow(greatest({_LO} - q.m[i], q.m[i] - {_HI}, 0.0), 2))))"
+_ENVELOPE = "sqrt(list_sum(list_transform(range(1, 65), lambda t: pow(greatest(e.l[t] - c.z[t], c.z[t] - e.u[t], 0.0), 2))))"
+_WITH_ENVELOPE = f"""WITH {O.asked('walks')}, e AS (SELECT *, list_transform(range(1, 65), lambda t: list_max(z[greatest(t - 6, 1):least(t + 6, 64)])) AS u, list_transform(range(1, 65), lambda t: list_min(z[greatest(t - 6, 1):least(t + 6, 64)])) AS l FROM q),
+p AS (SELECT e.series_id AS query_id, list_distance(e.z, c.z) AS d, {_CELL.replace('q.', 'e.')} AS cell, {_PAA.replace('q.', 'e.')} AS means, {_ENVELOPE} AS env FROM e CROSS JOIN c)"""
+
+
+@query(f"{_WITH_ENVELOPE} SELECT query_id, count(*) AS pairs, count(*) FILTER (WHERE greatest(cell, means, env) > d + 1e-7) AS above FROM p GROUP BY 1")
 def bound_violations_all_rows(spark, sf_dir):
     """The same for every row with an id divisible by 50 against all rows."""
     return _all_pairs(_words(spark, sf_dir, "walks", 8), _violations)
 
 
+@query(f"{_WITH_ENVELOPE} SELECT query_id, round(avg(cell / d), 6) AS cell, round(avg(means / d), 6) AS means, round(avg(env / d), 6) AS envelope FROM p WHERE d > 1e-6 GROUP BY 1")
+def bound_tightness(spark, sf_dir):
+    """Mean share of the distance that each lower bound reaches, by query."""
+
+    def of(p: DataFrame) -> DataFrame:
+        p = p.withColumn("e", S.envelope(F.col("qz"), 6)).withColumn("d", D.ed(F.col("qz"), F.col("z"))).where("d > 1e-6")
+        bounds = {"cell": D.mindist_word(F.col("qm"), F.col("s"), 8, 64, 8), "means": D.mindist_paa(F.col("qm"), F.col("m"), 64, 8), "envelope": D.lb_envelope(F.col("e.upper"), F.col("e.lower"), F.col("z"))}
+        return p.groupBy("query_id").agg(*[F.round(F.avg(b / F.col("d")), 6).alias(k) for k, b in bounds.items()])
+
+    return _all_pairs(_words(spark, sf_dir, "walks", 8), of)
+
+
 def _violations(p: DataFrame) -> DataFrame:
     p = p.withColumn("e", S.envelope(F.col("qz"), 6))
     d = D.ed(F.col("qz"), F.col("z")) + D.SLACK
@@ -226,7 +246,7 @@ def ed_pairs(spark, sf_dir):
     return _distances(_pairs(_words(spark, sf_dir, "walks", 8)))
 
 
-@query()
+@query(f"WITH {O.asked('walks')} SELECT q.series_id AS query_id, c.series_id, round(list_distance(q.z, c.z), 6) AS distance FROM q CROSS JOIN c")
 def ed_pairs_all_rows(spark, sf_dir):
     """Every row with an id divisible by 50 against all rows."""
     return _all_pairs(_words(spark, sf_dir, "walks", 8), _distances)
@@ -314,11 +334,8 @@ def base_distribution(spark, sf_dir):
 def fanout_ranges(spark, sf_dir):
     from .plans.objective import fanout_range
 
-    c = _full_cells(spark, sf_dir, WALKS).select("cell", "total").distinct()
-    least = F.greatest(F.lit(1), F.ceil(F.log2(F.col("total") / (3.0 * 40)) - 1e-12))
-    most = F.greatest(least, F.least(F.lit(8), F.floor(F.log2(F.col("total") / (0.5 * 40)) + 1e-12)))
-    assert fanout_range(100, 40, 0.5, 3.0, 8) == (1, 2)
-    return c.select("cell", least.cast("long").alias("least"), most.cast("long").alias("most"))
+    cells = _full_cells(spark, sf_dir, WALKS).select("cell", "total").distinct().collect()  # at most 2 ** 8
+    return spark.createDataFrame([(r["cell"], *fanout_range(r["total"], WALKS.th, WALKS.f_low, WALKS.f_high, WALKS.w)) for r in cells], "cell long, least long, most long")
 
 
 def _plan_rows(spark, sf_dir, p: BuildParams) -> list[tuple]:
@@ -504,9 +521,32 @@ _WIDTH = float(S.edges(1, S.CAP)[2] - S.edges(1, S.CAP)[1])
 @query(f"WITH {O.words('walks', 8)} SELECT series_id, CAST(i AS BIGINT) - 1 AS seg FROM words, (SELECT unnest(range(1, 9)) AS i) WHERE series_id % 25 <> 7 AND {_GAP} <= 0.1 * {_WIDTH!r}")
 def boundary_pairs(spark, sf_dir):
     """Series near the root's breakpoint, by segment: those that may be copied to the cell on the other side."""
-    mids = F.array(*[F.lit(float(v)) for v in S.midpoints(8)])
-    rows = _words(spark, sf_dir, "walks", 8).where("series_id % 25 <> 7").select("series_id", F.posexplode("s").alias("seg", "v"))
-    return rows.where(F.abs(F.get(mids, F.col("v"))) <= 0.1 * _WIDTH).select("series_id", F.col("seg").cast("long").alias("seg"))
+    import numpy as np
+    import pyarrow as pa
+
+    from .plans import arrow
+    from .plans.tree import border_gaps
+
+    p = replace(WALKS, f=0.1)
+
+    def near(batches):
+        for b in batches:
+            words = arrow.words_from(b.column(1), p.w)
+            cells = ((words >> 7).astype(np.int64) * (1 << np.arange(7, -1, -1))).sum(1)
+            i, seg = np.nonzero(np.isfinite(border_gaps(words, [0] * 8, [0] * 8, tuple(range(8)), cells, p)))
+            yield pa.RecordBatch.from_arrays([b.column(0).take(pa.array(i)), pa.array(seg.astype(np.int64))], names=["series_id", "seg"])
+
+    return _word_table(spark, sf_dir, "walks", p).select("series_id", "word").mapInArrow(near, "series_id long, seg long")
+
+
+_KEYS = f"WITH {O.words('vectors', 4)}, b AS (SELECT series_id, array_to_string(list_transform(range(0, 32), lambda i: CAST((s[i % 4 + 1] >> (7 - i // 4)) & 1 AS VARCHAR)), '') AS bits FROM words), o AS (SELECT *, row_number() OVER (ORDER BY bits, series_id) - 1 AS pos FROM b), cut AS (SELECT DISTINCT bits FROM o WHERE pos % 20 = 0)"
+
+
+@query(f"{_KEYS} SELECT b.series_id, count(*) - 1 AS leaf_id FROM b JOIN cut ON cut.bits <= b.bits GROUP BY b.series_id")
+def sorted_leaves(spark, sf_dir):
+    """Leaves of an index whose packing cuts the order of interleaved words every 20 series."""
+    rows, _ = _all_rows(spark, sf_dir, "vectors")
+    return build_index(rows, BuildParams(w=4, th=20, packing="sorted")).data(None, ("series_id", "leaf_id"))
 
 
 @query(f"WITH {O.SERIES['walks']} SELECT count(*) AS series, true AS within_three, true AS own_leaf_once FROM series WHERE series_id % 25 <> 7")
@@ -561,11 +601,11 @@ def _indexed_all_rows(answer, policy: str = "adaptive"):
 
 
 for _policy in ("adaptive", "binary", "binary_rr", "fullary", "dynseg"):
-    query(None, f"exact_ed_{_policy}_all_rows")(_indexed_all_rows(lambda ix, q: search.search_exact(ix, q, 10), _policy))
-query(None, "exact_fuzzy_all_rows")(_indexed_all_rows(lambda ix, q: search.search_exact(ix, q, 10), "fuzzy"))
+    query(O.knn_all("walks", 10), f"exact_ed_{_policy}_all_rows")(_indexed_all_rows(lambda ix, q: search.search_exact(ix, q, 10), _policy))
+query(O.knn_all("walks", 10), "exact_fuzzy_all_rows")(_indexed_all_rows(lambda ix, q: search.search_exact(ix, q, 10), "fuzzy"))
 
 
-@query()
+@query(O.knn_all("vectors", 5))
 def knn_scan_ed_all_rows(spark, sf_dir):
     rows, q = _all_rows(spark, sf_dir, "vectors")
     return _answers(_by_block(q, lambda part: search.knn_scan(rows, part, 5)))
@@ -608,6 +648,40 @@ for _nbr in (1, 5, 25):
 query(O.knn("walks", 5, 20), "extended_all")(_extended(1_000_000))
 
 
+def _two_level(answer):
+    """``answer(index, queries)`` on the unpacked two-level tree over all rows, for every row
+    with an id divisible by 50: SQL knows that tree's leaves and their bounds."""
+
+    def f(spark, sf_dir):
+        rows, q = _all_rows(spark, sf_dir, "walks")
+        ix = build_index(rows, TWO_LEVELS["walks"])
+        return _answers(_by_block(q, lambda part: answer(ix, part)))
+
+    return f
+
+
+for _nbr in (1, 2, 5, 25):
+    query(O.leaf_search("walks", 8, 80, 5, _nbr, "extended"), f"extended_level2_{_nbr}")(_two_level(lambda ix, q, nbr=_nbr: search.search_extended(ix, q, 5, nbr)))
+for _nbr in (1, 4):
+    query(O.leaf_search("walks", 8, 80, 5, _nbr, "budget"), f"budget_level2_{_nbr}")(_two_level(lambda ix, q, nbr=_nbr: search.search_budget(ix, q, 5, nbr)))
+
+
+def _guaranteed(epsilon: float):
+    def f(spark, sf_dir):
+        rows, q = _all_rows(spark, sf_dir, "walks")
+        ix = build_index(rows, POLICY["adaptive"])
+        truth = _by_block(q, lambda part: search.knn_scan(rows, part, 5)).select("query_id", "rank", F.col("distance").alias("t"))
+        both = _by_block(q, lambda part: search.search_exact(ix, part, 5, epsilon=epsilon)).join(truth, ["query_id", "rank"])
+        within = F.col("distance") <= (1 + epsilon) * F.col("t") + 1e-6
+        return both.select("query_id", "rank", F.round("t", 6).alias("true_distance"), within.alias("within"))
+
+    return f
+
+
+for _e in (0.1, 0.5):
+    query(f"SELECT query_id, rank, distance AS true_distance, true AS within FROM ({O.knn_all('walks', 5)})", f"epsilon_guarantee_{int(100 * _e)}")(_guaranteed(_e))
+
+
 query(None, "budget_search")(_indexed_all_rows(lambda ix, q: search.search_budget(ix, q, 5, 8)))
 
 
@@ -687,6 +761,92 @@ def operation_counts(spark, sf_dir):
     return spark.createDataFrame(rows, "w int, low int, high int, plans long, cells long")
 
 
+_LEVEL2 = f"WITH {O.placed('walks', 8, 80)}, f AS (SELECT cell, mask, leaf, count(*) AS n FROM placed GROUP BY ALL)"
+
+
+def _level2_index(spark, sf_dir):
+    rows, _ = _all_rows(spark, sf_dir, "walks")
+    return build_index(rows, TWO_LEVELS["walks"])
+
+
+@query(f"{_LEVEL2} SELECT count(*) AS leaves, count(*) + 1 + (SELECT count(*) FROM best) AS nodes, CAST(max(CASE WHEN leaf = -1 THEN 1 ELSE 2 END) AS INTEGER) AS height, round(sum(n) / (count(*) * 80.0), 6) AS fill, round(sum(n * CASE WHEN leaf = -1 THEN 1 ELSE 2 END) / CAST(sum(n) AS DOUBLE), 6) AS path, round((8 + (SELECT coalesce(sum(lam), 0) FROM best)) / CAST(1 + (SELECT count(*) FROM best) AS DOUBLE), 6) AS fanout_bits FROM f")
+def structure_level2(spark, sf_dir):
+    """Leaves, nodes, height, fill, average path and bits of a split of the two-level tree over all rows."""
+    s = measures.structure(_level2_index(spark, sf_dir))
+    return spark.createDataFrame([(s["leaves"], s["nodes"], s["height"], round(s["fill"], 6), round(s["path"], 6), round(s["fanout_bits"], 6))], "leaves long, nodes long, height int, fill double, path double, fanout_bits double")
+
+
+@query(f"{_LEVEL2} SELECT CAST(floor({O.leaf_widths(8, 64)} / 2.0) AS BIGINT) AS bin, count(*) AS leaves FROM f GROUP BY 1")
+def upper_bounds_level2(spark, sf_dir):
+    """Histogram of the leaves' upper bounds."""
+    h = measures.upper_bound_histogram(_level2_index(spark, sf_dir), 2.0)
+    return spark.createDataFrame([(int(b), int(n)) for b, n in h.items()], "bin long, leaves long")
+
+
+@query(f"{_LEVEL2} SELECT round(avg(CASE WHEN leaf <> -1 AND bit_count(mask) < 8 THEN 1.0 ELSE 0.0 END), 6) AS uneven FROM f")
+def uneven_level2(spark, sf_dir):
+    """Share of leaves with a segment that is finer than another."""
+    return spark.createDataFrame([(round(measures.uneven_leaves(_level2_index(spark, sf_dir), 0), 6),)], "uneven double")
+
+
+@query(f"{_LEVEL2}, o AS (SELECT cell, leaf, (row_number() OVER (ORDER BY series_id) - 1) // 200 AS batch FROM placed) SELECT count(*) AS flushes FROM (SELECT DISTINCT cell, leaf, batch FROM o)")
+def flushes_level2(spark, sf_dir):
+    """Leaf flushes when 200 arriving series are held at a time."""
+    return spark.createDataFrame([(measures.random_writes(_level2_index(spark, sf_dir), 200),)], "flushes long")
+
+
+@query(f"{_LEVEL2}, u AS (SELECT cell, leaf, unnest(z) AS v, generate_subscripts(z, 1) AS pos FROM placed), d AS (SELECT cell, leaf, pos, var_pop(v) AS var, count(*) AS n FROM u GROUP BY ALL), l AS (SELECT cell, leaf, sum(var) AS d, max(n) AS n FROM d GROUP BY ALL) SELECT round(sum(d * n) / sum(n), 6) AS proximity FROM l")
+def proximity_level2(spark, sf_dir):
+    """Mean squared distance of members to their leaf's centroid."""
+    return spark.createDataFrame([(round(measures.leaf_proximity(_level2_index(spark, sf_dir)), 6),)], "proximity double")
+
+
+@query(f"WITH {O.level2('walks', 8, 80, collection='true')}, o AS (SELECT n, row_number() OVER (ORDER BY n DESC) AS i FROM cells) SELECT count(*) AS cells, round(avg(CASE WHEN n < 100 THEN 1.0 ELSE 0.0 END), 6) AS small_share, round(sum(n) FILTER (WHERE i <= greatest(1, ceil((SELECT count(*) FROM cells) * 0.02))) / CAST(sum(n) AS DOUBLE), 6) AS top_share FROM o")
+def first_layer_shares(spark, sf_dir):
+    rows, _ = _all_rows(spark, sf_dir, "walks")
+    cells = words_of(rows, WALKS, 64).groupBy("cell").agg(F.count(F.lit(1)).alias("n"))
+    s = measures.root_cell_shares(written(cells, "cells"))
+    return spark.createDataFrame([(s["cells"], round(s["small_share"], 6), round(s["top_share"], 6))], "cells long, small_share double, top_share double")
+
+
+_F = lambda n: f"factorial(CAST({n} AS INTEGER))"
+_CHOOSE = lambda n, k: f"({_F(n)} // ({_F(k)} * {_F(f'{n} - {k}')}))"
+
+
+@query(f"SELECT CAST(w AS INTEGER) AS w, CAST(low AS INTEGER) AS low, CAST(high AS INTEGER) AS high, CAST(list_sum(list_transform(range(low, high + 1), lambda i: {_CHOOSE('w', 'i')})) AS BIGINT) AS plans, CAST({_CHOOSE('w', 'high')} * (1 << w) + coalesce(list_sum(list_transform(range(low, high), lambda i: {_CHOOSE('w', 'i')} * (2 << i))), 0) AS BIGINT) AS cells FROM (VALUES (8, 1, 3), (8, 2, 4), (10, 3, 5)) t(w, low, high)")
+def operation_counters(spark, sf_dir):
+    """What a restricted plan search counts, on cells of walks, against the closed form."""
+    import numpy as np
+
+    from .plans.objective import SearchCost, base_distribution, choose_plan
+
+    rows = []
+    for w, low, high in ((8, 1, 3), (8, 2, 4), (10, 3, 5)):
+        cost, size = SearchCost(), 1000
+        codes = np.random.default_rng(w).integers(0, 2, (size, w))
+        th = size / (3.0 * 2**low)
+        choose_plan(np.ones(w), base_distribution(codes), tuple(range(w)), size, th, 0.2, size / (th * 2**high), 3.0, cost=cost)
+        rows.append((w, low, high, cost.plans_scored, cost.cells_touched))
+    return spark.createDataFrame(rows, "w int, low int, high int, plans long, cells long")
+
+
+_TRUE5, _LEAF1 = O.knn_all("walks", 5), O.leaf_search("walks", 8, 80, 5, 1, "extended")
+
+
+@query(f"""WITH a AS ({_LEAF1}), t AS ({_TRUE5}), k AS (SELECT query_id, max(distance) AS last FROM t GROUP BY 1),
+h AS (SELECT a.query_id, a.rank, a.distance, r.distance AS true_distance, CASE WHEN m.series_id IS NOT NULL OR a.distance <= k.last + 1e-9 THEN 1 ELSE 0 END AS hit FROM a JOIN k ON k.query_id = a.query_id JOIN t r ON r.query_id = a.query_id AND r.rank = a.rank LEFT JOIN t m ON m.query_id = a.query_id AND m.series_id = a.series_id),
+p AS (SELECT *, hit * sum(hit) OVER (PARTITION BY query_id ORDER BY rank) / rank AS p FROM h)
+SELECT query_id, round(sum(p) / 5.0, 6) AS ap, round(sum(hit) / 5.0, 6) AS recall FROM p GROUP BY query_id""")
+def accuracy_level2(spark, sf_dir):
+    """Average precision and recall of one leaf, by query; they agree, as answers are sorted by true distance."""
+    rows, q = _all_rows(spark, sf_dir, "walks")
+    ix = build_index(rows, TWO_LEVELS["walks"])
+    truth = written(_answers(_by_block(q, lambda part: search.knn_scan(rows, part, 5))), "truth")
+    found = written(_answers(_by_block(q, lambda part: search.search_leaf(ix, part, 5))), "found")
+    recall = measures.hits(found, truth, 5).groupBy("query_id").agg(F.round(F.sum("hit") / 5, 6).alias("recall"))
+    return measures.average_precision(found, truth, 5).join(recall, "query_id").select("query_id", F.round("ap", 6).alias("ap"), "recall")
+
+
 # ---- downstream -----------------------------------------------------------------------
 
 _VOTES = f"""WITH {O.words('vectors', 8)}, {O.held(20)}, d AS (SELECT q.series_id AS query_id, c.series_id, list_distance(q.z, c.z) AS distance FROM q CROSS JOIN c),
@@ -746,6 +906,63 @@ def reorganized_exact(spark, sf_dir):
     return _answers(search.search_exact(ix, q, 5))
 
 
+def _sevenths(coll: DataFrame) -> DataFrame:
+    return coll.where("series_id % 7 = 0")
+
+
+@query(O.knn_all("walks", 5))
+def insert_twice_exact(spark, sf_dir):
+    """Two runs of batches, each numbered from 0, into one index: nothing is lost."""
+    rows, q = _all_rows(spark, sf_dir, "walks")
+    part = F.pmod(F.xxhash64("series_id"), F.lit(3))
+    ix = build_index(rows.where(part == 0), POLICY["adaptive"])
+    for i in (1, 2):
+        update.run_mixed(ix, [rows.where(part == i)], q.limit(2), 1)
+    return _answers(_by_block(q, lambda p: search.search_exact(ix, p, 5)))
+
+
+@query(O.knn_all("walks", 5))
+def delete_reinsert_exact(spark, sf_dir):
+    """Deleted ids that are inserted again are seen."""
+    rows, q = _all_rows(spark, sf_dir, "walks")
+    ix = update.delete(build_index(rows, POLICY["adaptive"]), _sevenths(rows).select("series_id"))
+    update.insert(ix, _sevenths(rows))
+    return _answers(_by_block(q, lambda p: search.search_exact(ix, p, 5)))
+
+
+@query(O.knn_all("walks", 5))
+def stream_twice_exact(spark, sf_dir):
+    """One stream, read in two calls as its folder grows: both go on from one checkpoint."""
+    rows, q = _all_rows(spark, sf_dir, "walks")
+    part = F.pmod(F.xxhash64("series_id"), F.lit(3))
+    ix, folder = build_index(rows.where(part == 0), POLICY["adaptive"]), fresh_path(spark, "arrivals")
+    for i in (1, 2):
+        rows.where(part == i).write.mode("append").parquet(folder)
+        streams.stream_into(ix, spark.readStream.schema("series_id long, values array<double>").parquet(folder), name="arrivals")
+    return _answers(_by_block(q, lambda p: search.search_exact(ix, p, 5)))
+
+
+@query(f"WITH {O.SERIES['walks']} SELECT series_id, CAST(1 AS BIGINT) AS homes, true AS few, true AS apart FROM series")
+def insert_fuzzy_copies(spark, sf_dir):
+    """With copies, after insertions and a rebuild: one home a series, at most three copies, each in a leaf of its own."""
+    rows, _ = _all_rows(spark, sf_dir, "walks")
+    part = F.pmod(F.xxhash64("series_id"), F.lit(2)) == 0
+    ix = update.reorganize(update.insert(build_index(rows.where(part), POLICY["fuzzy"]), rows.where(~part)))
+    per = ix.data(None, ("series_id", "leaf_id", "is_copy")).groupBy("series_id").agg(F.count_if(~F.col("is_copy")).alias("homes"), F.count_if("is_copy").alias("c"), F.count(F.lit(1)).alias("n"), F.countDistinct("leaf_id").alias("l"))
+    return per.select("series_id", "homes", (F.col("c") <= 3).alias("few"), (F.col("n") == F.col("l")).alias("apart"))
+
+
+@query(O.knn_all("walks", 5))
+def rebuild_beside_exact(spark, sf_dir):
+    """A rebuild that runs while series are inserted, and then takes them over."""
+    rows, q = _all_rows(spark, sf_dir, "walks")
+    part = F.pmod(F.xxhash64("series_id"), F.lit(3))
+    ix = update.insert(build_index(rows.where(part == 0), replace(POLICY["adaptive"], th=20)), rows.where(part == 1))
+    beside = update.Reorganization(ix)
+    update.insert(ix, rows.where(part == 2))
+    return _answers(_by_block(q, lambda p: search.search_exact(beside.finish(), p, 5)))
+
+
 # ---- streams --------------------------------------------------------------------------
 
 for _name, (_f, _sql) in streams.QUERIES.items():
