@@ -141,7 +141,7 @@ def use_rocksdb(spark: SparkSession) -> Callable[[], None]:
 def _folder(spark: SparkSession, sf_dir: str) -> str:
     """The events table as a folder that a stream can watch."""
     path = fresh_path(spark, "events")
-    spark.read.parquet(f"{sf_dir}/events.parquet").sort("ts", "event_id").coalesce(1).write.parquet(path)
+    spark.read.parquet(f"{sf_dir}/events.parquet").repartitionByRange("ts", "event_id").sortWithinPartitions("ts", "event_id").write.parquet(path)
     return path
 
 
@@ -161,6 +161,16 @@ def _q_late(spark: SparkSession, sf_dir: str) -> DataFrame:
     return late_rows(spark.read.parquet(f"{sf_dir}/events.parquet"))
 
 
+#: A step and a prime above the number of events, so that ids are dealt anew without repeats.
+_STEP, _PRIME = 61_803_399, 100_000_007
+
+
+def _q_late_arrivals(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Late rows where events arrive far out of the order of their times."""
+    arrival = F.pmod(F.col("event_id") * _STEP, F.lit(_PRIME))
+    return late_rows(spark.read.parquet(f"{sf_dir}/events.parquet").withColumn("event_id", arrival), 86_400, 1_000_000)
+
+
 def _q_assembled(spark: SparkSession, sf_dir: str) -> DataFrame:
     back = use_rocksdb(spark)
     try:
@@ -184,5 +194,6 @@ QUERIES: dict[str, tuple[Callable[[SparkSession, str], DataFrame], str]] = {
     "stream_session": (_q_sessions, f"""SELECT user_id, min(ts) AS began, count(*) AS n, round(sum(value), 4) AS total FROM (SELECT user_id, ts, value, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING) AS s FROM (
 SELECT user_id, ts, event_id, value, CASE WHEN epoch_us(ts) - epoch_us(lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id)) < {_GAP} THEN 0 ELSE 1 END AS fresh FROM events)) GROUP BY user_id, s"""),
     "late_counts": (_q_late, "SELECT event_id FROM (SELECT event_id, ts, max(ts) OVER (ORDER BY event_id ROWS UNBOUNDED PRECEDING) AS newest FROM events) WHERE ts < newest - INTERVAL 1 HOUR"),
+    "late_arrivals": (_q_late_arrivals, f"SELECT event_id FROM (SELECT event_id, ts, max(ts) OVER (ORDER BY event_id ROWS UNBOUNDED PRECEDING) AS newest FROM (SELECT (event_id * {_STEP}) % {_PRIME} AS event_id, ts FROM events)) WHERE ts < newest - INTERVAL 1 DAY"),
     "assembled_series": (_q_assembled, _assembled_sql()),
 }
