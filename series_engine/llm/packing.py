@@ -7,7 +7,9 @@ window's tokens; sources are served in the order of what they are owed, and what
 owed or overdrawn is carried to the next window.  Deficits are carried over partitions
 too: all partitions before one have given T tokens in all and T_s of source s, so its
 deficits start at share_s * T - T_s, a prefix sum over the table of (partition, source)
-totals.  A partition learns the shares and deficits of the sources that it holds, from that
+totals.  Repeated rows are dealt by their turn among the equal rows of an Arrow batch too,
+so a row that makes up a large part of the table is spread over all partitions.  A
+partition learns the shares and deficits of the sources that it holds, from that
 table, so their number has no limit and no list of them passes the driver.
 
 A window is filled whatever the mixture: when a source's queue is empty the others give
@@ -18,8 +20,8 @@ Queues hold at most ``lookahead`` tokens beyond the document in hand (a bound of
 when they are full the next window is filled with what is there, and what its sources are
 owed is carried on.
 
-Edge cases: a null or empty text is its end token alone; a null source is a source of its
-own; repeated rows are packed each; rows with a null key are packed and keep a null key;
+Edge cases: a null or empty text is its end token alone; a null source counts as the empty
+one; repeated rows are packed each (which of them goes where depends on the batches); rows with a null key are packed and keep a null key;
 an empty table gives an empty table.
 """
 
@@ -42,6 +44,15 @@ END = 1
 LOOKAHEAD = 1 << 20
 
 
+def turns(values: np.ndarray) -> np.ndarray:
+    """For each value how many equal ones stand before it."""
+    order = np.argsort(values, kind="stable")
+    fresh = np.flatnonzero(np.diff(values[order], prepend=values[order][:1] ^ 1)) if len(values) else order
+    out = np.empty(len(values), np.int64)
+    out[order] = np.arange(len(values)) - np.repeat(fresh, np.diff(fresh, append=len(values)))
+    return out
+
+
 def encoded(docs: DataFrame, buckets: int, key: str = "doc_id", source: str = "source", file: str | None = None) -> DataFrame:
     """(bucket, place, key, source, ids, tokens): ids as little-endian 16-bit numbers, 32-bit if any needs it."""
     file = file or default_file()
@@ -54,11 +65,14 @@ def encoded(docs: DataFrame, buckets: int, key: str = "doc_id", source: str = "s
                 found = np.append(enc.ids(text.as_py() or ""), np.uint32(END))
                 sizes.append(len(found))
                 ids.append(found.astype("<u2" if len(enc.lengths) <= 65536 else "<u4").tobytes())
-            yield pa.RecordBatch.from_arrays([*batch.columns[:3], pa.array(ids, pa.binary()), pa.array(sizes, pa.int64())], names=["place", "key", "source", "ids", "tokens"])
+            turn = pa.array(turns(batch.column(0).to_numpy()))
+            yield pa.RecordBatch.from_arrays([*batch.columns[:3], pa.array(ids, pa.binary()), pa.array(sizes, pa.int64()), turn], names=["place", "key", "source", "ids", "tokens", "turn"])
 
     place = F.xxhash64(F.col(key), F.col("text"))
     rows = docs.select(place.alias("place"), F.col(key).cast("long").alias("key"), F.coalesce(F.col(source).cast("string"), F.lit("")).alias("source"), F.col("text").cast("string").alias("text"))
-    return rows.mapInArrow(run, "place bigint, key bigint, source string, ids binary, tokens bigint").withColumn("bucket", F.pmod(F.xxhash64("place"), F.lit(buckets)).cast("int"))
+    dealt = F.when(F.col("turn") == 0, F.xxhash64("place")).otherwise(F.xxhash64("place", "turn"))
+    out = rows.mapInArrow(run, "place bigint, key bigint, source string, ids binary, tokens bigint, turn bigint")
+    return out.withColumn("bucket", F.pmod(dealt, F.lit(buckets)).cast("int")).drop("turn")
 
 
 class Packer:

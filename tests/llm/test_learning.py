@@ -383,3 +383,20 @@ def test_every_source_has_a_target(spark):
     got = packing.packed(df, buckets=3)
     assert got.agg(F.sum("length")).first()[0] == got.select("key", "doc_tokens").distinct().agg(F.sum("doc_tokens")).first()[0]
     assert {s for (s,) in rows_of(got.select("source").distinct(), "source")} == {f"s{i}" for i in range(1500)}
+
+
+def test_repeated_rows_are_spread_over_partitions(spark):
+    """A row that holds most of the table does not meet in one partition; other rows go by key and text alone."""
+    rows = [(1, "alpha beta gamma", "x")] * 3000 + [(i, f"delta {i}", "y") for i in range(10, 1010)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    sizes = [n for (n,) in rows_of(packing.encoded(df, 8).groupBy("bucket").count(), "count")]
+    assert sum(sizes) == 4000 and len(sizes) == 8 and max(sizes) < 1.3 * 500
+    single = lambda d: Counter(rows_of(packing.encoded(d, 8).where("source = 'y'"), "key", "bucket"))
+    assert single(df) == single(df.repartition(5))
+    got = packing.packed(df, buckets=8)
+    assert got.agg(F.sum("length")).first()[0] == packing.encoded(df, 8).agg(F.sum("tokens")).first()[0]
+
+
+@pytest.mark.parametrize("values", [[], [5], [5, 5, 5], [3, -1, 3, 3, -1, 9], [-(1 << 63), (1 << 63) - 1, -(1 << 63)]])
+def test_turns(values):
+    assert packing.turns(np.array(values, np.int64)).tolist() == [values[:i].count(v) for i, v in enumerate(values)]
