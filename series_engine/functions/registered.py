@@ -2,12 +2,16 @@
 
 ``series_paa(values, w)``, ``series_word(values, w, bits)`` (hex), ``series_ed(a, b)``,
 ``series_dtw(a, b, radius)``, ``series_mindist(values, word, bits)``, the aggregate
-``series_var(x)`` and the table functions ``series_windows(values, length, stride)`` and
-``series_cells(bits)``.
+``series_var(x)`` and the table functions ``series_windows(values, length, stride)``,
+``series_cells(bits)`` and ``series_knn(TABLE(t) PARTITION BY (...), query, k)``.  The last one
+gives the k nearest rows (series_id, values) of each partition; the k nearest of all are
+among them, so a final ORDER BY ... LIMIT k over partitions by a hash has no large task.
 """
 
 from __future__ import annotations
 
+import heapq
+
 import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
@@ -59,6 +63,28 @@ class Cells:
             yield i, float(e[i]), float(e[i + 1])
 
 
+class Nearest:
+    """k nearest of a partition's rows by (distance, series_id); holds k rows.  Rows with a null
+    or of another length than the query's are no neighbours."""
+
+    def __init__(self):
+        self.best: list[tuple[float, int]] = []
+
+    def eval(self, row, query, k: int):
+        values = row["values"]
+        if row["series_id"] is None or values is None or query is None or len(values) != len(query) or None in values:
+            return
+        found = (-float(ed_rows(np.asarray(values, float)[None], np.asarray(query, float))[0]), -int(row["series_id"]))
+        if len(self.best) < k:
+            heapq.heappush(self.best, found)
+        elif k > 0 and found > self.best[0]:
+            heapq.heapreplace(self.best, found)
+
+    def terminate(self):
+        for d, i in sorted(self.best, reverse=True):
+            yield -i, -d
+
+
 #: Result types; the functions become UDFs only when they are registered, for a running session.
 KINDS = {series_paa: "array<double>", series_word: "string", series_ed: "double", series_dtw: "double", series_mindist: "double", series_var: "double"}
 
@@ -67,4 +93,5 @@ def register(spark: SparkSession) -> None:
     for f, kind in KINDS.items():
         spark.udf.register(f.__name__, F.pandas_udf(f, kind))
     spark.udtf.register("series_windows", F.udtf(Windows, returnType="start int, part array<double>"))
+    spark.udtf.register("series_knn", F.udtf(Nearest, returnType="series_id long, distance double"))
     spark.udtf.register("series_cells", F.udtf(Cells, returnType="cell int, lo double, hi double"))

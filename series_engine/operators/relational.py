@@ -527,6 +527,21 @@ def op_udtf_windows(t):
     return rows.select("vec_id", "start", F.round(F.aggregate("part", F.lit(0.0), lambda a, v: a + v), 6).alias("total"))
 
 
+@operator("SELECT series_id, round(distance, 6) AS distance FROM (SELECT c.vec_id AS series_id, list_distance(list_transform(c.embedding, lambda v: CAST(v AS DOUBLE)), list_transform(q.embedding, lambda v: CAST(v AS DOUBLE))) AS distance FROM embeddings c, embeddings q WHERE q.vec_id = (SELECT min(vec_id) FROM embeddings)) ORDER BY distance, series_id LIMIT 10")
+def op_udtf_knn(t):
+    """Ten nearest vectors of the first one: nearest of each hash part, then of all."""
+    from ..functions.registered import register
+
+    register(t.spark)
+    t.embeddings.selectExpr("vec_id AS series_id", "transform(embedding, v -> double(v)) AS values").createOrReplaceTempView("vectors_for_knn")
+    first = t.spark.sql("SELECT min_by(values, series_id) FROM vectors_for_knn").first()[0]
+    query = ", ".join(f"{v!r}D" for v in first)
+    return t.spark.sql(
+        "WITH p AS (SELECT series_id, values, pmod(xxhash64(series_id), 64) AS part FROM vectors_for_knn) "
+        f"SELECT series_id, round(distance, 6) AS distance FROM series_knn(TABLE(p) PARTITION BY (part), array({query}), 10) ORDER BY distance, series_id LIMIT 10"
+    )
+
+
 @operator("SELECT label, round(var_pop(CAST(embedding[1] AS DOUBLE)), 6) AS var FROM embeddings GROUP BY label")
 def op_udaf_var(t):
     from ..functions.registered import register

@@ -189,6 +189,28 @@ def mindist_dtw_cells(spark, sf_dir):
     return p.select("query_id", "series_id", F.round(D.mindist_word_dtw(F.col("u"), F.col("l"), F.col("s"), 8, 64, 8), 6).alias("bound"))
 
 
+def _cell_bounds(p: DataFrame) -> DataFrame:
+    return p.select("query_id", "series_id", F.round(D.mindist_word(F.col("qm"), F.col("s"), 8, 64, 8), 6).alias("bound"))
+
+
+def _warped_bounds(p: DataFrame) -> DataFrame:
+    p = p.withColumn("e", S.envelope(F.col("qz"), 6))
+    p = p.withColumns({"u": S.paa(F.col("e.upper"), 8, 64), "l": S.paa(F.col("e.lower"), 8, 64)})
+    return p.select("query_id", "series_id", F.round(D.mindist_word_dtw(F.col("u"), F.col("l"), F.col("s"), 8, 64, 8), 6).alias("bound"))
+
+
+@query(f"WITH {O.asked('walks')} SELECT q.series_id AS query_id, c.series_id, round(sqrt(8.0 * list_sum(list_transform(range(1, 9), lambda i: pow(greatest({_LO} - q.m[i], q.m[i] - {_HI}, 0.0), 2)))), 6) AS bound FROM q CROSS JOIN c")
+def mindist_cells_all_rows(spark, sf_dir):
+    """Every row with an id divisible by 50 against all rows."""
+    return _all_pairs(_words(spark, sf_dir, "walks", 8), _cell_bounds)
+
+
+@query(f"""WITH {O.asked('walks')}, e AS (SELECT q.series_id AS query_id, {_U} AS u, {_L} AS l FROM q)
+SELECT e.query_id, c.series_id, round(sqrt(8.0 * list_sum(list_transform(range(1, 9), lambda i: pow(greatest({_LO} - e.u[i], e.l[i] - {_HI}, 0.0), 2)))), 6) AS bound FROM e CROSS JOIN c""")
+def mindist_dtw_cells_all_rows(spark, sf_dir):
+    return _all_pairs(_words(spark, sf_dir, "walks", 8), _warped_bounds)
+
+
 @query(f"""WITH {O.words('walks', 8)}, c AS (SELECT DISTINCT list_transform(s, lambda v: v >> 6) AS p FROM words)
 SELECT {O.dashed('p')} AS cell, round(sqrt(8.0 * list_sum(list_transform(p, lambda v: pow({O._list(S.edges(2, S.CAP))}[v + 2] - {O._list(S.edges(2, S.CAP))}[v + 1], 2)))), 6) AS bound FROM c""")
 def leaf_upper_bounds(spark, sf_dir):
@@ -281,6 +303,15 @@ def lb_envelope_pairs(spark, sf_dir):
     return p.select("query_id", "series_id", F.round(D.lb_envelope(F.col("e.upper"), F.col("e.lower"), F.col("z")), 6).alias("bound"))
 
 
+@query(f"WITH {O.asked('walks')} SELECT q.series_id AS query_id, c.series_id, round(sqrt(list_sum({_GAPS})), 6) AS bound FROM q CROSS JOIN c")
+def lb_envelope_pairs_all_rows(spark, sf_dir):
+    def of(p: DataFrame) -> DataFrame:
+        p = p.withColumn("e", S.envelope(F.col("qz"), 6))
+        return p.select("query_id", "series_id", F.round(D.lb_envelope(F.col("e.upper"), F.col("e.lower"), F.col("z")), 6).alias("bound"))
+
+    return _all_pairs(_words(spark, sf_dir, "walks", 8), of)
+
+
 # ---- splits ---------------------------------------------------------------------------
 
 WALKS = BuildParams(w=8, th=40, packing="none")
@@ -623,6 +654,50 @@ def radius_search(spark, sf_dir):
     return search.search_radius(build_index(coll, POLICY["adaptive"]), q, 4.0).select("query_id", "series_id", F.round("distance", 6).alias("distance"))
 
 
+@query(f"WITH {O.asked('walks')} SELECT q.series_id AS query_id, c.series_id, round(list_distance(q.z, c.z), 6) AS distance FROM q CROSS JOIN c WHERE list_distance(q.z, c.z) <= 4")
+def radius_search_all_rows(spark, sf_dir):
+    rows, q = _all_rows(spark, sf_dir, "walks")
+    ix = build_index(rows, POLICY["adaptive"])
+    return _by_block(q, lambda part: search.search_radius(ix, part, 4.0)).select("query_id", "series_id", F.round("distance", 6).alias("distance"))
+
+
+_DTW_ALL = _DTW_PAIRS.replace("a.series_id = 7 AND b.series_id <> 7", "a.series_id % 50 = 0")
+_DTW_ALL = f"SELECT * FROM (SELECT query_id, CAST(row_number() OVER (PARTITION BY query_id ORDER BY distance, series_id) AS INTEGER) AS rank, series_id, distance FROM ({_DTW_ALL})) WHERE rank <= 5"
+
+
+@query(_DTW_ALL)
+def knn_scan_dtw_all_rows(spark, sf_dir):
+    rows, q = _all_rows(spark, sf_dir, "monthly")
+    return _answers(_by_block(q, lambda part: search.knn_scan(rows, part, 5, "dtw")))
+
+
+@query(_DTW_ALL)
+def exact_dtw_all_rows(spark, sf_dir):
+    rows, q = _all_rows(spark, sf_dir, "monthly")
+    ix = build_index(rows, replace(POLICY["adaptive"], th=5))
+    return _answers(_by_block(q, lambda part: search.search_exact(ix, part, 5, "dtw")))
+
+
+for _policy in ("binary", "fullary"):
+    POLICY[f"fuzzy_{_policy}"] = replace(POLICY[_policy], f=0.1)
+    query(O.knn_all("walks", 10), f"exact_fuzzy_{_policy}_all_rows")(_indexed_all_rows(lambda ix, q: search.search_exact(ix, q, 10), f"fuzzy_{_policy}"))
+
+
+def _one_leaf_all_rows(name: str):
+    def f(spark, sf_dir):
+        rows, q = _all_rows(spark, sf_dir, name)
+        ix = build_index(rows, ALL_TWO_LEVELS[name])
+        return _answers(_by_block(q, lambda part: search.search_leaf(ix, part, 5)))
+
+    return f
+
+
+#: With all rows in the tree, vectors need this capacity for the two levels that SQL can name.
+ALL_TWO_LEVELS = {**TWO_LEVELS, "vectors": replace(WALKS, th=7)}
+for _name, _p in ALL_TWO_LEVELS.items():
+    query(O.leaf_search(_name, 8, _p.th, 5, 1, "extended"), f"one_leaf_{_name}_all_rows")(_one_leaf_all_rows(_name))
+
+
 def _one_leaf(name: str):
     def f(spark, sf_dir):
         coll, q = _collection(spark, sf_dir, name)
@@ -877,6 +952,33 @@ def knn_softmax(spark, sf_dir):
     return downstream.knn_softmax(found).select("query_id", "series_id", F.round("weight", 6).alias("weight"))
 
 
+_VOTES_ALL = f"""WITH {O.asked('vectors')}, d AS (SELECT q.series_id AS query_id, c.series_id, list_distance(q.z, c.z) AS distance FROM q CROSS JOIN c),
+r AS (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY distance, series_id) AS rank FROM d)"""
+
+
+def _ten_nearest(spark, sf_dir, normalize: bool = True) -> DataFrame:
+    rows, q = _all_rows(spark, sf_dir, "vectors")
+    ix = build_index(rows, replace(TWO_LEVELS["vectors"], normalize=normalize))
+    return _by_block(q, lambda part: search.search_exact(ix, part, 10))
+
+
+@query(_VOTES_ALL + " SELECT query_id, label AS predicted, votes FROM (SELECT query_id, label, votes, row_number() OVER (PARTITION BY query_id ORDER BY votes DESC, label) AS i FROM (SELECT r.query_id, e.label, count(*) AS votes FROM r JOIN embeddings e ON e.vec_id = r.series_id WHERE r.rank <= 10 GROUP BY ALL)) WHERE i = 1")
+def knn_classify_all_rows(spark, sf_dir):
+    return downstream.knn_classify(_ten_nearest(spark, sf_dir), builders.vectors(spark, sf_dir))
+
+
+@query(_VOTES_ALL + " SELECT query_id, round(max(distance), 6) AS score FROM r WHERE rank <= 10 GROUP BY query_id")
+def knn_outlier_all_rows(spark, sf_dir):
+    return downstream.knn_outliers(_ten_nearest(spark, sf_dir), 10).select("query_id", F.round("score", 6).alias("score"))
+
+
+@query(f"""WITH {O.SERIES['vectors']}, d AS (SELECT q.series_id AS query_id, c.series_id, list_distance(q.vals, c.vals) AS distance FROM series q CROSS JOIN series c WHERE q.series_id % 50 = 0), r AS (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY distance, series_id) AS rank FROM d),
+e AS (SELECT query_id, series_id, exp(1 - distance * distance / 2) AS e FROM r WHERE rank <= 10) SELECT query_id, series_id, round(e / sum(e) OVER (PARTITION BY query_id), 6) AS weight FROM e""")
+def knn_softmax_all_rows(spark, sf_dir):
+    found = _ten_nearest(spark, sf_dir, normalize=False)
+    return downstream.knn_softmax(found).select("query_id", "series_id", F.round("weight", 6).alias("weight"))
+
+
 # ---- updates --------------------------------------------------------------------------
 
 
@@ -906,6 +1008,21 @@ def reorganized_exact(spark, sf_dir):
     return _answers(search.search_exact(ix, q, 5))
 
 
+@query(O.knn_all("walks", 5, "c.series_id % 3 <> 0"))
+def delete_then_exact_all_rows(spark, sf_dir):
+    rows, q = _all_rows(spark, sf_dir, "walks")
+    ix = update.vacuum(update.delete(build_index(rows, POLICY["adaptive"]), rows.where("series_id % 3 = 0").select("series_id")))
+    return _answers(_by_block(q, lambda part: search.search_exact(ix, part, 5)))
+
+
+@query(O.knn_all("walks", 5))
+def reorganized_exact_all_rows(spark, sf_dir):
+    rows, q = _all_rows(spark, sf_dir, "walks")
+    first = F.pmod(F.xxhash64("series_id"), F.lit(2)) == 0
+    ix = update.reorganize(update.insert(build_index(rows.where(first), replace(POLICY["adaptive"], th=20)), rows.where(~first)))
+    return _answers(_by_block(q, lambda part: search.search_exact(ix, part, 5)))
+
+
 def _sevenths(coll: DataFrame) -> DataFrame:
     return coll.where("series_id % 7 = 0")
 
@@ -965,6 +1082,30 @@ def rebuild_beside_exact(spark, sf_dir):
 
 # ---- streams --------------------------------------------------------------------------
 
+
+@query(f"WITH {O.placed('walks', 8, 80)} SELECT series_id, min(series_id) OVER (PARTITION BY cell, leaf) AS first_in_leaf FROM placed")
+def stream_routed(spark, sf_dir):
+    """Leaves of arriving series by an index that stays as it is; a leaf is named by its least id."""
+    rows, _ = _all_rows(spark, sf_dir, "walks")
+    ix, folder = build_index(rows, TWO_LEVELS["walks"]), fresh_path(spark, "arrivals")
+    rows.repartition(3).write.parquet(folder)
+    arriving = spark.readStream.schema(rows.schema).option("maxFilesPerTrigger", 1).parquet(folder)
+    at = streams.run_to_table(streams.routed(ix, arriving))
+    names = ix.data(None, ("series_id", "leaf_id")).groupBy("leaf_id").agg(F.min("series_id").alias("first_in_leaf"))
+    return at.join(names, "leaf_id").select("series_id", "first_in_leaf")
+
+
+@query(f"WITH {O.SERIES['vectors']}, o AS (SELECT vals, row_number() OVER (ORDER BY series_id) - 1 AS record FROM series) SELECT record, round(list_sum(vals), 5) AS total, round(vals[64], 6) AS last FROM o")
+def raw_records(spark, sf_dir):
+    """Vectors written to one raw float file and read back record by record."""
+    from .sources import rawfloat
+
+    path = fresh_path(spark, "raw")
+    rawfloat.write_raw(builders.vectors(spark, sf_dir).select("series_id", "values"), path, 64)
+    x = F.transform("values", lambda v: v.cast("double"))
+    return rawfloat.read_records(spark, path, 64).select("record", F.round(_sum(x), 5).alias("total"), F.round(x[63], 6).alias("last"))
+
+
 for _name, (_f, _sql) in streams.QUERIES.items():
     QUERIES[_name], ORACLES[_name] = _f, _sql
 

@@ -32,6 +32,47 @@ def read_raw(spark: SparkSession, path: str, n: int) -> DataFrame:
     return files.mapInArrow(run, "file string, record long, values array<float>")
 
 
+_RECORDS = "org.apache.hadoop.mapreduce.lib.input.FixedLengthInputFormat"
+
+
+def read_records(spark: SparkSession, path: str, n: int) -> DataFrame:
+    """(record, values) of one file of any size on any file system that Spark reads.
+
+    The file is split at record bounds, so no task holds more than a split.  A file that ends
+    inside a record fails; an empty one gives an empty table.  Records come as rows of an RDD,
+    as no built-in source knows the format.
+    """
+    width = 4 * n
+    raw = spark.sparkContext.newAPIHadoopFile(path, _RECORDS, "org.apache.hadoop.io.LongWritable", "org.apache.hadoop.io.BytesWritable", conf={"fixedlengthinputformat.record.length": str(width)})
+    rows = spark.createDataFrame(raw.map(lambda r: (r[0] // width, bytes(r[1]))), "record long, content binary")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            x = np.frombuffer(b"".join(b.column(1).to_pylist()), "<f4").reshape(-1, n)
+            yield pa.RecordBatch.from_arrays([b.column(0), arrow.lists_of(x, pa.float32())], names=["record", "values"])
+
+    return rows.mapInArrow(run, "record long, values array<float>")
+
+
+def write_raw(series: DataFrame, path: str, n: int) -> None:
+    """Values of (series_id, values) by id into the one file ``path``; rows of another length fail.
+
+    Partitions stream through the driver one after the other, as one file has one writer; it
+    holds one partition at a time.
+    """
+    spark = series.sparkSession
+    jvm, conf = spark.sparkContext._jvm, spark.sparkContext._jsc.hadoopConfiguration()
+    target = jvm.org.apache.hadoop.fs.Path(path)
+    out = target.getFileSystem(conf).create(target, False)
+    try:
+        for row in series.orderBy("series_id").select("series_id", "values").toLocalIterator(prefetchPartitions=True):
+            if len(row["values"]) != n:
+                raise ValueError(f"series {row['series_id']}: {len(row['values'])} values, not {n}")
+            out.write(bytearray(np.asarray(row["values"], "<f4").tobytes()))
+    finally:
+        out.close()
+
+
 class _Part(InputPartition):
     def __init__(self, path: str, first: int, count: int):
         self.path, self.first, self.count = path, first, count

@@ -11,13 +11,18 @@ from collections.abc import Callable, Iterator
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.stateful_processor import StatefulProcessor, StatefulProcessorHandle
 
+from ..functions.summaries import paa_rows, sax_rows
 from ..plans import update
+from ..plans.build import checked
+from ..plans.build import _normal as normal_rows
 from ..plans.index import SeriesIndex
 from ..plans.storage import fresh_path, shared_dir
+from ..plans.tree import WordTree
 
 EVENTS = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
 DELAY = "1 hour"
@@ -130,6 +135,25 @@ def stream_into(ix: SeriesIndex, stream: DataFrame, reorganize: bool = False, na
     return ix
 
 
+def routed(ix: SeriesIndex, series: DataFrame) -> DataFrame:
+    """(series_id, leaf_id) of arriving series, a stream or a table, by the index as it is now.
+
+    leaf_id is null where the cell has no leaf yet; bad rows (see ``checked``) are left out.
+    """
+    if not isinstance(ix.tree, WordTree):
+        raise ValueError("routed: only indexes whose splits are decided by words")
+    p, n = ix.params, ix.n
+    shared = ix.spark.sparkContext.broadcast((ix.tree, np.array([i if ix.tree.is_leaf(node) else -1 for node, i in enumerate(ix.tree.leaf_id)], np.int64)))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        tree, ids = shared.value
+        for b in batches:
+            at = ids[tree.route(sax_rows(paa_rows(normal_rows(b.column(1), n, p), p.w), p.bits))]
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(at, mask=at < 0)], names=["series_id", "leaf_id"])
+
+    return checked(series, n)[0].mapInArrow(run, "series_id long, leaf_id long")
+
+
 def use_rocksdb(spark: SparkSession) -> Callable[[], None]:
     """Keyed state needs the RocksDB store; returns what puts the session's setting back."""
     key, new = "spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"

@@ -242,6 +242,24 @@ def run_f(spark, sf_dir) -> DataFrame:
     return _table(spark, rows)
 
 
+@workload
+def run_fuzzy_policies(spark, sf_dir) -> DataFrame:
+    """One leaf, k = 5, without and with border copies under each policy that splits by words:
+    accuracy, gain in percent by the copies, leaves."""
+    rows = []
+    for name in ("walks", "letters", "pulses"):
+        coll, q, th = stand_in(spark, sf_dir, name)
+        truth = written(search.knn_scan(coll, q, 5), "truth")
+        for policy in ("adaptive", "binary", "fullary"):
+            found = {}
+            for f in (0.0, 0.1):
+                ix = build_index(coll, params_for(policy, th, f=f))
+                found[f] = measures.mean_average_precision(written(search.search_leaf(ix, q, 5), "found"), truth, 5), measures.structure(ix)["leaves"]
+            (plain, leaves), (copied, more) = found[0.0], found[0.1]
+            rows.append({"dataset": name, "policy": policy, "map": _f(plain), "map_copies": _f(copied), "gain": _f(measures.improvement(copied, plain)) if plain else None, "leaves": leaves, "leaves_copies": more})
+    return _table(spark, rows)
+
+
 @workload
 def run_exact(spark, sf_dir) -> DataFrame:
     """Exact search, k = 50, both distances: seconds, seconds of work in tasks, leaves read, shares pruned."""
