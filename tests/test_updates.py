@@ -259,3 +259,12 @@ def test_queries_of_another_length_are_named(spark, walks):
         search.prepare(short, 32, 8, 8)
     with pytest.raises(ValueError):
         search.prepare(short, 32, 8, 8, strict=True)
+
+
+def test_a_rebuild_counts_copies_that_series_keep(walks):
+    coll, _ = walks
+    a, b, _ = thirds(coll)
+    ix = update.insert(build_index(a, BuildParams(w=8, th=20, f=0.3, max_copies=1)), b)
+    update.reorganize(update.insert(ix, thirds(coll)[2]))
+    copies = ix.data(None, ("series_id", "is_copy")).where("is_copy").groupBy("series_id").count()
+    assert copies.count() > 0 and copies.where("count > 1").count() == 0
