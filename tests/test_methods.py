@@ -10,7 +10,7 @@ from series_engine.functions import summaries as S
 from series_engine.plans import search, update
 from series_engine.plans.build import build_index, build_tree, checked, words_of
 from series_engine.plans.index import load_index
-from series_engine.plans.objective import SearchCost, base_distribution, choose_plan, fanout_range, marginalize, plan_score
+from series_engine.plans.objective import SearchCost, base_distribution, choose_plan, fanout_asked, fanout_range, marginalize, plan_score
 from series_engine.plans.pack import demotion, pack_leaves, pack_prefix
 from series_engine.plans.params import BuildParams
 from series_engine.plans.storage import written
@@ -318,3 +318,19 @@ def test_growth_needs_no_order(spark):
     a, _, _ = grow(words, np.ones(300, bool), np.zeros(300, int), [0] * 8, [0] * 8, p, "x")
     b, _, _ = grow(words[::-1], np.ones(300, bool), np.zeros(300, int), [0] * 8, [0] * 8, p, "x")
     assert sorted((a.pfx_bits[n], a.size[n]) for n in a.below(0)) == sorted((b.pfx_bits[n], b.size[n]) for n in b.below(0))
+
+
+def test_levels_end_a_tree(spark):
+    s = written(builders.synthetic_walks(spark, 600, 32), "walks")
+    deep = build_index(s, BuildParams(w=8, th=5, packing="none")).tree
+    ix = build_index(s, BuildParams(w=8, th=5, packing="none", levels=1, local_limit=10))
+    t, at = ix.tree, build_index(s, BuildParams(w=8, th=5, packing="none", levels=2)).tree
+    assert max(deep.depth) > 2 and max(t.depth) == 1 and max(at.depth) == 2
+    assert {(t.pfx_bits[n], t.pfx_len[n], t.size[n]) for n in range(len(t))} == {(deep.pfx_bits[n], deep.pfx_len[n], deep.size[n]) for n in range(len(deep)) if deep.depth[n] <= 1}
+    assert sum(t.size[n] for n in t.below(0)) == 600 and update.reorganize(ix).tree is t
+
+
+def test_a_very_full_cell_asks_for_more_segments_than_there_are():
+    assert fanout_asked(40_000, 40, 0.5, 3.0, 8) == (9, 9) and fanout_range(40_000, 40, 0.5, 3.0, 8) == (8, 8)
+    for size in range(1, 30_721, 97):
+        assert fanout_asked(size, 40, 0.5, 3.0, 8) == fanout_range(size, 40, 0.5, 3.0, 8)
