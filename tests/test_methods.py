@@ -334,3 +334,17 @@ def test_a_very_full_cell_asks_for_more_segments_than_there_are():
     assert fanout_asked(40_000, 40, 0.5, 3.0, 8) == (9, 9) and fanout_range(40_000, 40, 0.5, 3.0, 8) == (8, 8)
     for size in range(1, 30_721, 97):
         assert fanout_asked(size, 40, 0.5, 3.0, 8) == fanout_range(size, 40, 0.5, 3.0, 8)
+
+
+def test_pairs_on_arrays_are_those_of_one_query_at_a_time():
+    r = np.random.default_rng(5)
+    x, z = S.znormalize_rows(r.standard_normal((70, 64)).cumsum(1)), S.znormalize_rows(r.standard_normal((9, 64)).cumsum(1))
+    x[3] = z[2]
+    words, q = S.words_rows(x, 8, 8), [D.QuerySummary(v, 8, "dtw") for v in z]
+    u, l, hi, lo = (np.array([getattr(s, f) for s in q]) for f in ("upper", "lower", "hi", "lo"))
+    ends = S.edges(8)
+    assert np.allclose(D.ed_pairs(x, z).T, [D.ed_rows(x, v) for v in z]) and D.ed_pairs(x, z)[3, 2] == 0
+    assert np.allclose(D.lb_envelope_pairs(x, u, l).T, [D.lb_envelope_rows(x, s.upper, s.lower) for s in q])
+    assert np.allclose(D.mindist_word_pairs(words, 8, hi, lo, 64).T, [D.mindist_cells_rows(s.hi, s.lo, ends[words.astype(int)], ends[words.astype(int) + 1], 64) for s in q])
+    m = S.paa_rows(x, 8)
+    assert np.allclose(D.mindist_paa_pairs(m, m[:4], 64), np.sqrt(8 * ((m[:, None] - m[None, :4]) ** 2).sum(2)))
