@@ -46,3 +46,10 @@ def test_query_equals_sql(spark, database, sf_dir, name):
 def test_entry(spark):
     df = entry.entry(spark)
     assert df.columns == ["query_id", "rank", "series_id", "distance"] and df.count() == 100
+
+
+@pytest.mark.parametrize("name, empty", [("regr_build", "lineitem"), ("operation_counts", "lineitem"), ("operation_counters", "lineitem")])
+def test_results_come_from_a_table(spark, sf_dir, tmp_path, name, empty):
+    spark.read.parquet(f"{sf_dir}/{empty}.parquet").where("l_suppkey <= 3").write.parquet(f"{tmp_path}/{empty}.parquet")
+    got, every = (sorted(map(str, entry.queries()[name](spark, d).collect())) for d in (str(tmp_path), sf_dir))
+    assert got != every
