@@ -48,8 +48,10 @@ def test_entry(spark):
     assert df.columns == ["query_id", "rank", "series_id", "distance"] and df.count() == 100
 
 
-@pytest.mark.parametrize("name, empty", [("regr_build", "lineitem"), ("operation_counts", "lineitem"), ("operation_counters", "lineitem")])
-def test_results_come_from_a_table(spark, sf_dir, tmp_path, name, empty):
-    spark.read.parquet(f"{sf_dir}/{empty}.parquet").where("l_suppkey <= 3").write.parquet(f"{tmp_path}/{empty}.parquet")
-    got, every = (sorted(map(str, entry.queries()[name](spark, d).collect())) for d in (str(tmp_path), sf_dir))
-    assert got != every
+@pytest.mark.parametrize("name", ["regr_build", "operation_counts", "operation_counters"])
+def test_results_come_from_a_table(spark, tmp_path, name):
+    """On sf0.01: the smallest walks have no full root cell."""
+    every = "/root/testdata/sf0.01"
+    spark.read.parquet(f"{every}/lineitem.parquet").where("l_suppkey <= 3").write.parquet(f"{tmp_path}/lineitem.parquet")
+    few, all_ = (sorted(map(str, entry.queries()[name](spark, d).collect())) for d in (str(tmp_path), every))
+    assert all_ and few != all_
