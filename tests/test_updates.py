@@ -268,3 +268,59 @@ def test_a_rebuild_counts_copies_that_series_keep(walks):
     update.reorganize(update.insert(ix, thirds(coll)[2]))
     copies = ix.data(None, ("series_id", "is_copy")).where("is_copy").groupBy("series_id").count()
     assert copies.count() > 0 and copies.where("count > 1").count() == 0
+
+
+def test_equal_words_are_not_split(spark):
+    """Copies of one series beyond a leaf's capacity make one leaf, not a chain of splits; others that come later part it."""
+    rng = np.random.default_rng(3)
+    x = [[float(v) for v in np.cumsum(rng.standard_normal(32))] for _ in range(12)]
+    coll = spark.createDataFrame([(100 * i + c, v) for i, v in enumerate(x) for c in range(30)], "series_id long, values array<double>")
+    q = coll.where("series_id % 100 = 0").withColumnRenamed("series_id", "query_id")
+    for policy in ("adaptive", "binary", "fullary"):
+        ix = build_index(coll, BuildParams(w=8, th=10, policy=policy, packing="none"))
+        inner = [n for n in range(len(ix.tree)) if not ix.tree.is_leaf(n)]
+        assert len(inner) < 12 and all(ix.tree.oversize[n] for n in ix.tree.below(0))
+        assert rows(search.search_exact(ix, q, 40)) == rows(search.knn_scan(coll, q, 40))
+    noisy = [(5_000 + i, [a + float(e) for a, e in zip(x[0], rng.standard_normal(32))]) for i in range(30)]
+    more = spark.createDataFrame(noisy, "series_id long, values array<double>")
+    update.insert(ix, more)
+    leaves = len(ix.tree.below(0))
+    update.reorganize(ix)
+    assert len(ix.tree.below(0)) > leaves
+    assert rows(search.search_exact(ix, q, 40)) == rows(search.knn_scan(coll.unionByName(more), q, 40))
+
+
+def test_reads_of_many_queries_give_what_a_plain_scan_gives(spark, walks, monkeypatch):
+    """Leaves meet all their queries at once, and orders of leaves are kept in part."""
+    coll, q = walks
+    x = {r["series_id"]: np.array(r["values"]) for r in coll.collect()}
+    ids = np.array(sorted(x))
+    z = {i: (v - v.mean()) / v.std() for i, v in x.items()}
+    monkeypatch.setattr(search, "_WAITING", 2)
+    for k in (3, len(ids) + 5):
+        expected = []
+        for r in q.collect():
+            v = np.array(r["values"])
+            v = (v - v.mean()) / v.std()
+            d = np.array([np.sqrt(((z[i] - v) ** 2).sum()) for i in ids])
+            expected += [(r["query_id"], rank, int(ids[j]), round(float(d[j]), 6)) for rank, j in enumerate(np.lexsort((ids, d))[:k], 1)]
+        short = lambda df: sorted((r["query_id"], r["rank"], r["series_id"], round(r["distance"], 6)) for r in df.collect())
+        assert short(search.knn_scan(coll, q, k)) == sorted(expected)
+        for policy in ("adaptive", "dynseg"):
+            assert short(search.search_exact(build_index(coll, BuildParams(w=8, th=10, policy=policy)), q, k)) == sorted(expected)
+
+
+def test_pairs_that_a_product_of_matrices_passes(monkeypatch):
+    """What may be among the k nearest always passes, far from zero and for equal rows too; steps change no distance."""
+    rng = np.random.default_rng(5)
+    x, v = 1e6 + rng.standard_normal((40, 70)), 1e6 + rng.standard_normal((5, 70))
+    x[7] = v[2]
+    d = np.sqrt(((x[:, None] - v) ** 2).sum(2))
+    assert search._close(x, v, np.full(5, np.inf), 3)[np.argsort(d, 0)[:3], np.arange(5)].all()
+    assert search._close(x, v, d[9])[d <= d[9]].all() and search._close(x, v, np.zeros(5))[7, 2]
+    i, j = np.nonzero(np.ones_like(d, bool))
+    whole = search._pair_distances(x, v, i, j)
+    monkeypatch.setattr(search, "_STEP", 700)
+    assert (search._pair_distances(x, v, i, j) == whole).all() and np.allclose(whole, d.reshape(-1)) and whole[7 * 5 + 2] == 0
+    at, far, ids = search._nearest(np.array([1, 0, 1, 1]), np.array([2.0, 1.0, 1.0, 3.0]), np.array([9, 4, 8, 8]), 2)
+    assert at.tolist() == [0, 1, 1] and far.tolist() == [1.0, 1.0, 2.0] and ids.tolist() == [4, 8, 9]
