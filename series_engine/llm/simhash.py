@@ -101,12 +101,13 @@ def near_links(nodes: DataFrame, bucket: int = BUCKET) -> DataFrame:
     if some:
         stored = stored.join(crowded, ["seg", "value"], "left_anti")
     near = (F.col("fp") < F.col("fp2")) & (F.bit_count(F.col("fp").bitwiseXOR(F.col("fp2"))) <= 2)
-    links = stored.join(asked, ["seg", "value"]).where(near).select(F.col("rep").alias("a"), F.col("rep2").alias("b"))
+    # Spark's estimate leaves out that rows are multiplied; by it either side could go through the driver
+    links = stored.join(asked.hint("merge"), ["seg", "value"]).where(near).select(F.col("rep").alias("a"), F.col("rep2").alias("b"))
     if some:
         among = asked.join(crowded, ["seg", "value"], "left_semi").select(F.col("fp2").alias("fp"), F.col("rep2").alias("rep")).distinct()
         around = materialize(among.select("rep", F.explode(_bit_ball(F.col("fp"), range(64))).alias("middle")), "middles")
         least = around.groupBy("middle").agg(F.min("rep").alias("a"), F.max("rep").alias("z")).where("a < z").select("middle", "a")
-        links = links.union(around.join(least, "middle").where("a <> rep").select("a", F.col("rep").alias("b")))
+        links = links.union(around.join(least.hint("merge"), "middle").where("a <> rep").select("a", F.col("rep").alias("b")))
     return links
 
 
@@ -139,5 +140,5 @@ def drop_near_duplicates(docs: DataFrame, key: str = "doc_id", size: int = 3) ->
     own = F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias(names[2])
     tagged = docs.select(own, tag(F.col(f"`{key}`").cast("long"), _text_hash(F.col("text").cast("string"))).alias(names[0]))
     turn = F.row_number().over(Window.partitionBy(names[0]).orderBy(names[0]))
-    kept = tagged.join(stay, names[0], "left_semi").withColumn(names[1], turn).where(F.col(names[1]) == 1)
+    kept = tagged.join(stay.hint("merge"), names[0], "left_semi")  # the window needs the same shuffle.withColumn(names[1], turn).where(F.col(names[1]) == 1)
     return kept.select(*[F.col(names[2]).getField(c).alias(c) for c in docs.columns])

@@ -138,6 +138,15 @@ def test_simhash_crowded_entries(spark):
         assert {i: got.get(i, i) for i in range(len(values))} == want
 
 
+@pytest.mark.parametrize("bucket", [1, 64])
+def test_simhash_sends_no_multiplied_rows_through_the_driver(spark, bucket):
+    fps = spark.range(200).select(F.xxhash64("id").bitwiseAND(F.lit(0xFFFF)).alias("fp"), F.col("id").alias("rep")).dropDuplicates(["fp"])
+    nodes = simhash.materialize(fps, "nodes")
+    plan = simhash.near_links(nodes, bucket)._jdf.queryExecution().executedPlan().toString()
+    multiplied = [line for line in plan.splitlines() if "Join" in line and "Inner" in line]
+    assert multiplied and all("SortMergeJoin" in line for line in multiplied)
+
+
 def test_components_on_a_long_path(spark):
     links = spark.range(200).select(F.col("id").alias("a"), (F.col("id") + 1).alias("b"))
     assert {c for _, c in rows_of(components.components(links, "a", "b"), "node", "component")} == {0}
