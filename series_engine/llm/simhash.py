@@ -140,5 +140,6 @@ def drop_near_duplicates(docs: DataFrame, key: str = "doc_id", size: int = 3) ->
     own = F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias(names[2])
     tagged = docs.select(own, tag(F.col(f"`{key}`").cast("long"), _text_hash(F.col("text").cast("string"))).alias(names[0]))
     turn = F.row_number().over(Window.partitionBy(names[0]).orderBy(names[0]))
-    kept = tagged.join(stay.hint("merge"), names[0], "left_semi")  # the window needs the same shuffle.withColumn(names[1], turn).where(F.col(names[1]) == 1)
+    # sorted, not broadcast: the window needs the same shuffle
+    kept = tagged.join(stay.hint("merge"), names[0], "left_semi").withColumn(names[1], turn).where(F.col(names[1]) == 1)
     return kept.select(*[F.col(names[2]).getField(c).alias(c) for c in docs.columns])

@@ -160,6 +160,12 @@ def test_near_dedup_keeps_one_of_each_group(docs, edge):
         assert {d for (d,) in rows_of(out, "doc_id")} == {c for (c,) in rows_of(simhash.near_duplicates(keyed), "component")}
 
 
+def test_near_dedup_counts_repeated_rows_once(spark):
+    rows = [(1, "one text of five words"), (1, "one text of five words"), (2, "another text of some words"), (None, "a third text without key"), (None, "a third text without key")]
+    out = simhash.drop_near_duplicates(spark.createDataFrame(rows, "doc_id long, text string"))
+    assert Counter(rows_of(out, "doc_id", "text")) == Counter(set(rows))
+
+
 def test_url_rules_and_parts(spark):
     cases = {
         "http://A.B.Example.NET/en/x?q=1#z": ("a.b.example.net", "/en/x", "example.net/en/", "allow"), "https://example.net": ("example.net", "", None, None), "ftp://xexample.com/de/": ("xexample.com", "/de/", None, None),
