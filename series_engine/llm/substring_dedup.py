@@ -26,7 +26,8 @@ left in place.
 Joins with texts never broadcast the other side: spans grow with the corpus, and their
 compressed size in a file says little about their size in memory.
 
-Words are named by 64-bit hashes and edges by two independent 64-bit sums over them.
+Words are named by 64-bit hashes, found for all words of a batch at once from prefix sums
+over its bytes, and edges by two independent 64-bit sums over them.
 
 Edge cases: null and empty texts have no words; texts under ``k`` words keep all of them;
 a document never removes its own words, however often they repeat inside it; rows with a
@@ -42,6 +43,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from xxhash import xxh64_intdigest
@@ -65,9 +67,64 @@ def _mixed(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(31))
 
 
-def _hashes(words: list[bytes], bits: int = 64) -> np.ndarray:
-    h = np.fromiter(map(xxh64_intdigest, words), np.uint64, len(words))
-    return h >> np.uint64(64 - bits) if bits < 64 else h
+_BYTE = _mixed(np.arange(1, 257, dtype=np.uint64) * np.uint64(0x9FB21C651E98DF25))
+_BYTE_MULT = np.uint64(0xD1342543DE82EF95)
+_BYTE_INV = np.uint64(pow(int(_BYTE_MULT), -1, 1 << 64))
+_PIECE = 1 << 18
+
+
+def _blank(data: np.ndarray) -> np.ndarray:
+    return (data == 32) | (data - np.uint8(9) < 5)
+
+
+def _pieces(data: np.ndarray, bounds: np.ndarray) -> Iterator[tuple[int, int]]:
+    """Ranges of at most ``_PIECE`` bytes that end where a text or a word does; a longer word is a range by itself."""
+    lo = 0
+    while lo < len(data):
+        hi = min(lo + _PIECE, len(data))
+        text = int(bounds[np.searchsorted(bounds, hi, "right") - 1])
+        if hi < len(data) and text > lo:
+            hi = text
+        elif hi < len(data):
+            blank = np.flatnonzero(_blank(data[lo:hi]))
+            end = int(bounds[np.searchsorted(bounds, lo, "right")])
+            if len(blank):
+                hi = lo + int(blank[-1]) + 1
+            while not len(blank) and hi < end:
+                blank = np.flatnonzero(_blank(data[hi : min(hi + _PIECE, end)]))
+                hi = hi + int(blank[0]) if len(blank) else min(hi + _PIECE, end)
+        yield lo, hi
+        lo = hi
+
+
+def named_words(texts: pa.Array, bits: int = 64) -> tuple[np.ndarray, np.ndarray]:
+    """(hash, number of its text) of all words of some texts, read from their bytes without an object for each word."""
+    texts = pc.cast(pc.fill_null(texts, ""), pa.large_string())
+    _, offsets, raw = texts.buffers()
+    bounds = np.frombuffer(offsets, np.int64)[texts.offset : texts.offset + len(texts) + 1] if len(texts) else np.zeros(1, np.int64)
+    data = np.frombuffer(raw, np.uint8)[bounds[0] : bounds[-1]] if raw is not None else np.zeros(0, np.uint8)
+    bounds = bounds - bounds[0]
+    names, of = [np.zeros(0, np.uint64)], [np.zeros(0, np.int64)]
+    for lo, hi in _pieces(data, bounds):
+        part = data[lo:hi]
+        if hi - lo > _PIECE:
+            name, starts = np.array([xxh64_intdigest(part)], np.uint64), np.zeros(1, np.int64)
+        else:
+            blank = _blank(part)
+            word = ~blank
+            first, last = word.copy(), word.copy()
+            first[1:] &= blank[:-1]
+            last[:-1] &= blank[1:]
+            inner = bounds[np.searchsorted(bounds, lo, "right") : np.searchsorted(bounds, hi, "left")] - lo
+            first[inner], last[inner - 1] = word[inner], word[inner - 1]
+            starts, stops = np.flatnonzero(first), np.flatnonzero(last) + 1
+            sums = np.zeros(len(part) + 1, np.uint64)
+            np.cumsum(_BYTE.take(part) * _powers(_BYTE_MULT, len(part)), out=sums[1:])
+            name = _mixed((sums[stops] - sums[starts]) * _powers(_BYTE_INV, len(part))[starts])
+        names.append(name)
+        of.append(np.searchsorted(bounds, lo + starts, "right") - 1)
+    h = np.concatenate(names)
+    return (h >> np.uint64(64 - bits) if bits < 64 else h), np.concatenate(of)
 
 
 def _windows(h: np.ndarray, size: int, which: int) -> np.ndarray:
@@ -120,53 +177,49 @@ def _signed(x: np.ndarray) -> pa.Array:
     return pa.array(x.view(np.int64))
 
 
+def _first_words(doc: np.ndarray, n: int) -> np.ndarray:
+    """Number of words before each text, and of all words."""
+    return np.concatenate((np.zeros(1, np.int64), np.cumsum(np.bincount(doc, minlength=n))))
+
+
 def _cut(batches: Iterator[pa.RecordBatch], bits: int = 64) -> Iterator[pa.RecordBatch]:
     """(mini, key, start, edges, content) of all paths.
 
-    Works on chunks of words: several short documents, or a part of a long one.  A chunk
-    ends inside a path at worst; its two parts are paths of their own, which together
-    still hold each edge once.
+    Works on chunks of a batch's words: several short documents, or a part of a long one.
+    A chunk ends inside a path at worst; its two parts are paths of their own, which
+    together still hold each edge once.
     """
-    held: list[tuple[int, int, list[bytes]]] = []
-    size = 0
     for batch in batches:
-        for key, text in zip(batch.column(0).to_pylist(), batch.column(1)):
-            words = words_of(text.as_py())
-            for at in range(0, len(words) - K + 1, _CHUNK):
-                part = words[at : at + _CHUNK + K - 1]
-                if held and size + len(part) > _CHUNK + K:
-                    yield _paths_of(held, bits)
-                    held, size = [], 0
-                held.append((key, at, part))
-                size += len(part)
-    if held:
-        yield _paths_of(held, bits)
-
-
-def _paths_of(held: list[tuple[int, int, list[bytes]]], bits: int) -> pa.RecordBatch:
-    lengths = np.array([len(w) for _, _, w in held])
-    doc = np.repeat(np.arange(len(held)), lengths)
-    h = _hashes([x for _, _, w in held for x in w], bits)
-    mini, starts, edges, content = paths(h, doc)
-    of = doc[starts]
-    begin = np.cumsum(lengths) - lengths - np.array([at for _, at, _ in held])
-    keys = np.array([k for k, _, _ in held], np.int64)
-    return pa.RecordBatch.from_arrays([_signed(mini), pa.array(keys[of]), pa.array((starts - begin[of]).astype(np.int32)), pa.array(edges.astype(np.int32)), _signed(content)], names=["mini", "key", "start", "edges", "content"])
+        keys = batch.column(0).to_numpy(zero_copy_only=False).astype(np.int64)
+        h, doc = named_words(batch.column(1), bits)
+        begin = _first_words(doc, len(keys))
+        for lo in range(0, len(h) - K + 1, _CHUNK):
+            mini, starts, edges, content = paths(h[lo : lo + _CHUNK + K - 1], doc[lo : lo + _CHUNK + K - 1])
+            of = doc[lo + starts]
+            yield pa.RecordBatch.from_arrays([_signed(mini), pa.array(keys[of]), pa.array((lo + starts - begin[of]).astype(np.int32)), pa.array(edges.astype(np.int32)), _signed(content)], names=["mini", "key", "start", "edges", "content"])
 
 
 def _open(batches: Iterator[pa.RecordBatch], bits: int = 64) -> Iterator[pa.RecordBatch]:
-    """Texts with the paths to open -> one row for each of their edges: (e1, e2, key, start)."""
+    """Texts with the paths to open -> one row for each of their edges: (e1, e2, key, start).
+
+    Paths of a key's other rows may go beyond this row's text; what does is left out.
+    """
     for batch in batches:
-        out: list[list] = [[], [], [], []]
-        for key, text, starts, edges in zip(*(batch.column(i) for i in range(4))):
-            h = _hashes(words_of(text.as_py()), bits)
-            e1, e2 = _windows(h, K, 0), _windows(h, K, 1)
-            at = np.concatenate([np.arange(s, s + n) for s, n in zip(starts.as_py(), edges.as_py())])
-            for part, x in zip(out, (e1[at], e2[at], np.full(len(at), key.as_py(), np.int64), at)):
-                part.append(x)
-        if out[0]:
-            a = [np.concatenate(x) for x in out]
-            yield pa.RecordBatch.from_arrays([_signed(a[0]), _signed(a[1]), pa.array(a[2]), pa.array(a[3].astype(np.int32))], names=["e1", "e2", "key", "start"])
+        keys = batch.column(0).to_numpy(zero_copy_only=False).astype(np.int64)
+        h, doc = named_words(batch.column(1), bits)
+        begin = _first_words(doc, len(keys))
+        starts, edges = (batch.column(i).flatten().to_numpy(zero_copy_only=False).astype(np.int64) for i in (2, 3))
+        of = np.repeat(np.arange(len(keys)), pc.list_value_length(batch.column(2)).to_numpy(zero_copy_only=False))
+        start = np.repeat(starts - (np.cumsum(edges) - edges), edges) + np.arange(edges.sum())
+        of = np.repeat(of, edges)
+        there = start + K <= (begin[of + 1] - begin[of])
+        of, start = of[there], start[there]
+        at = begin[of] + start
+        e1, e2 = (h[at] for _ in _MULT)
+        for j in range(1, K):
+            word = h[at + j]
+            e1, e2 = e1 * _MULT[0] + word, e2 * _MULT[1] + word
+        yield pa.RecordBatch.from_arrays([_signed(_mixed(e1)), _signed(_mixed(e2)), pa.array(keys[of]), pa.array(start.astype(np.int32))], names=["e1", "e2", "key", "start"])
 
 
 def _texts(docs: DataFrame, key: str) -> DataFrame:

@@ -414,6 +414,29 @@ def test_substring_dedup_cuts_long_documents(spark, monkeypatch):
     assert sum(f["edges"] for f in found) == sum(max(0, w - 12) for _, w, _, _ in want)
 
 
+@pytest.mark.parametrize("piece", [1, 5, 1 << 18])
+def test_substring_dedup_names_words(monkeypatch, piece):
+    """Equal words and only they have one name, wherever texts and pieces of bytes end."""
+    import pyarrow as pa
+
+    monkeypatch.setattr(substring_dedup, "_PIECE", piece)
+    texts = [None, "", "a b", "b", "\tab  a\n", "é a\x1cb longer words", " ", "longer", "words", "\x0b\x0c\r"]
+    h, of = substring_dedup.named_words(pa.array(texts).slice(1))
+    words = [(i, w) for i, t in enumerate(texts[1:]) for w in substring_dedup.words_of(t)]
+    assert of.tolist() == [i for i, _ in words]
+    pairs = set(zip((w for _, w in words), h.tolist()))
+    assert len(pairs) == len({w for w, _ in pairs}) == len({x for _, x in pairs})
+
+
+def test_substring_dedup_of_a_key_with_two_texts(spark):
+    """Paths to open of one row lie beyond the end of the other row of its key."""
+    words = [f"w{i}" for i in range(200)]
+    rows = [(1, " ".join(words)), (2, " ".join(["x", *words[20:150], "y", *words[60:180]])), (2, " ".join(words[:14])), (3, " ".join(words[10:26]))]
+    got = sorted(rows_of(substring_dedup.removal_digests(spark.createDataFrame(rows, "doc_id long, text string")), "key", "n_words", "n_removed"))
+    want = sorted(r[:3] for r in brute.repeats(rows))
+    assert [g[:2] for g in got] == [w[:2] for w in want] and all(g[2] <= w[2] for g, w in zip(got, want)) and got[-1] == want[-1]
+
+
 @pytest.mark.parametrize("table", ["edge", "docs"])
 @pytest.mark.parametrize("buckets", [1, 5])
 def test_packing(table, buckets, request):
