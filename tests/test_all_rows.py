@@ -4,6 +4,7 @@ import numpy as np
 import pytest
 
 from series_engine import queries
+from series_engine.functions import distances as D
 from series_engine.functions import summaries as S
 from series_engine.sources import builders
 
@@ -41,3 +42,19 @@ def test_pairs_and_bounds(spark, sf_dir, data):
     assert all(abs(got[q, i] - np.sqrt(((z[ids == i][0] - z[ids == q][0]) ** 2).sum())) < 2e-6 for q, i in got)
     rows = queries.QUERIES["bound_violations_all_rows"](spark, sf_dir).collect()
     assert {(r["query_id"], r["pairs"], r["above"]) for r in rows} == {(q, len(ids), 0) for q in asked}
+
+
+def test_pairs_by_tiles():
+    """More rows and queries than a tile, points that no step divides, equal and nearly equal rows, open cells."""
+    rng = np.random.default_rng(3)
+    q = S.znormalize_rows(np.cumsum(rng.standard_normal((D._TILE_QUERIES + 9, 61)), 1))
+    x = np.concatenate((q[:3], q[3:6] + 1e-7, S.znormalize_rows(np.cumsum(rng.standard_normal((D._TILE_ROWS + 5, 61)), 1))))
+    plain = np.array([D.ed_rows(x, v) for v in q]).T
+    assert np.allclose(D.ed_products(x, q), plain, rtol=1e-9, atol=1e-12) and (D.ed_products(x, q)[range(3), range(3)] == 0).all()
+    assert np.allclose(D.ed_pairs(x, q), plain, rtol=1e-12, atol=1e-12)
+    u, l = S.envelope_rows(q, 6)  # noqa: E741
+    assert np.allclose(D.lb_envelope_pairs(x, u, l).T, [D.lb_envelope_rows(x, a, b) for a, b in zip(u, l)])
+    m, ends = rng.standard_normal((len(q), 7)), np.array([-np.inf, *S.breakpoints(3), np.inf])
+    words = rng.integers(0, 8, (len(x), 7))
+    for hi, lo in ((m, m), (m + 0.2, m - 0.1)):
+        assert np.allclose(D.mindist_word_pairs(words, 3, hi, lo, 63).T, [D.mindist_cells_rows(a, b, ends[words], ends[words + 1], 63) for a, b in zip(hi, lo)])
