@@ -324,3 +324,29 @@ def test_pairs_that_a_product_of_matrices_passes(monkeypatch):
     assert (search._pair_distances(x, v, i, j) == whole).all() and np.allclose(whole, d.reshape(-1)) and whole[7 * 5 + 2] == 0
     at, far, ids = search._nearest(np.array([1, 0, 1, 1]), np.array([2.0, 1.0, 1.0, 3.0]), np.array([9, 4, 8, 8]), 2)
     assert at.tolist() == [0, 1, 1] and far.tolist() == [1.0, 1.0, 2.0] and ids.tolist() == [4, 8, 9]
+
+
+def test_descent_keeps_what_the_cut_leaves(walks):
+    """After the first leaves of many, a descent holds no node at or above the cut, and few Python objects."""
+    coll, q = walks
+    ix = build_index(coll, BuildParams(w=8, th=2, policy="fullary", packing="none"))
+    asked, t = search._prepared(ix, q, "ed", 0.1), ix.tree
+    shared = search._Nodes(t)
+    for s, home in zip(asked.summaries, search._homes(t, asked)):
+        cut = float(np.quantile(t.bounds(s), 0.2))
+        way = search._Descent(t, s, home, nodes=shared)
+        got = [x for x in iter(lambda way=way: way.next(cut), None)]
+        nodes, ids, *_ = t.leaves()
+        assert got == [x for x in iter(lambda b=search._Sorted(t, s, home, nodes, ids): b.next(cut), None)] and len(way.order) == 0
+        way = search._Descent(t, s, home, nodes=shared)
+        way.next(cut), way.next(cut)
+        assert all((b < cut).all() for b in (way.inner[0], way.leaves[0], way.bounds))
+
+
+def test_many_queries_take_larger_waves(walks, monkeypatch):
+    coll, q = walks
+    ix = build_index(coll, BuildParams(w=8, th=2, policy="fullary", packing="none"))
+    few, many = search.SearchStats(), search.SearchStats()
+    plain = rows(search.search_exact(ix, q, 5, stats=few))
+    monkeypatch.setattr(search, "MANY_QUERIES", 1)
+    assert rows(search.search_exact(ix, q, 5, stats=many)) == plain == rows(search.knn_scan(coll, q, 5)) and many.waves < few.waves
