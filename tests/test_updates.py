@@ -5,6 +5,8 @@ import pytest
 from pyspark.sql import functions as F
 
 from series_engine import measures
+from series_engine.functions import summaries as S
+from series_engine.functions.distances import QuerySummary
 from series_engine.plans import build, search, update
 from series_engine.plans.build import build_index
 from series_engine.plans.index import intervals, load_index
@@ -350,3 +352,21 @@ def test_many_queries_take_larger_waves(walks, monkeypatch):
     plain = rows(search.search_exact(ix, q, 5, stats=few))
     monkeypatch.setattr(search, "MANY_QUERIES", 1)
     assert rows(search.search_exact(ix, q, 5, stats=many)) == plain == rows(search.knn_scan(coll, q, 5)) and many.waves < few.waves
+
+
+def test_bounds_of_many_segmentations_are_those_of_one():
+    """All leaves at once, and few means of the query: not one for each leaf."""
+    from series_engine.plans import dynseg
+
+    rng = np.random.default_rng(5)
+    x = S.znormalize_rows(np.cumsum(rng.standard_normal((400, 32)), 1))
+    t, _ = dynseg.grow_dynseg(x[40:], BuildParams(w=8, th=5, policy="dynseg"))
+    t.number_leaves()
+    for metric in ("ed", "dtw"):
+        for v in x[:10]:
+            q = QuerySummary(v, 8, metric)
+            one = [dynseg.mindist_eapca(q, t.cuts[n], t.synopsis[n]) for n in t.leaf_nodes()]
+            ends = np.array([(a, b) for n in t.leaf_nodes() for a, b in zip(t.cuts[n][:-1], t.cuts[n][1:])])
+            node = np.repeat(np.arange(len(one)), [len(t.cuts[n]) - 1 for n in t.leaf_nodes()])
+            assert np.allclose(dynseg.bounds_eapca(q, node, ends, np.concatenate([t.synopsis[n] for n in t.leaf_nodes()])), one, rtol=1e-12, atol=1e-12)
+            assert np.allclose(t.bounds(q), one, rtol=1e-12, atol=1e-12) and np.allclose(t.bounds(q, [0]), [dynseg.mindist_eapca(q, t.cuts[0], t.synopsis[0])])
